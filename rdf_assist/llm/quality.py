@@ -2,7 +2,7 @@
 
 Each rule votes good (1), bad (-1) or abstains (0). How often votes go together tells how accurate
 each rule is: expectation-maximisation over the counts of vote patterns (at most 3 ** rules rows,
-whatever the corpus) estimates one accuracy a rule and the share of good documents. A document is
+whatever the corpus) estimates each rule's accuracy and the share of good documents. A document is
 kept by its posterior, so one odd measure does not reject it, as all-must-pass filters would.
 """
 
@@ -19,7 +19,7 @@ from pyspark.sql import types as T
 from .common import durable, remote, texts
 
 HERE = __name__
-MEASURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long, n_letters long, n_ended long"
+MEASURES = "n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_lines long, n_letters long, n_ended long, n_upper long, n_common long"
 NAMES = [x.split()[0] for x in MEASURES.split(", ")]
 
 # The symbols counted, white space between words, and marks that end a sentence.
@@ -27,6 +27,15 @@ SYMBOLS = "#*$%&|<>"
 SPACES = " \t\n\r\x0b\x0c"
 ENDS = tuple(x.encode() for x in (".", "!", "?", '"', "”", "…", ":", ";"))
 
+# Frequent function words of English, German, French and Spanish.
+COMMON = frozenset(w.encode() for w in (
+    "the of and to in is that it for on with as was are be this or at from by an have not you "
+    "der die das und ist nicht ein eine zu den von mit sich auf im des dem für "
+    "le la les de des et un une est que qui pour dans sur pas avec au "
+    "el los las y en una por con del se su para es como al"
+).split())
+
+_CAPITAL = bytes(i for i in range(256) if not 65 <= i <= 90)
 _NO_LETTER = bytes(i for i in range(128) if not (65 <= i <= 90 or 97 <= i <= 122))
 
 
@@ -81,6 +90,8 @@ def measure(text: str | None) -> tuple[int, ...]:
         lines,
         len(raw.translate(None, _NO_LETTER).decode("utf-8", "replace")),
         ended,
+        len(raw.translate(None, _CAPITAL)),
+        sum(map(COMMON.__contains__, words)),
     )
 
 
@@ -98,47 +109,63 @@ def _vote(good: Column, bad: Column) -> Column:
 def rules() -> dict[str, Column]:
     """Name → vote, from the measures."""
     words, lines = F.greatest(F.col("n_words"), F.lit(1)), F.greatest(F.col("n_lines"), F.lit(1))
+    chars = F.greatest(F.col("word_chars"), F.lit(1))
     mean, symbols = F.col("word_chars") / words, F.col("n_symbols") / words
     copies, again = F.col("n_dup_lines") / lines, F.col("n_repeat_words") / words
-    letters, ended = F.col("n_letters") / F.greatest(F.col("word_chars"), F.lit(1)), F.col("n_ended") / lines
+    letters, ended, upper, common = F.col("n_letters") / chars, F.col("n_ended") / lines, F.col("n_upper") / chars, F.col("n_common") / words
     return {
         "long_enough": _vote(F.col("n_words") >= 50, F.col("n_words") < 20),
-        "word_length": _vote((mean >= 3) & (mean <= 10), (mean < 2) | (mean > 16)),
+        "word_length": _vote((mean >= 3) & (mean <= 8), (mean < 2) | (mean > 14)),
         "few_symbols": _vote(symbols <= 0.02, symbols > 0.1),
         "few_copied_lines": _vote((copies <= 0.05) & (F.col("n_lines") > 1), copies > 0.3),
         "few_repeats": _vote(again <= 0.03, again > 0.1),
-        "letters": _vote(letters >= 0.8, letters < 0.6),
+        "letters": _vote(letters >= 0.93, letters < 0.9),
         "sentences": _vote(ended >= 0.5, (ended < 0.1) & (F.col("n_lines") > 2)),
+        "lower_case": _vote(upper <= 0.1, upper > 0.4),
+        "function_words": _vote(common >= 0.1, (common < 0.03) & (F.col("n_words") >= 20)),
     }
 
 
-def fit(patterns: list[tuple[list[int], int]], rounds: int = 50) -> tuple[float, list[float]]:
-    """(share of good documents, accuracy of each rule) by expectation-maximisation over (votes, count).
+#: Starting chances of a bad vote, an abstention and a good vote, for bad and for good documents.
+START = {False: (0.35, 0.25, 0.4), True: (0.02, 0.18, 0.8)}
+
+
+def fit(patterns: list[tuple[list[int], int]], rounds: int = 100) -> dict:
+    """share of good documents, and for each rule the log odds that its votes -1, 0, 1 lend to good.
 
-    Accuracies stay between 0.55 and 0.99 and the share between 0.05 and 0.99, so rules keep their
-    direction and no vote is final. Without patterns: the starting values.
+    Expectation-maximisation over (votes, count): a rule's accuracy is its chance of each vote given good
+    and given bad. The share stays between 0.5 and 0.995, and no vote's odds turn against its sign (an
+    abstention has none), so the classes cannot swap. Without patterns: the starting values, no rules.
     """
-    width = len(patterns[0][0]) if patterns else 0
-    share, right = 0.8, np.full(width, 0.8)
+    share = 0.9
     if not patterns:
-        return share, []
-    votes = np.array([v for v, _ in patterns], np.float64)
+        return {"share": share, "odds": []}
+    votes = np.array([v for v, _ in patterns], np.int64)
     count = np.array([c for _, c in patterns], np.float64)
-    cast = votes != 0
+    hot = (votes[:, :, None] == np.array([-1, 0, 1])).astype(np.float64)
+    width = votes.shape[1]
+    chance = {c: np.tile(np.array(START[c]), (width, 1)) for c in START}
+
+    def odds() -> np.ndarray:
+        o = np.log(chance[True] / chance[False])
+        return np.stack([np.minimum(o[:, 0], 0), np.zeros(width), np.maximum(o[:, 2], 0)], axis=1)
+
     for _ in range(rounds):
-        odds = votes @ np.log(right / (1 - right)) + math.log(share / (1 - share))
-        good = 1 / (1 + np.exp(-np.clip(odds, -50, 50)))
-        agree = np.where(votes > 0, good[:, None], 1 - good[:, None]) * cast
-        right = np.clip(((count[:, None] * agree).sum(0) + 8) / ((count[:, None] * cast).sum(0) + 10), 0.55, 0.99)
-        share = float(np.clip((count * good).sum() / count.sum(), 0.05, 0.99))
-    return share, right.tolist()
+        x = (hot * odds()).sum((1, 2)) + math.log(share / (1 - share))
+        good = 1 / (1 + np.exp(-np.clip(x, -50, 50)))
+        for c, weight in ((True, count * good), (False, count * (1 - good))):
+            mass = (weight[:, None, None] * hot).sum(0) + 20 * np.array(START[c])
+            chance[c] = mass / mass.sum(axis=1, keepdims=True)
+        share = float(np.clip((count * good).sum() / count.sum(), 0.5, 0.995))
+    return {"share": share, "odds": odds().tolist()}
 
 
-def posterior(votes: list[Column], share: float, right: list[float]) -> Column:
-    odds = F.lit(math.log(share / (1 - share)))
-    for vote, r in zip(votes, right, strict=True):
-        odds = odds + vote * F.lit(math.log(r / (1 - r)))
-    return 1 / (1 + F.exp(-odds))
+def posterior(votes: list[Column], model: dict) -> Column:
+    share = model["share"]
+    total = F.lit(math.log(share / (1 - share)))
+    for vote, (bad, _, good) in zip(votes, model["odds"], strict=bool(model["odds"])):
+        total = total + F.when(vote < 0, bad).when(vote > 0, good).otherwise(0.0)
+    return 1 / (1 + F.exp(-total))
 
 
 def base_failed() -> Column:
@@ -146,18 +173,15 @@ def base_failed() -> Column:
     return (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
 
 
-def learn(measured: DataFrame) -> tuple[float, list[float]]:
+def learn(measured: DataFrame) -> dict:
     votes = F.array(*rules().values())
     counted = measured.where(~base_failed()).groupBy(votes.alias("v")).count().collect()  # at most 3 ** rules rows
     return fit([(list(r["v"]), r["count"]) for r in sorted(counted, key=lambda r: list(r["v"]))])
 
 
-def judge(measured: DataFrame, model: tuple[float, list[float]]) -> DataFrame:
-    share, right = model
-    votes = list(rules().values())
-    quality = posterior(votes, share, right) if right else F.lit(share)
-    failed = base_failed()
-    return measured.withColumns({"base_failed": failed, "quality": quality}).withColumn("kept", ~F.col("base_failed") & (F.col("quality") >= 0.5))
+def judge(measured: DataFrame, model: dict) -> DataFrame:
+    quality = posterior(list(rules().values()), model)
+    return measured.withColumns({"base_failed": base_failed(), "quality": quality}).withColumn("kept", ~F.col("base_failed") & (F.col("quality") >= 0.5))
 
 
 def quality(docs: DataFrame) -> DataFrame:
