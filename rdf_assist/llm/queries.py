@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chat, packing, quality, simhash, tokenfile, urls
+from . import bpe_trie, chat, lattice, media, packing, quality, simhash, tokenfile, urls
 from .common import table
 from .tokens import public_path
 
@@ -32,6 +32,10 @@ def op3_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"))
 
 
+def op4_lattice_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return lattice.score(table(spark, sf_dir, "documents"), public_path("piece_bpe_32k.model"))
+
+
 def op5_preference_format(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = chat.format_pairs(chat.reply_pairs(table(spark, sf_dir, "conversations")))
 
@@ -49,8 +53,19 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op9_bpe_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe_trie.digests(table(spark, sf_dir, "documents"), public_path("word_bpe_49k.json"))
+
+
+def op10_media_webp(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return media.features(media.store(table(spark, sf_dir, "documents")))
+
+
+ALL = (op1_quality_rules, op2_url_filters, op3_packing, op4_lattice_score, op5_preference_format, op6_token_files, op7_simhash, op9_bpe_trie, op10_media_webp)
+
+
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_quality_rules, op2_url_filters, op3_packing, op5_preference_format, op6_token_files, op7_simhash)}
+    return {f.__name__: f for f in ALL}
 
 
 OP2_SQL = """
