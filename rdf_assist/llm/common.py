@@ -51,6 +51,21 @@ def remote_group(module: str, name: str, **kw):
     return call
 
 
+def remote_pair(module: str, name: str, **kw):
+    """As remote(), for applyInPandas of cogrouped frames."""
+    root = ROOT
+
+    def call(left, right):
+        import importlib
+        import sys
+
+        if root not in sys.path:
+            sys.path.insert(0, root)
+        return getattr(importlib.import_module(module), name)(left, right, **kw)
+
+    return call
+
+
 def shared_dir(spark: SparkSession) -> str:
     """A new folder below spark.checkpoint.dir, removed when the application ends.
 
@@ -93,42 +108,50 @@ def mixed(x):
         return x ^ (x >> np.uint64(32))
 
 
+def pack_columns(columns, level: int = 1) -> bytes:
+    """Arrays of any lengths as one compressed value."""
+    import numpy as np
+    import zstandard
+
+    pack = zstandard.ZstdCompressor(level=level).compress
+    pieces = [pack(np.ascontiguousarray(c).tobytes()) for c in columns]
+    head = " ".join(f"{c.dtype.str}:{len(p)}" for c, p in zip(columns, pieces, strict=True)).encode()
+    return len(head).to_bytes(4, "little") + head + b"".join(pieces)
+
+
+def unpack_columns(blob: bytes) -> list:
+    import numpy as np
+    import zstandard
+
+    unpack = zstandard.ZstdDecompressor().decompress
+    n = int.from_bytes(blob[:4], "little")
+    out, at = [], 4 + n
+    for spec in blob[4 : 4 + n].decode().split(" "):
+        kind, _, size = spec.rpartition(":")
+        out.append(np.frombuffer(unpack(blob[at : at + int(size)]), np.dtype(kind)))
+        at += int(size)
+    return out
+
+
 def blobs(part, columns):
-    """Record batches (part int, blob binary): the rows of each part as packed, compressed column arrays.
+    """Record batches (part int, blob binary): the rows of each part as packed column arrays.
 
     One shuffle row then carries thousands of values, without a row's overhead for each.
     """
     import numpy as np
     import pyarrow as pa
-    import zstandard
 
-    pack = zstandard.ZstdCompressor(level=1).compress
     order = np.argsort(part, kind="stable")
     columns = [c[order] for c in columns]
     part = part[order]
     begin = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, int)
-    out = []
-    for lo, hi in zip(begin, np.r_[begin[1:], len(part)], strict=True):
-        pieces = [pack(np.ascontiguousarray(c[lo:hi]).tobytes()) for c in columns]
-        head = " ".join([str(len(columns)), *(f"{c.dtype.str}:{len(p)}" for c, p in zip(columns, pieces, strict=True))]).encode()
-        out.append(len(head).to_bytes(4, "little") + head + b"".join(pieces))
+    out = [pack_columns([c[lo:hi] for c in columns]) for lo, hi in zip(begin, np.r_[begin[1:], len(part)], strict=True)]
     if out:
         yield pa.RecordBatch.from_arrays([pa.array(part[begin], pa.int32()), pa.array(out, pa.binary())], ["part", "blob"])
 
 
 def unblob(found):
-    """The column arrays of blobs, one after the other."""
+    """The column arrays of blobs, one after the other; an empty list of blobs gives no columns."""
     import numpy as np
-    import zstandard
 
-    unpack = zstandard.ZstdDecompressor().decompress
-    parts: list[list] = []
-    for blob in found:
-        n = int.from_bytes(blob[:4], "little")
-        head, at = blob[4 : 4 + n].decode().split(" "), 4 + n
-        parts.append([])
-        for spec in head[1:]:
-            kind, _, size = spec.rpartition(":")
-            parts[-1].append(np.frombuffer(unpack(blob[at : at + int(size)]), np.dtype(kind)))
-            at += int(size)
-    return [np.concatenate(x) for x in zip(*parts, strict=True)]
+    return [np.concatenate(x) for x in zip(*map(unpack_columns, found), strict=True)]

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe_trie, chat, lattice, media, packing, quality, simhash, tokenfile, urls
+from . import bpe_trie, chat, lattice, media, packing, quality, simhash, suffixes, tokenfile, urls
 from .common import table
 from .tokens import public_path
 
@@ -53,6 +53,10 @@ def op7_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash.near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixes.digests(table(spark, sf_dir, "documents"))
+
+
 def op9_bpe_trie(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_trie.digests(table(spark, sf_dir, "documents"), public_path("word_bpe_49k.json"))
 
@@ -61,7 +65,7 @@ def op10_media_webp(spark: SparkSession, sf_dir: str) -> DataFrame:
     return media.features(media.store(table(spark, sf_dir, "documents")))
 
 
-ALL = (op1_quality_rules, op2_url_filters, op3_packing, op4_lattice_score, op5_preference_format, op6_token_files, op7_simhash, op9_bpe_trie, op10_media_webp)
+ALL = (op1_quality_rules, op2_url_filters, op3_packing, op4_lattice_score, op5_preference_format, op6_token_files, op7_simhash, op8_suffix_dedup, op9_bpe_trie, op10_media_webp)
 
 
 def queries() -> dict:
