@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .common import remote, texts
-from .tokens import encoder
+from .tokens import encoder, runs_of
 
 HERE = __name__
 
@@ -155,10 +155,10 @@ class Codec:
     def run(self, found: list[str | None]) -> list[tuple[bytes, str]]:
         """(ids as little-endian unsigned 32-bit bytes, decoded text) of each text; None reads as empty."""
         cut = [self.cut.split(t or "") for t in found]
-        new = {w for words in cut if words for w in words if w not in self.known}
+        new = set().union(*[w for w in cut if w]).difference(self.known)
         if len(self.known) + len(new) > self.limit:
             self.known.clear()
-            new = {w for words in cut if words for w in words}
+            new = set().union(*[w for w in cut if w])
         self.learn(new)
         out = []
         for t, words in zip(found, cut, strict=True):
@@ -185,23 +185,10 @@ def codec(path: str) -> Codec:
     return _CODECS[path]
 
 
-def pieces_of(found: list, size: int = 8 << 20):
-    """The list in runs of about `size` characters, so a run's words and trie stay small."""
-    run, held = [], 0
-    for t in found:
-        run.append(t)
-        held += len(t or "")
-        if held >= size:
-            yield run
-            run, held = [], 0
-    if run:
-        yield run
-
-
 def encode_batches(batches, path: str):
     c = codec(path)
     for b in batches:
-        got = [x for run in pieces_of(b.column("text").to_pylist()) for x in c.run(run)]
+        got = [x for run in runs_of(b.column("text").to_pylist()) for x in c.run(run)]
         ids = [memoryview(i).cast("I").tolist() for i, _ in got]
         yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(ids, pa.list_(pa.int64())), pa.array([d for _, d in got])], ["doc_id", "ids", "decoded"])
 
@@ -210,7 +197,7 @@ def digest_batches(batches, path: str):
     c = codec(path)
     for b in batches:
         n, ids, text = [], [], []
-        for run in pieces_of(b.column("text").to_pylist()):
+        for run in runs_of(b.column("text").to_pylist()):
             for i, d in c.run(run):
                 n.append(len(i) // 4)
                 ids.append(hashlib.sha256(i).hexdigest())

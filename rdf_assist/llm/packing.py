@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import durable, remote, texts
-from .tokens import encoder
+from .tokens import encoder, runs_of
 
 HERE = __name__
 PIECES = "doc_id long, start long, length int, ids_crc32 long, doc_tokens long"
@@ -30,8 +30,9 @@ def piece_batches(batches, path: str, end: int, capacity: int):
     step = 4 * capacity
     for b in batches:
         doc, start, length, crc, total = [], [], [], [], []
-        for d, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
-            ids = enc.encode(t or "") + tail
+        found = (ids for run in runs_of(b.column("text").to_pylist()) for ids in enc.encode_all([t or "" for t in run]))
+        for d, ids in zip(b.column("doc_id").to_pylist(), found, strict=True):
+            ids += tail
             view = memoryview(ids)
             for at in range(0, len(ids), step):
                 part = view[at : at + step]

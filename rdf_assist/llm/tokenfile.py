@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import durable, remote, shared_dir, text_bytes, texts
-from .tokens import encoder
+from .tokens import encoder, runs_of
 
 HERE = __name__
 MAGIC = b"PFORIDS1"
@@ -195,8 +195,9 @@ def write_batches(batches, path: str, end: int, folder: str, percentile: float):
     with store.open_output_stream(draft) as sink:
         out = Writer(sink, percentile)
         for b in batches:
-            for d, t in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), strict=True):
-                out.add(d, np.frombuffer(enc.encode(t or "") + tail, "<u4"))
+            found = (ids for run in runs_of(b.column("text").to_pylist()) for ids in enc.encode_all([t or "" for t in run]))
+            for d, ids in zip(b.column("doc_id").to_pylist(), found, strict=True):
+                out.add(d, np.frombuffer(ids + tail, "<u4"))
         out.close()
     store.move(draft, name)
     yield pa.RecordBatch.from_arrays([pa.array([os.path.basename(name)]), pa.array([len(out.docs)], pa.int64()), pa.array([out.total], pa.int64())], ["file", "n_docs", "n_tokens"])

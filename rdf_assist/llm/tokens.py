@@ -12,8 +12,9 @@ import json
 import os
 import re
 import unicodedata
+from array import array
 
-import regex
+import numpy as np
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
@@ -22,7 +23,25 @@ BYTE_LEVEL = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(
 WORD_END = r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+"
 
 #: Outside these ranges Unicode versions, white space or case rules of two libraries may differ.
-_ODD = re.compile("[^\x00-\x1b\x20-ͯЀ-ԯ‐-‧‰-⁞₠-₿™]")
+_SAFE = [(0x00, 0x1B), (0x20, 0x36F), (0x400, 0x52F), (0x2010, 0x2027), (0x2030, 0x205E), (0x20A0, 0x20BF), (0x2122, 0x2122)]
+_ODD = re.compile("[^" + "".join(f"{chr(a)}-{chr(b)}" for a, b in _SAFE) + "]")
+
+
+def _class(kind: str) -> str:
+    """The safe characters of a Unicode category (L or N) as ranges for a character class."""
+    found = [c for a, b in _SAFE for c in range(a, b + 1) if unicodedata.category(chr(c))[0] == kind]
+    runs: list[list[int]] = []
+    for c in found:
+        if runs and runs[-1][1] == c - 1:
+            runs[-1][1] = c
+        else:
+            runs.append([c, c])
+    return "".join(f"{chr(a)}-{chr(b)}" for a, b in runs)
+
+
+def _cutter(pattern: str):
+    """findall of a word pattern for safe characters, where classes can be spelled out."""
+    return re.compile(pattern.replace(r"[\p{L}]", r"\p{L}").replace(r"[\p{N}]", r"\p{N}").replace(r"[^\s\p{L}\p{N}]", "[^\\s" + _class("L") + _class("N") + "]").replace(r"\p{L}", "[" + _class("L") + "]").replace(r"\p{N}", "[" + _class("N") + "]")).findall
 
 
 def public_path(name: str) -> str:
@@ -34,7 +53,7 @@ def public_path(name: str) -> str:
 class Encoder:
     """encode(text) gives the ids as little-endian unsigned 32-bit bytes."""
 
-    def __init__(self, path: str, limit: int = 500_000):
+    def __init__(self, path: str, limit: int = 1_200_000):
         from tokenizers import Tokenizer
 
         with open(path, encoding="utf-8") as f:
@@ -48,9 +67,9 @@ class Encoder:
         before, norm = spec.get("pre_tokenizer") or {}, spec.get("normalizer")
         self.words, self.normal = None, False
         if norm is None and before.get("type") == "ByteLevel" and before.get("use_regex") and not before.get("add_prefix_space"):
-            self.words = regex.compile(BYTE_LEVEL).findall
+            self.words = _cutter(BYTE_LEVEL)
         elif norm and [x["type"] for x in norm.get("normalizers", [])] == ["NFC", "Replace", "Lowercase"] and before.get("pretokenizers", [{}])[0].get("pattern", {}).get("Regex") == WORD_END:
-            self.words, self.normal = regex.compile(WORD_END).findall, True
+            self.words, self.normal = _cutter(WORD_END), True
 
     def split(self, text: str) -> list[str] | None:
         """The words of a text, or None if the library has to take it whole."""
@@ -64,21 +83,52 @@ class Encoder:
         return self.tokenizer.encode(text, add_special_tokens=False).ids
 
     def learn(self, words: list[str]) -> None:
-        known = self.known
-        for w, e in zip(words, self.tokenizer.encode_batch_fast(words, add_special_tokens=False), strict=True):
-            known[w] = b"".join(i.to_bytes(4, "little") for i in e.ids)
+        """Takes up the ids of words. Plain words of letters go to the library many to a text, cut where its word
+        numbers change; a call for each would cost more than encoding them."""
+        known, lead = self.known, "" if self.normal else " "
+        plain = [w for w in words if w[: len(lead)] == lead and w[len(lead) :].isalpha()]
+        alone = [w for w in words if not (w[: len(lead)] == lead and w[len(lead) :].isalpha())]
+        for at in range(0, len(plain), 4096):
+            run = plain[at : at + 4096]
+            e = self.tokenizer.encode((" " if self.normal else "").join(run), add_special_tokens=False)
+            number = np.array(e.word_ids)
+            cut = np.flatnonzero(np.diff(number, prepend=-1)).tolist()
+            if len(cut) != len(run):
+                alone += run
+                continue
+            raw = array("I", e.ids).tobytes()
+            for w, lo, hi in zip(run, cut, [*cut[1:], len(number)], strict=True):
+                known[w] = raw[4 * lo : 4 * hi]
+        for w, e in zip(alone, self.tokenizer.encode_batch_fast(alone, add_special_tokens=False), strict=True):
+            known[w] = array("I", e.ids).tobytes()
 
     def encode(self, text: str) -> bytes:
-        words = self.split(text)
-        if words is None:
-            return b"".join(i.to_bytes(4, "little") for i in self.whole(text))
+        return self.encode_all([text])[0]
+
+    def encode_all(self, found: list[str]) -> list[bytes]:
+        """The ids of each text; words that are new go to the library together."""
+        cut = [self.split(t) for t in found]
         known = self.known
-        if new := [w for w in set(words) if w not in known]:
-            if len(known) + len(new) > self.limit:
-                known.clear()
-                new = list(set(words))
-            self.learn(new)
-        return b"".join(map(known.__getitem__, words))
+        new = set().union(*[w for w in cut if w]).difference(known)
+        if len(known) + len(new) > self.limit:
+            known.clear()
+            new = set().union(*[w for w in cut if w])
+        self.learn(list(new))
+        get, join = known.__getitem__, b"".join
+        return [join(map(get, w)) if w is not None else array("I", self.whole(t)).tobytes() for t, w in zip(found, cut, strict=True)]
+
+
+def runs_of(found: list, size: int = 4 << 20):
+    """A list of texts in runs of about `size` characters."""
+    run, held = [], 0
+    for t in found:
+        run.append(t)
+        held += len(t or "")
+        if held >= size:
+            yield run
+            run, held = [], 0
+    if run:
+        yield run
 
 
 _ENCODERS: dict[str, Encoder] = {}
