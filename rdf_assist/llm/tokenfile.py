@@ -235,7 +235,6 @@ def read_back(folder: str, written: DataFrame) -> DataFrame:
         before[r["file"]] = total
         total += r["n_tokens"]
     files = spark.read.format("binaryFile").option("pathGlobFilter", "*.pfor").load(folder).select("path", "content")
-    files = files.repartition(max(1, len(before)))
     return files.mapInArrow(remote(HERE, "digest_batches", before=before), "doc_id long, start long, n_tokens long, ids_crc32 long")
 
 
