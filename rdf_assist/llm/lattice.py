@@ -16,11 +16,12 @@ from __future__ import annotations
 import math
 from collections import Counter
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import durable, remote
+from .common import durable, mixed, remote, small_batches
 
 HERE = __name__
 MARK = "▁"
@@ -54,76 +55,138 @@ def vocabulary(path: str) -> dict[str, float]:
     return {p: math.log(w / total) for p, w in weight.items()}
 
 
+class PieceTable:
+    """Pieces by a hash of their code points, four to a bucket, for lookups of whole arrays at once."""
+
+    def __init__(self, pieces: list[str], longest: int):
+        self.power = np.array([pow(0x9E3779B97F4A7C15, k, 1 << 64) for k in range(longest)], np.uint64)
+        keys = np.array([self._key(p) for p in pieces], np.uint64)
+        bits = max(8, int(len(pieces)).bit_length() + 2)
+        while True:
+            self.shift = np.uint64(64 - bits)
+            at = (mixed(keys) >> self.shift).astype(np.int64)
+            if np.bincount(at, minlength=1).max(initial=0) <= 4:
+                break
+            bits += 1
+        self.keys = np.zeros((1 << bits, 4), np.uint64)
+        self.ids = np.full((1 << bits, 4), -1, np.int32)
+        used = np.zeros(1 << bits, np.int64)
+        for i, (k, slot) in enumerate(zip(keys, at.tolist(), strict=True)):
+            self.keys[slot, used[slot]], self.ids[slot, used[slot]] = k, i
+            used[slot] += 1
+
+    def _key(self, piece: str) -> int:
+        return (sum(ord(c) * int(self.power[k]) for k, c in enumerate(piece)) + len(piece)) & 0xFFFFFFFFFFFFFFFF
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        slot = (mixed(keys) >> self.shift).astype(np.int64)
+        out = np.full(keys.shape, -1, np.int32)
+        for c in range(4):
+            same = self.keys[slot, c] == keys
+            out[same] = self.ids[slot, c][same]
+        return out
+
+
+#: Words up to this many letters are worked on as arrays; longer ones one by one.
+WIDE = 40
+
+
 class Lattice:
+    """Forward and backward sums over all segmentations of words."""
+
     def __init__(self, logp: dict[str, float]):
         self.logp = logp
-        self.byte = [logp[f"<{b:02X}>"] for b in range(256)]
-        self.reach: dict[str, int] = {}
-        for p in logp:
-            if p != END and not (p[0] == "<" and len(p) == 4 and p[-1] == ">" and p[1:3].isalnum()):
-                self.reach[p[:2]] = max(self.reach.get(p[:2], 0), len(p))
-                self.reach.setdefault(p[0], 1)
-        self.pieces = {p: v for p, v in logp.items() if p != END}
-        for b in range(256):
-            self.pieces.pop(f"<{b:02X}>", None)
-        self.end = logp[END]
-
-    def arcs(self, s: str):
-        """(from, to, piece, log probability) of each piece at each place, in order of from; bytes spell any letter."""
-        get, reach, n = self.pieces.get, self.reach, len(s)
-        for i in range(n):
-            two = s[i : i + 2]
-            top = reach.get(two, 1) if len(two) == 2 else 1
-            for j in range(i + 1, min(n, i + top) + 1):
-                piece = s[i:j]
-                lp = get(piece)
-                if lp is not None and (i == 0 or piece[0] != MARK):
-                    yield i, j, piece, lp
-            yield i, i + 1, None, sum([self.byte[b] for b in s[i].encode("utf-8", "surrogatepass")])
+        self.byte = np.array([logp[f"<{b:02X}>"] for b in range(256)])
+        bytes_ = {f"<{b:02X}>" for b in range(256)}
+        self.names = [p for p in logp if p != END and p not in bytes_]
+        self.value = np.array([logp[p] for p in self.names])
+        self.index = {p: i for i, p in enumerate(self.names)}
+        self.longest = max(map(len, self.names), default=1)
+        self.table = PieceTable(self.names, self.longest)
+        self.counts = np.zeros(len(self.names))
+        self.byte_counts = np.zeros(256)
+
+    def _spell(self, c: int) -> bytes:
+        return chr(c).encode("utf-8", "surrogatepass")
+
+    def run(self, words: list[str], weights: np.ndarray | None = None) -> np.ndarray:
+        """log P of each word; with weights, expected piece counts are added up too."""
+        out = np.zeros(len(words))
+        size = np.array([len(w) + 1 for w in words], np.int64)
+        order = np.argsort(size, kind="stable")
+        short = order[size[order] <= WIDE]
+        for at in range(0, len(short), 2048):
+            own = short[at : at + 2048]
+            out[own] = self._block([words[i] for i in own.tolist()], size[own], None if weights is None else weights[own])
+        for i in order[size[order] > WIDE].tolist():
+            out[i] = self._block([words[i]], size[i : i + 1], None if weights is None else weights[i : i + 1])[0]
+        return out
+
+    def _block(self, words: list[str], size: np.ndarray, weights: np.ndarray | None) -> np.ndarray:
+        rows, width = len(words), int(size.max())
+        flat = np.frombuffer("".join([MARK + w for w in words]).encode("utf-32-le", "surrogatepass"), "<u4")
+        code = np.zeros((rows, width), np.uint64)
+        inside = np.arange(width)[None, :] < size[:, None]
+        code[inside] = flat
+        letters, which = np.unique(flat, return_inverse=True)
+        spelled = [self._spell(int(c)) for c in letters]
+        by_byte = np.full((rows, width), -np.inf)
+        by_byte[inside] = np.array([sum(self.byte[b] for b in s) for s in spelled])[which]
+        longest = min(self.longest, width)
+        lp, ids = [], []
+        key = np.zeros((rows, width), np.uint64)
+        barred = code == ord(MARK)
+        barred[:, 0] = False
+        with np.errstate(over="ignore"):
+            for n in range(1, longest + 1):
+                m = width - n + 1
+                key = key[:, :m] + code[:, n - 1 :] * self.table.power[n - 1]
+                found = self.table.find(key + np.uint64(n))
+                found[barred[:, :m] | ~inside[:, n - 1 :]] = -1
+                ids.append(found)
+                lp.append(np.where(found >= 0, self.value[found], -np.inf))
+        a = np.full((rows, width + 1), -np.inf)
+        a[:, 0] = 0.0
+        with np.errstate(divide="ignore", invalid="ignore"):
+            for j in range(1, width + 1):
+                terms = np.stack([a[:, j - n] + lp[n - 1][:, j - n] for n in range(1, min(longest, j) + 1)] + [a[:, j - 1] + by_byte[:, j - 1]])
+                a[:, j] = _log_sum(terms)
+        total = a[np.arange(rows), size]
+        if weights is not None:
+            self._expect(a, lp, ids, by_byte, total, size, weights, inside, which, spelled)
+        return total
+
+    def _expect(self, a, lp, ids, by_byte, total, size, weights, inside, which, spelled) -> None:
+        rows, width = by_byte.shape
+        longest = len(lp)
+        b = np.full((rows, width + 1), -np.inf)
+        b[np.arange(rows), size] = 0.0
+        with np.errstate(divide="ignore", invalid="ignore"):
+            for i in range(width - 1, -1, -1):
+                terms = np.stack([lp[n - 1][:, i] + b[:, i + n] for n in range(1, min(longest, width - i) + 1)] + [by_byte[:, i] + b[:, i + 1]])
+                b[:, i] = np.where(i < size, _log_sum(terms), b[:, i])
+            for n in range(1, longest + 1):
+                m = width - n + 1
+                share = np.exp(a[:, :m] + lp[n - 1] + b[:, n : n + m] - total[:, None]) * weights[:, None]
+                hit = ids[n - 1] >= 0
+                self.counts += np.bincount(ids[n - 1][hit], np.nan_to_num(share[hit]), minlength=len(self.counts))
+            share = np.nan_to_num(np.exp(a[:, :width] + by_byte + b[:, 1:] - total[:, None])) * weights[:, None]
+        for s, mass in zip(spelled, np.bincount(which, share[inside], minlength=len(spelled)), strict=True):
+            for byte in s:
+                self.byte_counts[byte] += mass
+
+    def expected(self) -> dict[str, float]:
+        out = {p: float(c) for p, c in zip(self.names, self.counts, strict=True) if c}
+        return out | {f"<{b:02X}>": float(c) for b, c in enumerate(self.byte_counts) if c}
 
     def forward(self, word: str) -> float:
-        """log P(word), over all segmentations of mark and word."""
-        s = MARK + word
-        a = [-math.inf] * (len(s) + 1)
-        a[0] = 0.0
-        exp, log1p = math.exp, math.log1p
-        for i, j, _, lp in self.arcs(s):
-            x, y = a[i] + lp, a[j]
-            if x > y:
-                x, y = y, x
-            a[j] = y + log1p(exp(x - y)) if x > -745 + y else y
-        return a[-1]
-
-    def expect(self, word: str, weight: float, counts: dict[str, float]) -> float:
-        """log P(word); adds the expected number of each piece, times weight."""
-        s = MARK + word
-        arcs = list(self.arcs(s))
-        a = [-math.inf] * (len(s) + 1)
-        a[0] = 0.0
-        exp, log1p = math.exp, math.log1p
-        for i, j, _, lp in arcs:
-            x, y = a[i] + lp, a[j]
-            if x > y:
-                x, y = y, x
-            a[j] = y + log1p(exp(x - y)) if x > -745 + y else y
-        total = a[-1]
-        b = [-math.inf] * (len(s) + 1)
-        b[-1] = 0.0
-        for i, j, piece, lp in reversed(arcs):
-            x, y = b[j] + lp, b[i]
-            share = a[i] + x - total
-            if x > y:
-                x, y = y, x
-            b[i] = y + log1p(exp(x - y)) if x > -745 + y else y
-            if share > -30:
-                mass = weight * exp(share)
-                if piece is not None:
-                    counts[piece] = counts.get(piece, 0.0) + mass
-                else:
-                    for byte in s[i].encode("utf-8", "surrogatepass"):
-                        key = f"<{byte:02X}>"
-                        counts[key] = counts.get(key, 0.0) + mass
-        return total
+        return float(self.run([word])[0])
+
+
+def _log_sum(terms: np.ndarray) -> np.ndarray:
+    top = terms.max(axis=0)
+    safe = np.where(np.isfinite(top), top, 0.0)
+    return safe + np.log(np.exp(terms - safe).sum(axis=0))
 
 
 def refit(logp: dict[str, float], counts: dict[str, float]) -> dict[str, float]:
@@ -133,23 +196,39 @@ def refit(logp: dict[str, float], counts: dict[str, float]) -> dict[str, float]:
     return {p: math.log(m / total) for p, m in mass.items()}
 
 
-def count_batches(batches):
-    """(word, n_train, n) partial counts; held out texts count in n alone."""
+def slices(batches, rows: int = 500):
+    """Batches in small runs of rows, so that few texts are held as Python objects."""
     for b in batches:
-        train, rest = Counter(), Counter()
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
+def count_batches(batches, most: int = 150_000):
+    """(word, n_train) partial counts over runs of texts; words of held out texts alone count 0."""
+    counts: Counter = Counter()
+    for b in slices(batches):
         for t, held in zip(b.column("text").to_pylist(), b.column("held_out").to_pylist(), strict=True):
-            (rest if held else train).update(words_of(t))
-        words = list(train) + [w for w in rest if w not in train]
-        yield pa.RecordBatch.from_arrays([pa.array([w.decode("utf-8", "replace") for w in words], pa.string()), pa.array([train[w] for w in words], pa.int64())], ["word", "n_train"])
+            if held:
+                counts.update(dict.fromkeys(words_of(t), 0))
+            else:
+                counts.update(words_of(t))
+        if len(counts) > most:
+            yield _counted(counts)
+            counts = Counter()
+    yield _counted(counts)
+
+
+def _counted(counts: Counter):
+    return pa.RecordBatch.from_arrays([pa.array([w.decode("utf-8", "replace") for w in counts], pa.string()), pa.array(list(counts.values()), pa.int64())], ["word", "n_train"])
 
 
 def expect_batches(batches, logp: dict):
     lattice = Lattice(logp)
-    counts: dict[str, float] = {}
     for b in batches:
-        for w, n in zip(b.column("word").to_pylist(), b.column("n_train").to_pylist(), strict=True):
-            if n:
-                lattice.expect(w, 1.0, counts)
+        words, n = b.column("word").to_pylist(), b.column("n_train").to_numpy()
+        own = np.flatnonzero(n > 0)
+        lattice.run([words[i] for i in own.tolist()], np.ones(len(own)))
+    counts = lattice.expected()
     yield pa.RecordBatch.from_arrays([pa.array(list(counts), pa.string()), pa.array(list(counts.values()), pa.float64())], ["piece", "mass"])
 
 
@@ -174,7 +253,8 @@ class Arcs:
 def word_batches(batches, logp: dict, shares: tuple):
     lattice, arcs = Lattice(logp), Arcs(*shares)
     for b in batches:
-        found = [arcs.log_add(n, lattice.forward(w)) for w, n in zip(b.column("word").to_pylist(), b.column("n_train").to_pylist(), strict=True)]
+        by_pieces = lattice.run(b.column("word").to_pylist()).tolist()
+        found = [arcs.log_add(n, p) for p, n in zip(by_pieces, b.column("n_train").to_pylist(), strict=True)]
         yield pa.RecordBatch.from_arrays([b.column("word"), b.column("n_train"), pa.array(found, pa.float64())], ["word", "n_train", "logp"])
 
 
@@ -188,7 +268,7 @@ def tally_batches(batches, hot: dict, base: tuple[float, float]):
     uid = TaskContext.get().partitionId() << 33
     hot = {w.encode("utf-8"): v for w, v in hot.items()}
     log10 = math.log(10)
-    for b in batches:
+    for b in slices(batches):
         out: list[tuple] = []
         for d, t, held in zip(b.column("doc_id").to_pylist(), b.column("text").to_pylist(), b.column("held_out").to_pylist(), strict=True):
             uid += 1
@@ -224,7 +304,7 @@ def held_out(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), (F.crc32(key.cast("binary")) % 7 == 2).alias("held_out"))
 
 
-def score(docs: DataFrame, path: str, rounds: int = 2, hot_words: int = 65_536) -> DataFrame:
+def score(docs: DataFrame, path: str, rounds: int = 4, hot_words: int = 65_536) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
 
     Word counts, vocabulary and piece counts come from all training texts. The `hot_words` words met most in
@@ -232,6 +312,7 @@ def score(docs: DataFrame, path: str, rounds: int = 2, hot_words: int = 65_536)
     the word table by a shuffle, so no size of vocabulary has to fit anywhere. Null and empty texts are
     the end alone. Repeated rows each count and keep their row. Without training texts the base is 1 over 1.
     """
+    small_batches(docs.sparkSession)
     rows = held_out(docs)
     counted = rows.select("text", "held_out").mapInArrow(remote(HERE, "count_batches"), "word string, n_train long")
     words = durable(counted.groupBy("word").agg(F.sum("n_train").alias("n_train")))
