@@ -103,6 +103,12 @@ class Lattice:
         self.index = {p: i for i, p in enumerate(self.names)}
         self.longest = max(map(len, self.names), default=1)
         self.table = PieceTable(self.names, self.longest)
+        heads: dict[str, int] = {}
+        for p in self.names:
+            if len(p) > 3:
+                heads[p[:3]] = max(heads.get(p[:3], 0), len(p))
+        self.heads = PieceTable(list(heads), 3)
+        self.reach = np.array([*heads.values(), 0], np.int64)  # the longest piece that begins with three letters; last: none
         self.counts = np.zeros(len(self.names))
         self.byte_counts = np.zeros(256)
 
@@ -141,29 +147,37 @@ class Lattice:
             for n in range(1, longest + 1):
                 m = width - n + 1
                 key = key[:, :m] + code[:, n - 1 :] * self.table.power[n - 1]
-                found = self.table.find(key + np.uint64(n))
+                if n <= 3:
+                    found = self.table.find(key + np.uint64(n))
+                    if n == 3:
+                        far = self.reach[self.heads.find(key + np.uint64(3))]
+                else:
+                    found = np.full((rows, m), -1, np.int32)
+                    row, col = np.nonzero(far[:, :m] >= n)
+                    found[row, col] = self.table.find(key[row, col] + np.uint64(n))
                 found[barred[:, :m] | ~inside[:, n - 1 :]] = -1
                 ids.append(found)
                 lp.append(np.where(found >= 0, self.value[found], -np.inf))
+        alive = [(i >= 0).any(axis=0).tolist() for i in ids]  # places where any word of the block has a piece of a length
         a = np.full((rows, width + 1), -np.inf)
         a[:, 0] = 0.0
         with np.errstate(divide="ignore", invalid="ignore"):
             for j in range(1, width + 1):
-                terms = np.stack([a[:, j - n] + lp[n - 1][:, j - n] for n in range(1, min(longest, j) + 1)] + [a[:, j - 1] + by_byte[:, j - 1]])
+                terms = np.stack([a[:, j - n] + lp[n - 1][:, j - n] for n in range(1, min(longest, j) + 1) if alive[n - 1][j - n]] + [a[:, j - 1] + by_byte[:, j - 1]])
                 a[:, j] = _log_sum(terms)
         total = a[np.arange(rows), size]
         if weights is not None:
-            self._expect(a, lp, ids, by_byte, total, size, weights, inside, which, spelled)
+            self._expect(a, lp, ids, alive, by_byte, total, size, weights, inside, which, spelled)
         return total
 
-    def _expect(self, a, lp, ids, by_byte, total, size, weights, inside, which, spelled) -> None:
+    def _expect(self, a, lp, ids, alive, by_byte, total, size, weights, inside, which, spelled) -> None:
         rows, width = by_byte.shape
         longest = len(lp)
         b = np.full((rows, width + 1), -np.inf)
         b[np.arange(rows), size] = 0.0
         with np.errstate(divide="ignore", invalid="ignore"):
             for i in range(width - 1, -1, -1):
-                terms = np.stack([lp[n - 1][:, i] + b[:, i + n] for n in range(1, min(longest, width - i) + 1)] + [by_byte[:, i] + b[:, i + 1]])
+                terms = np.stack([lp[n - 1][:, i] + b[:, i + n] for n in range(1, min(longest, width - i) + 1) if alive[n - 1][i]] + [by_byte[:, i] + b[:, i + 1]])
                 b[:, i] = np.where(i < size, _log_sum(terms), b[:, i])
             for n in range(1, longest + 1):
                 m = width - n + 1
@@ -307,8 +321,8 @@ def held_out(docs: DataFrame) -> DataFrame:
 def score(docs: DataFrame, path: str, rounds: int = 4, hot_words: int = 65_536) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
 
-    Word counts, vocabulary and piece counts come from all training texts. The `hot_words` words met most in
-    training (of at most 64 bytes: a bounded table) go to the tasks; every other word of a text joins
+    Word counts, vocabulary and piece counts come from all training texts. At most `hot_words` words, those met
+    most in training and of at most 64 bytes (a bounded table), go to the tasks; every other word of a text joins
     the word table by a shuffle, so no size of vocabulary has to fit anywhere. Null and empty texts are
     the end alone. Repeated rows each count and keep their row. Without training texts the base is 1 over 1.
     """
@@ -329,7 +343,14 @@ def score(docs: DataFrame, path: str, rounds: int = 4, hot_words: int = 65_536)
     at_end = Arcs(*shares).log_add(ends, logp[END])
     scored = durable(words.mapInArrow(remote(HERE, "word_batches", logp=logp, shares=shares), "word string, n_train long, logp double"))
     floor = math.log10(total + distinct + 1)
-    top = scored.where(F.octet_length("word") <= HOT_BYTES).orderBy(F.desc("n_train"), "word").limit(hot_words).collect()
+    eighth = F.floor(F.log2("n_train") * 8).cast("int")
+    known = scored.where((F.col("n_train") > 0) & (F.octet_length("word") <= HOT_BYTES))
+    least, room = 1 << 30, hot_words
+    for r in sorted(known.groupBy(eighth.alias("e")).count().collect(), key=lambda r: -r["e"]):  # a row an eighth of a doubling
+        if r["count"] > room:
+            break
+        least, room = r["e"], room - r["count"]
+    top = known.where(eighth >= least).collect()  # at most hot_words
     hot = {r["word"]: (math.log10(r["n_train"] + 1) - floor, r["logp"], r["n_train"]) for r in top} | {"": (0.0, at_end, 0)}
     tally = rows.mapInArrow(remote(HERE, "tally_batches", hot=hot, base=(math.log10(ends + 1) - floor, ends)), "uid long, word string, tf long, doc_id long, held_out boolean, n_tokens long, hot_known long, hot_base double, hot_score double")
     joined = tally.join(scored, "word", "left")

@@ -95,10 +95,12 @@ def measure(text: str | None) -> tuple[int, ...]:
     )
 
 
-def measure_batches(batches, column: str = "text"):
+def measure_batches(batches, inside: str | None = None):
+    """Adds the measures of each text: of the column text, which goes, or of the field text of the struct `inside`, which stays."""
     for b in batches:
-        rows = np.array([measure(t) for t in b.column(column).to_pylist()], np.int64).reshape(-1, len(NAMES))
-        keep = [i for i, n in enumerate(b.schema.names) if n != column]
+        found = b.column(inside).field("text") if inside else b.column("text")
+        rows = np.array([measure(t) for t in found.to_pylist()], np.int64).reshape(-1, len(NAMES))
+        keep = [i for i, n in enumerate(b.schema.names) if n != "text"]
         yield pa.RecordBatch.from_arrays([b.column(i) for i in keep] + [pa.array(rows[:, i]) for i in range(len(NAMES))], [b.schema.names[i] for i in keep] + NAMES)
 
 
@@ -199,7 +201,7 @@ def keep_good(docs: DataFrame) -> DataFrame:
     Measuring is repeated rather than joined back: texts are not shuffled.
     """
     model = learn(texts(docs).mapInArrow(remote(HERE, "measure_batches"), f"doc_id long, {MEASURES}"))
-    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
-    held = docs.select(row, F.col("text").cast("string").alias("text"))
+    row = F.struct(*[F.col(f"`{c}`").cast("string").alias(c) if c == "text" else F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    held = docs.select(row)
     schema = T.StructType([held.schema["row"], *[T.StructField(n, T.LongType()) for n in NAMES]])
-    return judge(held.mapInArrow(remote(HERE, "measure_batches"), schema), model).where("kept").select("row.*")
+    return judge(held.mapInArrow(remote(HERE, "measure_batches", inside="row"), schema), model).where("kept").select("row.*")
