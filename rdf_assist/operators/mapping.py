@@ -155,12 +155,12 @@ class Graph:
         return made.withColumns({"o_lang": F.lit(None).cast("string"), "o_len": F.when(F.col("o_kind") == "literal", F.length("o")), "o_num": F.lit(None).cast("double"), "o_ts": F.lit(None).cast("timestamp")})
 
     def extent(self, p: str) -> DataFrame:
-        """The triples of one predicate."""
+        """The triples of one predicate; none if no table carries it."""
         found = [self._facts(e, p) for e in self.entities if p in e.facts]
         if p in ("subClassOf", "label") and self.schema_edges:
             found.append(self.schema().where(F.col("p") == p))
         if not found:
-            raise KeyError(f"no such predicate: {p}")
+            return self.schema().where(F.lit(False)).select(*COLUMNS)
         return reduce(DataFrame.unionByName, found)
 
     def triples(self, predicates: list[str] | None = None) -> DataFrame:

@@ -62,7 +62,7 @@ def episodes(log: DataFrame) -> DataFrame:
     seen = log.withColumn("over", F.coalesce(F.max(F.when(F.col("outcome") == "success", 1)).over(order), F.lit(0)))
     held = seen.where("over = 0")
     return held.groupBy("system", "participant", "qid", "category").agg(
-        F.bool_or(F.col("outcome") == "success").alias("answered"), F.count_if(F.col("click")).alias("attempts"), F.round(F.sum("seconds"), 6).alias("seconds"))
+        F.coalesce(F.bool_or(F.col("outcome") == "success"), F.lit(False)).alias("answered"), F.count_if(F.col("click")).alias("attempts"), F.round(F.sum("seconds"), 6).alias("seconds"))
 
 
 def per_participant(log: DataFrame) -> DataFrame:

@@ -154,7 +154,8 @@ def run(g: Graph, q: SelectQuery, sources: dict | None = None, hint: str | None
     else:
         names = [v for v in (q.variables or q.all_variables()) if v not in q.hide]
         if q.distinct:
-            df = df.groupBy(*names).agg(*[F.first(c).alias(c) for c in df.columns if c.startswith(EXTRA) and c.split("_", 2)[2] in names])
+            kept = [F.first(c).alias(c) for c in df.columns if c.startswith(EXTRA) and c.split("_", 2)[2] in names]
+            df = df.groupBy(*names).agg(*kept) if kept else df.select(*names).distinct()
     if q.order_by:
         df = df.orderBy(*[F.desc(_value(v, df.columns)) if down else F.asc(_value(v, df.columns)) for v, down in q.order_by])
     if q.offset:
