@@ -148,7 +148,7 @@ def joined_buckets(frame, most: int, small: int = 16):
 
     Buckets of up to `small` members compare each pair. Larger ones are searched breadth first: what
     is connected already is only compared with what is not, so a bucket that holds one group of
-    copies costs about one comparison a member, and only the edges of a spanning forest go out.
+    copies costs about one comparison a member. Of all edges found, those of two spanning forests go out.
     """
     import pandas as pd
 
@@ -163,11 +163,13 @@ def joined_buckets(frame, most: int, small: int = 16):
     ids, sketch = ids[order], sketch[order]
     begin = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
     length = np.diff(np.r_[begin, len(bucket)])
-    left, right = [], []
+    left, right, far = [], [], []
     few = np.repeat(length <= small, length)
     for step in range(1, small):
         i = np.flatnonzero(few[:-step] & (bucket[step:] == bucket[:-step])) if len(bucket) > step else np.zeros(0, int)
-        i = i[np.bitwise_count(sketch[i] ^ sketch[i + step]) <= most]
+        d = np.bitwise_count(sketch[i] ^ sketch[i + step])
+        i = i[d <= most]
+        far.append(d[d <= most])
         left.append(ids[i])
         right.append(ids[i + step])
     for lo, n in zip(begin[length > small], length[length > small], strict=True):
@@ -176,16 +178,48 @@ def joined_buckets(frame, most: int, small: int = 16):
             queue, rest = [rest[0]], rest[1:]
             while queue and len(rest):
                 at = queue.pop()
-                near = np.bitwise_count(sketch[rest] ^ sketch[at]) <= most
+                d = np.bitwise_count(sketch[rest] ^ sketch[at])
+                near = d <= most
                 hit = rest[near]
                 if len(hit):
+                    far.append(d[near])
                     left.append(np.full(len(hit), ids[at]))
                     right.append(ids[hit])
                     queue += list(hit)
                     rest = rest[~near]
     a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
-    pairs = pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b)})
-    return pairs[pairs.a != pairs.b].drop_duplicates()
+    apart = np.concatenate(far) if far else np.zeros(0, np.int64)
+    return pd.DataFrame(forests(np.minimum(a, b), np.maximum(a, b), apart), columns=["a", "b"])
+
+
+def forests(a: np.ndarray, b: np.ndarray, apart: np.ndarray) -> list[tuple[int, int]]:
+    """Two forests, the closest edges first: one that connects what all edges connect, and one of the edges left over.
+
+    Sketches are estimates: where the complete distance rejects an edge, another may still hold its ends together.
+    """
+    _, where = np.unique(np.concatenate([a, b]), return_inverse=True)
+    left, right = where[: len(a)].tolist(), where[len(a) :].tolist()
+    order = np.argsort(apart, kind="stable").tolist()
+    out = []
+    for _ in range(2):
+        up = list(range(len(where)))
+
+        def root(x: int, up: list[int] = up) -> int:
+            while up[x] != x:
+                up[x] = up[up[x]]
+                x = up[x]
+            return x
+
+        rest = []
+        for i in order:
+            x, y = root(left[i]), root(right[i])
+            if x != y:
+                up[x] = y
+                out.append((int(a[i]), int(b[i])))
+            elif left[i] != right[i]:
+                rest.append(i)
+        order = rest
+    return out
 
 
 def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 21, per_bucket: int = 1_000_000) -> DataFrame:
