@@ -153,13 +153,14 @@ def blobs(part, columns):
     import numpy as np
     import pyarrow as pa
 
+    if not len(part):
+        return
     order = np.argsort(part, kind="stable")
     columns = [c[order] for c in columns]
     part = part[order]
-    begin = np.flatnonzero(np.r_[True, part[1:] != part[:-1]]) if len(part) else np.zeros(0, int)
+    begin = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
     out = [pack_columns([c[lo:hi] for c in columns]) for lo, hi in zip(begin, np.r_[begin[1:], len(part)], strict=True)]
-    if out:
-        yield pa.RecordBatch.from_arrays([pa.array(part[begin], pa.int32()), pa.array(out, pa.binary())], ["part", "blob"])
+    yield pa.RecordBatch.from_arrays([pa.array(part[begin], pa.int32()), pa.array(out, pa.binary())], ["part", "blob"])
 
 
 def unblob(found):
