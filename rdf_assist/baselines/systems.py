@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 
 from ..functions.lexicon import WORDS
 from ..functions.similarity import _winkler
+from ..operators.harvest import types as entity_types
 from ..operators.mapping import Graph
 from ..plans import compile as plan
 from ..plans.ir import Pattern, SelectQuery, iri, lit, var
@@ -75,7 +76,7 @@ def factoid_qa(g: Graph, phrase: str, theta: float = 0.95) -> DataFrame | None:
 
 def build_summary(g: Graph) -> DataFrame:
     """(class_s, p, class_o, n): how classes are linked; class_o is 'literal' for literals."""
-    types = g.extent("type").select("s", F.regexp_replace("o", "^class/", "").alias("c"))
+    types = entity_types(g)
     subject = types.select(F.col("s"), F.col("c").alias("class_s"))
     target = types.select(F.col("s").alias("o"), F.col("c").alias("class_o"))
     links = g.triples([p for p in g.kinds("iri") if p not in ("type", "subClassOf")]).select("s", "p", "o").join(subject, "s").join(target, "o")

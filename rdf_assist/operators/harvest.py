@@ -39,7 +39,8 @@ def cacheable(literals: DataFrame, max_len: int = 80, langs: tuple[str, ...] = (
 
 
 def types(g: Graph) -> DataFrame:
-    return g.extent("type").select("s", F.regexp_replace("o", "^class/", "").alias("c"))
+    """(s, c) once for each entity, which has one class. Grouping by s also puts the rows where joins on s want them."""
+    return g.extent("type").groupBy("s").agg(F.min(F.regexp_replace("o", "^class/", "")).alias("c"))
 
 
 def extent_sizes(g: Graph, max_len: int = 80, langs: tuple[str, ...] = ("en",)) -> DataFrame:
@@ -116,7 +117,8 @@ def plan_harvest(g: Graph, cost: EndpointCost, max_queries: int | None = None, m
 
 def type_frequency(g: Graph) -> DataFrame:
     """(c, n) of the classes that entities carry, for sources without a hierarchy."""
-    return types(g).groupBy("c").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "c")
+    named = g.extent("type").select(F.regexp_replace("o", "^class/", "").alias("c"))
+    return named.groupBy("c").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "c")
 
 
 def plan_harvest_flat(g: Graph, cost: EndpointCost, max_queries: int | None = None, max_len: int = 80, langs: tuple[str, ...] = ("en",)) -> DataFrame:

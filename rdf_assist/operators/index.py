@@ -61,7 +61,7 @@ def store(c: Cache, path: str, rows_per_file: int = 2_000_000) -> Cache:
 
 
 def open_cache(spark: SparkSession, path: str) -> Cache:
-    return Cache(spark.read.parquet(f"{path}/terms"), spark.read.parquet(f"{path}/suffixes"), spark.read.parquet(f"{path}/residual"))
+    return Cache(spark.read.parquet(f"{path}/terms"), spark.read.parquet(f"{path}/suffixes"), spark.read.schema("lit string, score long, folded string, lit_len int").parquet(f"{path}/residual"))
 
 
 def suffix_lookup(c: Cache, text: str) -> DataFrame:
