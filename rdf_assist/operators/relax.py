@@ -227,11 +227,12 @@ def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 10
     if joined != set(s.groups):
         return out
     found: dict[frozenset, int] = {}
+    own_seeds = {r.vertex for r in seeds.select("vertex").collect()}  # k for each literal
     for combo in itertools.islice(itertools.product(*paths), max_trees * 5):
         edges_ = {e for c in combo for e in c}
         keep = {v for e in edges_ for v in (e[0], e[2])}
         induced = _induced(s, keep) | edges_
-        terminals = {v for v in keep if v.startswith('"')} & {r.vertex for r in seeds.select("vertex").collect()}
+        terminals = keep & own_seeds
         for t in trees.spanning_trees(sorted(induced), max_trees):
             t = trees.prune(t, terminals)
             found[t] = trees.cost(t)
@@ -240,7 +241,7 @@ def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 10
     out.capped = len(best_trees) > max_trees
     out.trees = [frozenset(t) for t in best_trees[:max_trees]]
     out.found, out.cost = True, least
-    out.terminals = sorted({v for t in out.trees for e in t for v in (e[0], e[2]) if v.startswith('"')})
+    out.terminals = sorted({v for t in out.trees for e in t for v in (e[0], e[2])} & own_seeds)
     return out
 
 
@@ -326,7 +327,7 @@ def relax(g: Graph, q: SelectQuery, liked: list[str] | None = None, c: Cache | N
     """(connection, suggested queries): each minimum tree as a query. One literal, or literals that do not connect, give none."""
     liked = liked if liked is not None else sorted({p.p.value for p in q.patterns if p.p.kind == "iri"})
     made = connect_seeds(g, seed_groups(g, c, q, k), liked, **kw)
-    return made, [trees.tree_to_query(t, set(made.terminals), q) for t in made.trees]
+    return made, [trees.tree_to_query(t, {v for v in made.terminals if v.startswith('"')}, q) for t in made.trees]
 
 
 def store_edges(g: Graph, table: str, buckets: int = 32) -> DataFrame:

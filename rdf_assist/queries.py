@@ -523,7 +523,7 @@ def comparison_runs(spark: SparkSession, d: str, questions: list) -> DataFrame:
     g = star(spark, d)
     c = index.build_cache(g, M)
     summary = systems.build_summary(g).collect()  # classes x predicates
-    feats = systems.features(g)
+    feats = systems.features(g).persist()
     rows = []
 
     def values(df):
@@ -555,6 +555,7 @@ def comparison_runs(spark: SparkSession, d: str, questions: list) -> DataFrame:
             rows.append(("query-by-example learner", q.qid, sorted(systems.feedback_loop(feats, set(answers_))[0])))
         else:
             rows.append(("query-by-example learner", q.qid, []))
+    feats.unpersist()
     return _answer_rows(spark, rows)
 
 
