@@ -236,9 +236,22 @@ def _counted(counts: Counter):
     return pa.RecordBatch.from_arrays([pa.array([w.decode("utf-8", "replace") for w in counts], pa.string()), pa.array(list(counts.values()), pa.int64())], ["word", "n_train"])
 
 
+def gathered(batches, rows: int = 16_384):
+    """Batches of short rows put together, so that lattices work on long arrays whatever the session's batch size."""
+    held, n = [], 0
+    for b in batches:
+        held.append(b)
+        n += b.num_rows
+        if n >= rows:
+            yield pa.Table.from_batches(held).combine_chunks()
+            held, n = [], 0
+    if n:
+        yield pa.Table.from_batches(held).combine_chunks()
+
+
 def expect_batches(batches, logp: dict):
     lattice = Lattice(logp)
-    for b in batches:
+    for b in gathered(batches):
         words, n = b.column("word").to_pylist(), b.column("n_train").to_numpy()
         own = np.flatnonzero(n > 0)
         lattice.run([words[i] for i in own.tolist()], np.ones(len(own)))
@@ -266,10 +279,10 @@ class Arcs:
 
 def word_batches(batches, logp: dict, shares: tuple):
     lattice, arcs = Lattice(logp), Arcs(*shares)
-    for b in batches:
+    for b in gathered(batches):
         by_pieces = lattice.run(b.column("word").to_pylist()).tolist()
         found = [arcs.log_add(n, p) for p, n in zip(by_pieces, b.column("n_train").to_pylist(), strict=True)]
-        yield pa.RecordBatch.from_arrays([b.column("word"), b.column("n_train"), pa.array(found, pa.float64())], ["word", "n_train", "logp"])
+        yield from pa.table({"word": b["word"], "n_train": b["n_train"], "logp": pa.array(found, pa.float64())}).to_batches(10_000)
 
 
 def tally_batches(batches, hot: dict, base: tuple[float, float]):
