@@ -53,7 +53,7 @@ def public_path(name: str) -> str:
 class Encoder:
     """encode(text) gives the ids as little-endian unsigned 32-bit bytes."""
 
-    def __init__(self, path: str, limit: int = 800_000):
+    def __init__(self, path: str, limit: int = 1_200_000):
         from tokenizers import Tokenizer
 
         with open(path, encoding="utf-8") as f:
@@ -61,7 +61,7 @@ class Encoder:
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.no_padding()
         self.tokenizer.no_truncation()
-        self.limit, self.known, self.old = limit, {}, {}
+        self.limit, self.known = limit, {}
         added = [x["content"] for x in spec.get("added_tokens") or []]
         self.added = re.compile("|".join(map(re.escape, added))) if added else None
         before, norm = spec.get("pre_tokenizer") or {}, spec.get("normalizer")
@@ -106,25 +106,14 @@ class Encoder:
         return self.encode_all([text])[0]
 
     def encode_all(self, found: list[str]) -> list[bytes]:
-        """The ids of each text; words that are new go to the library together.
-
-        Words are held in two generations of half the limit each: when the newer one is full it becomes the
-        older one, and words that are met again move on, so that frequent words stay and rare ones go.
-        """
+        """The ids of each text; words that are new go to the library together."""
         cut = [self.split(t) for t in found]
-        words = set().union(*[w for w in cut if w])
-        new = words.difference(self.known)
-        if len(self.known) + len(new) > self.limit // 2:
-            self.known, self.old, new = {}, self.known, words
-        known, old = self.known, self.old
-        unseen = []
-        for w in new:
-            ids = old.get(w)
-            if ids is None:
-                unseen.append(w)
-            else:
-                known[w] = ids
-        self.learn(unseen)
+        known = self.known
+        new = set().union(*[w for w in cut if w]).difference(known)
+        if len(known) + len(new) > self.limit:
+            known.clear()
+            new = set().union(*[w for w in cut if w])
+        self.learn(list(new))
         get, join = known.__getitem__, b"".join
         return [join(map(get, w)) if w is not None else array("I", self.whole(t)).tobytes() for t, w in zip(found, cut, strict=True)]
 
