@@ -43,7 +43,12 @@ def remote(module: str, name: str, **kw):
 
         if root not in sys.path:
             sys.path.insert(0, root)
-        yield from getattr(importlib.import_module(module), name)(batches, **kw)
+        try:
+            yield from getattr(importlib.import_module(module), name)(batches, **kw)
+        finally:  # workers live on between tasks; what Arrow holds back would stay with them
+            import pyarrow
+
+            pyarrow.default_memory_pool().release_unused()
 
     return call
 
