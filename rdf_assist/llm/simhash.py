@@ -16,7 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blobs, durable, mixed, remote, remote_group, texts, unblob
+from .common import durable, mixed, pack_columns, remote, remote_group, texts, unpack_columns
 from .graph import components
 
 HERE = __name__
@@ -117,9 +117,10 @@ def bits_apart(similarity: float, bits: int) -> int:
 
 
 def segment_blobs(batches, lanes: int, width: int, parts: int):
-    """Rows (part, blob) of the lookups of each fingerprint: arrays of key, id, sketch (its first 64 bits) and own.
+    """Rows (part, blob) of the lookups of each fingerprint: arrays of key, own, place, and the ids and words the places point to.
 
     A key holds segment and value. own marks the table entry; the other rows look up values one cleared bit away.
+    A fingerprint's id and words travel once for each part, however many of its rows go there.
     """
     count = 64 * lanes // width
     one = (1 << np.arange(width, dtype=np.int64))[None, :]
@@ -138,21 +139,43 @@ def segment_blobs(batches, lanes: int, width: int, parts: int):
             key += [value, value[r] - one[0, c]]
             own += [np.ones(len(fps), np.uint8), np.zeros(len(r), np.uint8)]
         row, key, own = map(np.concatenate, (row, key, own))
-        sketch = np.ascontiguousarray(mat[:, :8]).view(np.uint64).ravel()[row]
-        ids = b.column("id").to_numpy(zero_copy_only=False)[row]
-        yield from blobs((mixed(key) % np.uint64(parts)).astype(np.int64), [key, ids, sketch, own])
+        yield from packed_lookups(b.column("id").to_numpy(zero_copy_only=False), mat, row, key, own, parts)
+
+
+def packed_lookups(ids: np.ndarray, mat: np.ndarray, row: np.ndarray, key: np.ndarray, own: np.ndarray, parts: int):
+    part = (mixed(key) % np.uint64(parts)).astype(np.int64)
+    order = np.argsort(part, kind="stable")
+    part, row, key, own = part[order], row[order], key[order], own[order]
+    begin = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
+    out = []
+    for lo, hi in zip(begin, np.r_[begin[1:], len(part)], strict=True):
+        used, place = np.unique(row[lo:hi], return_inverse=True)
+        words = np.ascontiguousarray(mat[used]).view(np.uint64).ravel()
+        out.append(pack_columns([key[lo:hi], own[lo:hi], place.astype(np.uint32), ids[used], words]))
+    yield pa.RecordBatch.from_arrays([pa.array(part[begin], pa.int32()), pa.array(out, pa.binary())], ["part", "blob"])
 
 
 def joined_buckets(frame, most: int, small: int = 16):
-    """Candidate edges (a, b) of ids in each key's bucket whose sketches are within `most` bits.
+    """Edges (a, b) of ids in each key's bucket whose complete fingerprints are within `most` bits.
 
     Buckets of up to `small` members compare each pair. Larger ones are searched breadth first: what
     is connected already is only compared with what is not, so a bucket that holds one group of
-    copies costs about one comparison a member. Of all edges found, those of two spanning forests go out.
+    copies costs about one comparison a member. Every edge is verified before any is left away,
+    so the spanning forest that goes out connects all that the edges connect.
     """
     import pandas as pd
 
-    key, ids, sketch, own = unblob(frame["blob"])
+    key, own, at, ids, words = [], [], [], [], []
+    held = 0
+    for blob in frame["blob"]:
+        k, o, p, i, w = unpack_columns(blob)
+        key.append(k)
+        own.append(o)
+        at.append(p.astype(np.int64) + held)
+        ids.append(i)
+        words.append(w.reshape(len(i), -1))
+        held += len(i)
+    key, own, at, ids, words = map(np.concatenate, (key, own, at, ids, words))
     order = np.argsort(key, kind="stable")
     key = key[order]
     start = np.r_[True, key[1:] != key[:-1]]
@@ -160,65 +183,52 @@ def joined_buckets(frame, most: int, small: int = 16):
     size = np.bincount(bucket)
     keep = (size[bucket] > 1) & (np.bincount(bucket, own[order])[bucket] > 0)
     order, bucket = order[keep], bucket[keep]
-    ids, sketch = ids[order], sketch[order]
+    at = at[order]
     begin = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
     length = np.diff(np.r_[begin, len(bucket)])
-    left, right, far = [], [], []
+    left, right = [], []
     few = np.repeat(length <= small, length)
+
+    def near(x, y):
+        d = np.zeros(np.broadcast(x, y).shape, np.int64)
+        for w in range(words.shape[1]):
+            d += np.bitwise_count(words[x, w] ^ words[y, w])
+        return d <= most
+
     for step in range(1, small):
         i = np.flatnonzero(few[:-step] & (bucket[step:] == bucket[:-step])) if len(bucket) > step else np.zeros(0, int)
-        d = np.bitwise_count(sketch[i] ^ sketch[i + step])
-        i = i[d <= most]
-        far.append(d[d <= most])
-        left.append(ids[i])
-        right.append(ids[i + step])
+        i = i[near(at[i], at[i + step])]
+        left.append(ids[at[i]])
+        right.append(ids[at[i + step]])
     for lo, n in zip(begin[length > small], length[length > small], strict=True):
-        rest = np.arange(lo, lo + n)
+        rest = at[lo : lo + n]
         while len(rest) > 1:
             queue, rest = [rest[0]], rest[1:]
             while queue and len(rest):
-                at = queue.pop()
-                d = np.bitwise_count(sketch[rest] ^ sketch[at])
-                near = d <= most
-                hit = rest[near]
-                if len(hit):
-                    far.append(d[near])
-                    left.append(np.full(len(hit), ids[at]))
-                    right.append(ids[hit])
-                    queue += list(hit)
-                    rest = rest[~near]
+                x = queue.pop()
+                hit = near(x, rest)
+                if hit.any():
+                    left.append(np.full(hit.sum(), ids[x]))
+                    right.append(ids[rest[hit]])
+                    queue += list(rest[hit])
+                    rest = rest[~hit]
     a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
-    apart = np.concatenate(far) if far else np.zeros(0, np.int64)
-    return pd.DataFrame(forests(np.minimum(a, b), np.maximum(a, b), apart), columns=["a", "b"])
-
+    return pd.DataFrame(forest(a, b), columns=["a", "b"])
 
-def forests(a: np.ndarray, b: np.ndarray, apart: np.ndarray) -> list[tuple[int, int]]:
-    """Two forests, the closest edges first: one that connects what all edges connect, and one of the edges left over.
 
-    Sketches are estimates: where the complete distance rejects an edge, another may still hold its ends together.
-    """
+def forest(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
+    """Of verified edges, those of one spanning forest: it connects what all of them connect."""
     _, where = np.unique(np.concatenate([a, b]), return_inverse=True)
     left, right = where[: len(a)].tolist(), where[len(a) :].tolist()
-    order = np.argsort(apart, kind="stable").tolist()
-    out = []
-    for _ in range(2):
-        up = list(range(len(where)))
-
-        def root(x: int, up: list[int] = up) -> int:
-            while up[x] != x:
-                up[x] = up[up[x]]
-                x = up[x]
-            return x
-
-        rest = []
-        for i in order:
-            x, y = root(left[i]), root(right[i])
-            if x != y:
-                up[x] = y
-                out.append((int(a[i]), int(b[i])))
-            elif left[i] != right[i]:
-                rest.append(i)
-        order = rest
+    up, out = list(range(len(where))), []
+    for i, (x, y) in enumerate(zip(left, right, strict=True)):
+        while up[x] != x:
+            up[x] = x = up[up[x]]
+        while up[y] != y:
+            up[y] = y = up[up[y]]
+        if x != y:
+            up[x] = y
+            out.append((int(a[i]), int(b[i])))
     return out
 
 
@@ -237,12 +247,7 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, l
     rows = firsts.count() * (1 + width / 2) * (bits // width)
     parts = max(1, math.ceil(rows / per_bucket))
     blob = firsts.select("id", "fp").mapInArrow(remote(HERE, "segment_blobs", lanes=lanes, width=width, parts=parts), "part int, blob binary")
-    most = bits_apart(similarity, 64)
-    near = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=most + 7), "a long, b long").distinct()
-    words = [F.conv(F.hex(F.substring("fp", 8 * i + 1, 8)), 16, -10).cast("long") for i in range(lanes)]
-    full = firsts.select("id", F.array(*words).alias("w"))
-    apart = F.expr("aggregate(zip_with(x.w, y.w, (p, q) -> bit_count(p ^ q)), 0, (n, c) -> n + c)")
-    edges = near.join(full.select(F.col("id").alias("a"), F.struct("w").alias("x")), "a").join(full.select(F.col("id").alias("b"), F.struct("w").alias("y")), "b").where(apart <= bits_apart(similarity, bits)).select("a", "b")
+    edges = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=bits_apart(similarity, bits)), "a long, b long")
     group = components(edges)
     rooted = firsts.select("id", "first").join(group.withColumnRenamed("node", "id"), "id", "left").select("id", "first", F.coalesce("root", "id").alias("root"))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))

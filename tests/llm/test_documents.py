@@ -173,6 +173,20 @@ def test_near_copies_go(spark, odd, empty):
     assert simhash.keep_first(empty).count() == 0
 
 
+def test_edges_are_verified_before_they_are_thinned():
+    """In one bucket, c is near x and y on the first word only; x and y are near in full and must stay connected."""
+    import pandas as pd
+
+    c, x = np.zeros(4, "<u8"), np.array([0, *[2**64 - 1] * 3], "<u8")
+    fps = [c, x, x ^ np.array([0, 1, 0, 0], "<u8"), *[np.array([2**64 - 1, i << 20, 2**63 + i, 0], "<u8") ^ np.uint64(i * 0x9E3779B97F4A7C15 % 2**64) for i in range(1, 20)]]
+    mat = np.array(fps).view(np.uint8).reshape(len(fps), -1)
+    n = len(fps)
+    batches = simhash.packed_lookups(np.arange(n), mat, np.arange(n), np.zeros(n, np.int64), np.ones(n, np.uint8), 1)
+    frame = pd.concat([b.to_pandas() for b in batches])
+    edges = {frozenset(e) for e in simhash.joined_buckets(frame, most=39).itertuples(index=False)}
+    assert frozenset((1, 2)) in edges and not any(0 in e for e in edges)
+
+
 def _cut(rows, span=50):
     least = {}
     for d, t in rows:
