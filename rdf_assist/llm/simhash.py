@@ -27,11 +27,16 @@ HOT = 32
 def fingerprint(text: str | None, shingle: int = 3, lanes: int = 1) -> bytes:
     """8 * lanes bytes. Null, empty or blank text: all zero bits."""
     words = text.encode("utf-8", "surrogatepass").translate(_LOWER).split() if text else []
-    if not words:
-        return bytes(8 * lanes)
     n = max(1, len(words) - shingle + 1)
     digest, join = xxhash.xxh64_intdigest, b" ".join
-    h = np.fromiter((digest(join(words[i : i + shingle]), 42) for i in range(n)), np.uint64, n)
+    return bits_of(np.fromiter((digest(join(words[i : i + shingle]), 42) for i in range(n)), np.uint64, n) if words else np.zeros(0, np.uint64), lanes)
+
+
+def bits_of(h: np.ndarray, lanes: int) -> bytes:
+    """The majority of each bit over shingle hashes, 64 bits a lane; no hashes give zero bits."""
+    n = len(h)
+    if not n:
+        return bytes(8 * lanes)
     out = []
     for lane in range(lanes):
         x = h
@@ -116,42 +121,58 @@ def bits_apart(similarity: float, bits: int) -> int:
     return round(bits * math.acos(2 * similarity / (1 + similarity)) / math.pi)
 
 
-def segment_blobs(batches, lanes: int, width: int, parts: int):
-    """Rows (part, blob) of the lookups of each fingerprint: arrays of key, own, place, and the ids and words the places point to.
+def shingle_set(text: str | None, shingle: int) -> np.ndarray:
+    """The distinct 64-bit hashes of a text's word shingles, in order; no words give none."""
+    words = text.encode("utf-8", "surrogatepass").translate(_LOWER).split() if text else []
+    if not words:
+        return np.zeros(0, np.uint64)
+    digest, join = xxhash.xxh64_intdigest, b" ".join
+    n = max(1, len(words) - shingle + 1)
+    return np.unique(np.fromiter((digest(join(words[i : i + shingle]), 42) for i in range(n)), np.uint64, n))
+
 
-    A key holds segment and value. own marks the table entry; the other rows look up values one cleared bit away.
-    A fingerprint's id and words travel once for each part, however many of its rows go there.
+def set_name(found: np.ndarray) -> bytes:
+    """16 bytes that name a shingle set."""
+    return xxhash.xxh3_128_digest(found.astype("<u8").tobytes())
+
+
+def set_batches(batches, shingle: int, lanes: int):
+    for b in batches:
+        sets = [shingle_set(t, shingle) for t in b.column("text").to_pylist()]
+        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([set_name(x) for x in sets], pa.binary()), pa.array([bits_of(x, lanes) for x in sets], pa.binary())], ["doc_id", "id", "fp"])
+
+
+def segment_blobs(batches, lanes: int, width: int, orders: int, parts: int):
+    """Rows (part, blob) of the lookups of each fingerprint: arrays of key, place, and the ids and words the places point to.
+
+    A key holds segment and value. Segments are cut from the bits in `orders` fixed orders. A fingerprint's id
+    and words travel once for each part, however many of its rows go there.
     """
     count = 64 * lanes // width
-    one = (1 << np.arange(width, dtype=np.int64))[None, :]
+    one = 1 << np.arange(width, dtype=np.int64)
+    mixes = [np.random.default_rng(o).permutation(64 * lanes)[: count * width] for o in range(orders)]
     for b in batches:
         fps = b.column("fp").to_pylist()
         if not fps:
             continue
         mat = np.frombuffer(b"".join(fps), np.uint8).reshape(len(fps), -1)
         bits = np.unpackbits(mat, axis=1)
-        row, key, own = [], [], []
-        for s in range(count):
-            part = bits[:, s * width : (s + 1) * width].astype(np.int64)
-            value = (part * one).sum(axis=1) + (s << 40)
-            r, c = np.nonzero(part)
-            row += [np.arange(len(fps)), r]
-            key += [value, value[r] - one[0, c]]
-            own += [np.ones(len(fps), np.uint8), np.zeros(len(r), np.uint8)]
-        row, key, own = map(np.concatenate, (row, key, own))
-        yield from packed_lookups(b.column("id").to_numpy(zero_copy_only=False), mat, row, key, own, parts)
-
-
-def packed_lookups(ids: np.ndarray, mat: np.ndarray, row: np.ndarray, key: np.ndarray, own: np.ndarray, parts: int):
+        found = [bits[:, m].reshape(len(fps), count, width) @ one + ((np.arange(count) + o * count) << 40) for o, m in enumerate(mixes)]
+        key = np.concatenate(found, axis=1).ravel()
+        ids = np.frombuffer(b"".join(b.column("id").to_pylist()), "V16")
+        yield from packed_lookups(ids, mat, np.repeat(np.arange(len(fps)), count * orders), key, parts)
+
+
+def packed_lookups(ids: np.ndarray, mat: np.ndarray, row: np.ndarray, key: np.ndarray, parts: int):
     part = (mixed(key) % np.uint64(parts)).astype(np.int64)
     order = np.argsort(part, kind="stable")
-    part, row, key, own = part[order], row[order], key[order], own[order]
+    part, row, key = part[order], row[order], key[order]
     begin = np.flatnonzero(np.r_[True, part[1:] != part[:-1]])
     out = []
     for lo, hi in zip(begin, np.r_[begin[1:], len(part)], strict=True):
         used, place = np.unique(row[lo:hi], return_inverse=True)
         words = np.ascontiguousarray(mat[used]).view(np.uint64).ravel()
-        out.append(pack_columns([key[lo:hi], own[lo:hi], place.astype(np.uint32), ids[used], words]))
+        out.append(pack_columns([key[lo:hi], place.astype(np.uint32), ids[used], words]))
     yield pa.RecordBatch.from_arrays([pa.array(part[begin], pa.int32()), pa.array(out, pa.binary())], ["part", "blob"])
 
 
@@ -165,23 +186,22 @@ def joined_buckets(frame, most: int, small: int = 16):
     """
     import pandas as pd
 
-    key, own, at, ids, words = [], [], [], [], []
+    key, at, ids, words = [], [], [], []
     held = 0
     for blob in frame["blob"]:
-        k, o, p, i, w = unpack_columns(blob)
+        k, p, i, w = unpack_columns(blob)
         key.append(k)
-        own.append(o)
         at.append(p.astype(np.int64) + held)
         ids.append(i)
         words.append(w.reshape(len(i), -1))
         held += len(i)
-    key, own, at, ids, words = map(np.concatenate, (key, own, at, ids, words))
+    key, at, ids, words = map(np.concatenate, (key, at, ids, words))
     order = np.argsort(key, kind="stable")
     key = key[order]
     start = np.r_[True, key[1:] != key[:-1]]
     bucket = np.cumsum(start) - 1
     size = np.bincount(bucket)
-    keep = (size[bucket] > 1) & (np.bincount(bucket, own[order])[bucket] > 0)
+    keep = size[bucket] > 1
     order, bucket = order[keep], bucket[keep]
     at = at[order]
     begin = np.flatnonzero(np.r_[True, bucket[1:] != bucket[:-1]]) if len(bucket) else np.zeros(0, int)
@@ -198,8 +218,8 @@ def joined_buckets(frame, most: int, small: int = 16):
     for step in range(1, small):
         i = np.flatnonzero(few[:-step] & (bucket[step:] == bucket[:-step])) if len(bucket) > step else np.zeros(0, int)
         i = i[near(at[i], at[i + step])]
-        left.append(ids[at[i]])
-        right.append(ids[at[i + step]])
+        left.append(at[i])
+        right.append(at[i + step])
     for lo, n in zip(begin[length > small], length[length > small], strict=True):
         rest = at[lo : lo + n]
         while len(rest) > 1:
@@ -208,12 +228,16 @@ def joined_buckets(frame, most: int, small: int = 16):
                 x = queue.pop()
                 hit = near(x, rest)
                 if hit.any():
-                    left.append(np.full(hit.sum(), ids[x]))
-                    right.append(ids[rest[hit]])
+                    left.append(np.full(hit.sum(), x))
+                    right.append(rest[hit])
                     queue += list(rest[hit])
                     rest = rest[~hit]
     a, b = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (left, right))
-    return pd.DataFrame(forest(a, b), columns=["a", "b"])
+    _, name = np.unique(ids, return_inverse=True)
+    first = np.zeros(len(ids), np.int64)
+    first[name[::-1]] = np.arange(len(ids))[::-1]
+    edges = forest(first[name[a]], first[name[b]])
+    return pd.DataFrame([(ids[x].tobytes(), ids[y].tobytes()) for x, y in edges], columns=["a", "b"])
 
 
 def forest(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
@@ -232,24 +256,83 @@ def forest(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
     return out
 
 
-def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 21, per_bucket: int = 1_000_000) -> DataFrame:
-    """(doc_id, component_id): groups of texts at a shingle similarity of `similarity` or more.
+def grouped_sets(batches, shingle: int):
+    """(part, root, id, hashes) of the texts whose shingle set is the one asked for."""
+    for b in batches:
+        rows = []
+        for text, name, root, part in zip(*(b.column(c).to_pylist() for c in ("text", "id", "root", "part")), strict=True):
+            found = shingle_set(text, shingle)
+            if set_name(found) == name:
+                rows.append((part, root, name, found.tobytes()))
+        cols = list(zip(*rows, strict=True)) or [[]] * 4
+        yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(cols, (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["part", "root", "id", "hashes"])
+
+
+def exact_groups(frame, similarity: float):
+    """(id, root): within each loose group, what pairs at an exact Jaccard of `similarity` or more connect.
+
+    Breadth first: what is connected already is only compared with what is not, so no pair that could
+    join two groups is left out.
+    """
+    import pandas as pd
 
-    Distance 2 of 64 bits means a similarity near 0.99; 0.8 is about 10 of 64 bits, too many for
-    a small ball. So fingerprints are longer (256 bits), segments many (12 of 21 bits), balls stay at one
-    bit, and the complete distance must be no more than the similarity's expected one. Two texts at
-    0.9 are found with a chance above 0.99, at 0.8 (where the estimate itself is even) about half.
-    Rows without words never group here with others than rows without words.
+    out = []
+    for _, part in frame.groupby("root", sort=False):
+        part = part.drop_duplicates("id").sort_values("id")
+        ids = part["id"].tolist()
+        sets = [np.frombuffer(x, np.uint64) for x in part["hashes"]]
+        size = np.array([len(x) for x in sets], np.int64)
+        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), size)
+        rest = np.ones(len(sets), bool)
+        for seed in range(len(sets)):
+            if not rest[seed]:
+                continue
+            rest[seed] = False
+            queue = [seed]
+            out.append((ids[seed], ids[seed]))
+            keep = rest[owner]
+            flat, owner = flat[keep], owner[keep]
+            while queue and rest.any():
+                at = queue.pop()
+                if not size[at]:
+                    continue
+                own = sets[at]
+                place = np.minimum(np.searchsorted(own, flat), len(own) - 1)
+                common = np.bincount(owner[own[place] == flat], minlength=len(sets))
+                hit = np.flatnonzero(rest & (common >= similarity * (size + size[at] - common) - 1e-9))
+                if len(hit):
+                    rest[hit] = False
+                    out += [(ids[i], ids[seed]) for i in hit.tolist()]
+                    queue += hit.tolist()
+                    keep = rest[owner]
+                    flat, owner = flat[keep], owner[keep]
+    return pd.DataFrame(out, columns=["id", "root"])
+
+
+def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 18, orders: int = 10, per_bucket: int = 1_000_000) -> DataFrame:
+    """(doc_id, component_id): groups that pairs at an exact shingle Jaccard of `similarity` or more connect.
+
+    Candidates come from fingerprints of the distinct shingles, 256 bits, cut into segments of 18 bits in ten orders
+    of the bits. Fingerprints that share a segment and differ by no more than the similarity's expected
+    distance and three standard deviations make loose groups. Within a loose group every text's shingle
+    set is at hand and exact Jaccard decides; only how candidates are found is an estimate.
+    Rows without words never group here with others than rows without words. Rows without an id do not link others.
     """
     bits = 64 * lanes
-    found = durable(fingerprints(docs, shingle, lanes).select("doc_id", F.xxhash64("fp").alias("id"), "fp"))
+    found = durable(texts(docs).mapInArrow(remote(HERE, "set_batches", shingle=shingle, lanes=lanes), "doc_id long, id binary, fp binary"))
     firsts = durable(found.groupBy("id", "fp").agg(F.min("doc_id").alias("first")))
-    rows = firsts.count() * (1 + width / 2) * (bits // width)
-    parts = max(1, math.ceil(rows / per_bucket))
-    blob = firsts.select("id", "fp").mapInArrow(remote(HERE, "segment_blobs", lanes=lanes, width=width, parts=parts), "part int, blob binary")
-    edges = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=bits_apart(similarity, bits)), "a long, b long")
-    group = components(edges)
-    rooted = firsts.select("id", "first").join(group.withColumnRenamed("node", "id"), "id", "left").select("id", "first", F.coalesce("root", "id").alias("root"))
+    parts = max(1, math.ceil(firsts.count() * orders * (bits // width) / per_bucket))
+    blob = firsts.select("id", "fp").mapInArrow(remote(HERE, "segment_blobs", lanes=lanes, width=width, orders=orders, parts=parts), "part int, blob binary")
+    most = bits_apart(similarity, bits)
+    most += round(3 * math.sqrt(most * (1 - most / bits)))
+    edges = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=most), "a binary, b binary")
+    loose = durable(components(edges))
+    shares = max(1, math.ceil(loose.count() / 5000))
+    # the doc_id of the row that names a set; one doc_id may have several rows, so the set itself is checked again
+    asked = firsts.where("first is not null").join(loose.withColumnRenamed("node", "id"), "id").select(F.col("first").alias("doc_id"), "id", "root", F.pmod(F.xxhash64("root"), F.lit(shares)).cast("int").alias("part"))
+    sets = texts(docs).join(asked, "doc_id").select("text", "id", "root", "part").mapInArrow(remote(HERE, "grouped_sets", shingle=shingle), "part int, root binary, id binary, hashes binary")
+    group = sets.groupBy("part").applyInPandas(remote_group(HERE, "exact_groups", similarity=similarity), "id binary, root binary")
+    rooted = durable(firsts.select("id", "first").join(group, "id", "left").select("id", "first", F.coalesce("root", "id").alias("root")))
     least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
     return found.select("doc_id", "id").join(rooted.join(least, "root").select("id", "component_id"), "id", "left").select("doc_id", "component_id")
 

@@ -181,12 +181,37 @@ def test_edges_are_verified_before_they_are_thinned():
     fps = [c, x, x ^ np.array([0, 1, 0, 0], "<u8"), *[np.array([2**64 - 1, i << 20, 2**63 + i, 0], "<u8") ^ np.uint64(i * 0x9E3779B97F4A7C15 % 2**64) for i in range(1, 20)]]
     mat = np.array(fps).view(np.uint8).reshape(len(fps), -1)
     n = len(fps)
-    batches = simhash.packed_lookups(np.arange(n), mat, np.arange(n), np.zeros(n, np.int64), np.ones(n, np.uint8), 1)
+    batches = simhash.packed_lookups(np.array([i.to_bytes(16, "big") for i in range(n)], "V16"), mat, np.arange(n), np.zeros(n, np.int64), 1)
     frame = pd.concat([b.to_pandas() for b in batches])
-    edges = {frozenset(e) for e in simhash.joined_buckets(frame, most=39).itertuples(index=False)}
+    edges = {frozenset(int.from_bytes(x, "big") for x in e) for e in simhash.joined_buckets(frame, most=39).itertuples(index=False)}
     assert frozenset((1, 2)) in edges and not any(0 in e for e in edges)
 
 
+def _jaccard(a, b):
+    a, b = (set(zip(*[t.split()[i:] for i in range(5)], strict=False)) for t in (a, b))
+    return len(a & b) / len(a | b)
+
+
+def test_exact_similarity_decides(spark):
+    """Pairs at 0.80 to 0.95 group nearly always, pairs at 0.70 to 0.79 never."""
+    random.seed(3)
+    rows, near, far = [], [], []
+    for i in range(400):
+        text = [f"w{random.randrange(9000)}" for _ in range(300)]
+        other = list(text)
+        want = random.choice([0.73, 0.77, 0.81, 0.86, 0.92])
+        while True:
+            other[random.randrange(300)] = f"x{random.randrange(9000)}"
+            j = _jaccard(" ".join(text), " ".join(other))
+            if j < want + 0.02:
+                break
+        rows += [(2 * i, " ".join(text)), (2 * i + 1, " ".join(other))]
+        (near if j >= 0.8 else far).append(i)
+    got = {r.doc_id: r.component_id for r in simhash.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert len(far) > 50 and not [i for i in far if got[2 * i + 1] == got[2 * i]]
+    assert len(near) > 150 and sum(got[2 * i + 1] == 2 * i for i in near) >= 0.97 * len(near)
+
+
 def _cut(rows, span=50):
     least = {}
     for d, t in rows:
