@@ -31,28 +31,34 @@ HERE = __name__
 SPAN, GRAM = 50, 20
 CHUNK = 1 << 20
 BASE = 0x9E3779B97F4A7C15 | 1
-INVERSE = pow(BASE, -1, 1 << 64)
-_POWERS: dict[str, np.ndarray] = {}
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """BASE and its inverse to the powers 0 to n - 1, modulo 2 ** 64."""
-    if len(_POWERS.get("up", ())) < n:
-        for name, base in (("up", BASE), ("down", INVERSE)):
-            x = np.full(n, base, np.uint64)
+# Base and byte values of a second hash of phrases, independent of the first.
+BASE2 = 0xD1342543DE82EF95
+VALUES2 = np.random.default_rng(50).integers(0, 1 << 64, 256, np.uint64)
+_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+
+
+def _powers(n: int, base: int = BASE) -> tuple[np.ndarray, np.ndarray]:
+    """base and its inverse to the powers 0 to n - 1, modulo 2 ** 64."""
+    if len(_POWERS.get(base, ((),))[0]) < n:
+        both = []
+        for b in (base, pow(base, -1, 1 << 64)):
+            x = np.full(n, b, np.uint64)
             x[0] = 1
-            _POWERS[name] = np.multiply.accumulate(x)
-    return _POWERS["up"][:n], _POWERS["down"][:n]
+            both.append(np.multiply.accumulate(x))
+        _POWERS[base] = both[0], both[1]
+    up, down = _POWERS[base]
+    return up[:n], down[:n]
 
 
 def phrases(data: np.ndarray, bounds: np.ndarray, span: int = SPAN, gram: int = GRAM) -> dict[str, np.ndarray]:
     """The phrases of a buffer that holds pieces one after the other, piece i from bounds[i] to bounds[i + 1].
 
     piece; lo: start of its first string, counted from the piece's; more: further strings; off: where the trigger
-    stands from lo; trigger: its hash; whole: the phrase's hash.
+    stands from lo; trigger: its hash; whole, second: two independent hashes of the phrase, of 64 and 32 bits. Phrases of one
+    trigger are taken for equal if all 96 bits are: with D of them the expected wrong coverings are D^2 / 2^97.
     """
     n = len(data)
-    names = ("piece", "lo", "more", "off", "trigger", "whole")
+    names = ("piece", "lo", "more", "off", "trigger", "whole", "second")
     if n < span:
         return dict.fromkeys(names, np.zeros(0, np.int64))
     up, down = _powers(n + 1)
@@ -80,8 +86,12 @@ def phrases(data: np.ndarray, bounds: np.ndarray, span: int = SPAN, gram: int =
     last = np.r_[first[1:], len(start)] - 1
     lo, hi, owner, piece = start[first], start[last], owner[first], piece[first]
     with np.errstate(over="ignore"):
+        up2, down2 = _powers(n + 1, BASE2)
+        total2 = np.zeros(n + 1, np.uint64)
+        np.cumsum(VALUES2[data] * up2[:n], out=total2[1:])
+        second = mixed((total2[hi + span] - total2[lo]) * down2[lo] + (hi - lo + 64 * (owner - lo)).astype(np.uint64))
         whole = mixed((total[hi + span] - total[lo]) * down[lo] + (hi - lo + 64 * (owner - lo)).astype(np.uint64))
-    return {"piece": piece, "lo": lo - bounds[piece], "more": (hi - lo).astype(np.uint8), "off": (owner - lo).astype(np.uint8), "trigger": grams[owner], "whole": (whole >> np.uint64(32)).astype(np.uint32)}
+    return {"piece": piece, "lo": lo - bounds[piece], "more": (hi - lo).astype(np.uint8), "off": (owner - lo).astype(np.uint8), "trigger": grams[owner], "whole": whole, "second": (second >> np.uint64(32)).astype(np.uint32)}
 
 
 def pieces(rows, span: int):
@@ -122,22 +132,21 @@ def phrase_blobs(batches, parts: int, span: int, gram: int):
         for data, bounds, doc, tag, base in pieces(_rows(b), span):
             p = phrases(data, bounds, span, gram)
             at = p["piece"].astype(np.int64)
-            found.append([p["trigger"].astype(np.uint64), p["whole"].astype(np.uint32), doc[at], tag[at].astype(np.uint32), (p["lo"] + base[at]).astype(np.uint32), p["more"].astype(np.uint8), p["off"].astype(np.uint8)])
+            found.append([p["trigger"].astype(np.uint64), p["whole"].astype(np.uint64), p["second"].astype(np.uint32), doc[at], tag[at].astype(np.uint32), (p["lo"] + base[at]).astype(np.uint32), p["more"].astype(np.uint8), p["off"].astype(np.uint8)])
         if not found:
             continue
         trigger, *rest = (np.concatenate(x) for x in zip(*found, strict=True))
         part = (trigger % np.uint64(parts)).astype(np.int64)
-        yield from blobs(part, [(trigger >> np.uint64(16)).astype(np.uint32), (trigger >> np.uint64(48)).astype(np.uint16), *rest])
+        yield from blobs(part, [trigger, *rest])
 
 
 def ordered_phrases(frame, dparts: int, span: int):
     """(kind, part, n, blob): kind 0, intervals that an equal phrase of a smaller document covers; kind 1, phrases to compare by bytes."""
-    high, top, whole, doc, tag, lo, more, off = unblob(frame["blob"])
-    trigger = high.astype(np.uint64) | top.astype(np.uint64) << np.uint64(32)
-    order = np.lexsort((doc, whole, trigger))
-    trigger, whole, doc, tag, lo, more, off = (x[order] for x in (trigger, whole, doc, tag, lo, more, off))
+    trigger, whole, second, doc, tag, lo, more, off = unblob(frame["blob"])
+    order = np.lexsort((doc, second, whole, trigger))
+    trigger, whole, second, doc, tag, lo, more, off = (x[order] for x in (trigger, whole, second, doc, tag, lo, more, off))
     new_trigger = np.r_[True, trigger[1:] != trigger[:-1]]
-    new_phrase = new_trigger | np.r_[True, whole[1:] != whole[:-1]]
+    new_phrase = new_trigger | np.r_[True, (whole[1:] != whole[:-1]) | (second[1:] != second[:-1])]
     phrase = np.cumsum(new_phrase) - 1
     least = doc[new_phrase][phrase]
     covered = doc > least

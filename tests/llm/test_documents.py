@@ -242,6 +242,24 @@ def test_repeats(spark, docs, odd, empty):
     assert kept.columns == odd.columns and all(r.n_chars == len(r.text) for r in kept.where("doc_id is not null").collect())
 
 
+def test_many_surroundings_of_one_trigger():
+    """200,000 different phrases of one frequent trigger: none is taken for another."""
+    import pandas as pd
+    import pyarrow as pa
+
+    rng = np.random.default_rng(8)
+    data = rng.integers(97, 123, 1 << 21).astype(np.uint8)
+    p = suffixes.phrases(data, np.array([0, len(data)]))
+    at = int((p["lo"] + p["off"])[p["trigger"].argmin()])
+    n = 200_000
+    rows = rng.integers(97, 123, (n, 80)).astype(np.uint8)
+    rows[:, 30:50] = data[at : at + 20]
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(n)), "tag": [0] * n, "text": [x.tobytes().decode() for x in rows]})
+    frame = pd.concat([b.to_pandas() for b in suffixes.phrase_blobs([batch], 1, 50, 20)])
+    found = suffixes.ordered_phrases(frame, 1, 50)
+    assert found[found["kind"] == 1]["n"].sum() > 0.9 * n and not len(found[found["kind"] == 0])
+
+
 def test_long_texts_in_pieces(spark, monkeypatch):
     monkeypatch.setattr(suffixes, "CHUNK", 300)
     random.seed(1)
