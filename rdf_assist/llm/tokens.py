@@ -76,7 +76,12 @@ class Encoder:
         if self.words is None or not text.isascii() and _ODD.search(text) or text.isascii() and any(c in text for c in "\x1c\x1d\x1e\x1f") or self.added and self.added.search(text):
             return None
         if self.normal:
-            text = (text if text.isascii() else unicodedata.normalize("NFC", text)).lower()
+            if not text.isascii():  # normalising and lower-casing may leave the safe characters
+                text = unicodedata.normalize("NFC", text).lower()
+                if _ODD.search(text) or not unicodedata.is_normalized("NFC", text):
+                    return None
+            else:
+                text = text.lower()
         return self.words(text)
 
     def whole(self, text: str) -> list[int]:

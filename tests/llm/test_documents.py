@@ -443,3 +443,17 @@ def test_media(docs, odd, empty):
     assert (first.width, first.height) == (16, -(-5000 // 64))
     assert media.features(media.store(odd)).count() == len(ODD)
     assert media.features(media.store(empty)).count() == 0
+
+
+def test_letters_that_compose_outside_the_safe_ranges():
+    """Decomposed Vietnamese composes to letters of other ranges: such texts go to the library whole."""
+    from tokenizers import Tokenizer
+
+    from rdf_assist.llm.tokens import Encoder
+
+    t = Tokenizer.from_file(WORD_FILE)
+    found = ["ha\u0323nh", "HA\u0323NH phu\u0301c", "cafe\u0301 plain", "\u0130\u0327x", "vie\u0323\u0302t nam 12"]
+    e = Encoder(WORD_FILE)
+    assert e.split("ha\u0323nh") is None and e.split("cafe\u0301 plain") is not None
+    got = [np.frombuffer(x, "<u4").tolist() for x in e.encode_all(found)]
+    assert got == [t.encode(x, add_special_tokens=False).ids for x in found]
