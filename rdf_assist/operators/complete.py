@@ -80,22 +80,28 @@ def contains_join(typed: DataFrame, strings: DataFrame) -> DataFrame:
     return strings.join(F.broadcast(typed), F.contains(fold(F.col("lit")), F.lower("t")))
 
 
+def heads(suffixes: DataFrame, most: int) -> DataFrame:
+    """suffixes with each of their first 1 to `most` characters as h, so that a text meets heads of its own length."""
+    lengths = F.sequence(F.lit(1), F.least(F.lit(most), F.length("suffix")))
+    return suffixes.where(F.length("suffix") > 0).withColumn("h", F.explode(F.transform(lengths, lambda n: F.substring("suffix", 1, n))))
+
+
 def complete_batch(c: Cache, typed: DataFrame, k: int = 10, gamma: int = 10, grams: int = 3) -> DataFrame:
     """(t, rank, term, origin) of many typed texts (column t) at once.
 
     The index side joins on the first characters of text and suffix; the bin side joins each text's rarest-looking
     gram with the literals' grams and checks the match. Both are equi-joins, so neither side has to be small.
-    Texts of fewer than `grams` characters, and variables, are left out of the bin side and of both.
+    Texts shorter than `grams` characters join on heads and grams of their own length. Variables are left out.
     """
     t = typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?')").withColumn("f", F.lower("t"))
-    head = min(grams, 3)
-    asked = t.withColumn("h", F.substring("f", 1, head)).where(F.length("f") >= head)
-    suffixes = c.suffixes.withColumn("h", F.substring("suffix", 1, head))
+    asked = t.withColumn("h", F.substring("f", 1, grams))
+    suffixes = heads(c.suffixes, grams)
     hit = asked.join(suffixes, "h").where("startswith(suffix, f)").select("t", "term_id").distinct().join(c.terms, "term_id")
     one = hit.select("t", "term", F.lit(0).alias("tier"), "score", "term_len", F.lit("index").alias("origin"))
-    longest = F.substring("f", 1, grams)
     posting = build_ngrams(c.residual.select("lit"), grams)
-    two = t.where(F.length("f") >= grams).withColumn("gram", longest).join(posting, "gram").where("contains(lower(lit), f)")
+    for n in range(1, grams):
+        posting = posting.unionByName(build_ngrams(c.residual.select("lit"), n))
+    two = t.withColumn("gram", F.substring("f", 1, grams)).join(posting, "gram").where("contains(lower(lit), f)")
     two = two.where((F.length("lit") >= F.length("t")) & (F.length("lit") <= F.length("t") + gamma))
     two = two.select("t", F.col("lit").alias("term"), F.lit(1).alias("tier"), F.lit(0).cast("long").alias("score"), F.length("lit").alias("term_len"), F.lit("bin").alias("origin"))
     order = Window.partitionBy("t").orderBy("tier", F.desc("score"), "term_len", "term")
@@ -104,8 +110,8 @@ def complete_batch(c: Cache, typed: DataFrame, k: int = 10, gamma: int = 10, gra
 
 def hit_ratio(c: Cache, typed: DataFrame) -> DataFrame:
     """(asked, hits, ratio): typed texts with a match in the index."""
-    t = typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?') AND length(t) >= 3").withColumn("f", F.lower("t"))
-    suffixes = c.suffixes.withColumn("h", F.substring("suffix", 1, 3)).select("h", "suffix")
+    t = typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?')").withColumn("f", F.lower("t"))
+    suffixes = heads(c.suffixes, 3).select("h", "suffix")
     hit = t.withColumn("h", F.substring("f", 1, 3)).join(suffixes, "h").where("startswith(suffix, f)").select("t").distinct()
     sums = t.agg(F.count("*").alias("asked")).crossJoin(hit.agg(F.count("*").alias("hits")))  # one row each
     return sums.withColumn("ratio", F.round(F.try_divide("hits", "asked"), 6))

@@ -151,3 +151,17 @@ def test_closure_of_a_cycle_ends(spark):
 def test_vectors_are_not_literals(spark, tiny):
     g = Graph(spark, tiny, ("vec",), False)
     assert "embedding" not in g.predicates and g.extent("cluster").where(F.col("o_dtype") != "integer").count() == 0
+
+
+def test_short_texts_in_a_batch(spark):
+    """One and two characters get the rows that complete() gives."""
+    terms = spark.createDataFrame([(1, "name", "predicate", 4, 0), (2, "Blue", "literal", 4, 5)], "term_id long, term string, kind string, term_len int, score long")
+    residual = spark.createDataFrame([("ab", 1, 2), ("nab", 1, 3), ("zebra", 1, 5)], "lit string, score long, lit_len int")
+    c = index.Cache(terms, index.build_suffix_table(terms), residual)
+    texts = ["a", "ab", "e", "lu", "q", "nam"]
+    got = {}
+    for r in complete.complete_batch(c, spark.createDataFrame([(t,) for t in texts], "t string")).collect():
+        got.setdefault(r.t, []).append((r.rank, r.term, r.origin))
+    for t in texts:
+        assert sorted(got.get(t, [])) == sorted((r.rank, r.term, r.origin) for r in complete.complete(c, t).collect()), t
+    assert complete.hit_ratio(c, spark.createDataFrame([("a",), ("q",)], "t string")).first()[:2] == (2, 1)
