@@ -1,14 +1,20 @@
-"""Lossless WebP in numpy and Python: a complete decoder, and an encoder that can use each feature.
+"""Lossless WebP in numpy: a complete decoder, and an encoder that can use each feature.
 
 Pixels are uint8 arrays of shape (height, width, 4) in the order alpha, red, green, blue. The decoder
 reads prefix codes, meta prefix groups, back-references and the colour cache, and inverts the
-predictor, cross-colour, subtract-green and palette transforms. Images whose channels have codes of
-one length and no references are read and written as whole bit arrays.
+predictor, cross-colour, subtract-green and palette transforms.
+
+A prefix code can only be read from where the last one ended. So that this need not be a walk through
+every field, a block of the stream is looked at from each of its bit positions at once: tables say how
+long the pixel that would start there is. The walk then only hops from pixel to pixel, and the fields of the
+places it met are read as arrays. Copies and cache hits become pointers to earlier pixels,
+which are followed by doubling.
 """
 
 from __future__ import annotations
 
 import functools
+import heapq
 import struct
 
 import numpy as np
@@ -19,6 +25,11 @@ SIDE = 16384
 CODE_ORDER = [17, 18, 0, 1, 2, 3, 4, 5, 16, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15]
 CACHE_MULTIPLIER = 0x1E35A7BD
 
+#: Bits of a stream that are looked at together, and the longest pixel or copy that may run over the end.
+BLOCK, SLACK = 1 << 18, 128
+#: Images of fewer pixels are read one by one.
+FEW = 48
+
 
 @functools.cache
 def near_offsets() -> list[tuple[int, int]]:
@@ -27,12 +38,26 @@ def near_offsets() -> list[tuple[int, int]]:
     return sorted(found, key=lambda p: (p[0] ** 2 + p[1] ** 2, abs(p[0]), p[0] < 0))
 
 
+@functools.cache
+def near_distances(width: int) -> np.ndarray:
+    """The distance in pixels of each short code, at an image width."""
+    return np.array([max(1, dx + dy * width) for dx, dy in near_offsets()], np.int64)
+
+
+@functools.cache
+def near_codes(width: int) -> np.ndarray:
+    """distance → its smallest short code, 0 where there is none."""
+    out = np.zeros(int(near_distances(width).max()) + 1, np.int64)
+    out[near_distances(width)[::-1]] = np.arange(120, 0, -1)
+    return out
+
+
 # ---------------------------------------------------------------- bits
 
 
 class BitReader:
     def __init__(self, data: bytes, pos: int = 0):
-        self.data, self.pos, self.end = bytes(data) + bytes(8), pos, 8 * len(data)
+        self.data, self.pos, self.end = bytes(data) + bytes(SLACK), pos, 8 * len(data)
 
     def peek(self, n: int) -> int:
         at = self.pos >> 3
@@ -48,151 +73,234 @@ class BitReader:
 
 class BitWriter:
     def __init__(self):
-        self.bits: list[np.ndarray] = []
+        self.value, self.size, self.bits = 0, 0, []
 
     def put(self, value: int, n: int) -> None:
-        if n:
-            self.bits.append(((value >> np.arange(n)) & 1).astype(np.uint8))
+        self.value |= value << self.size
+        self.size += n
 
     def put_bits(self, bits: np.ndarray) -> None:
-        self.bits.append(bits)
+        self.bits += [self._held(), bits]
+
+    def _held(self) -> np.ndarray:
+        raw = np.frombuffer(self.value.to_bytes((self.size + 7) // 8, "little"), np.uint8)
+        out = np.unpackbits(raw, bitorder="little")[: self.size]
+        self.value = self.size = 0
+        return out
 
     def array(self) -> np.ndarray:
-        return np.concatenate(self.bits) if self.bits else np.zeros(0, np.uint8)
+        return np.concatenate([*self.bits, self._held()])
+
+
+def packed_bits(values: np.ndarray, sizes: np.ndarray, at_once: int = 1 << 16):
+    """The bits of values, each in its number of places, lowest first; in arrays of some thousand values."""
+    for lo in range(0, len(values), at_once):
+        v, n = values[lo : lo + at_once], sizes[lo : lo + at_once].astype(np.int64)
+        begin = np.cumsum(n) - n
+        place = np.arange(int(n.sum())) - np.repeat(begin, n)
+        yield ((np.repeat(v, n) >> place.astype(np.uint32)) & 1).astype(np.uint8)
 
 
 # ---------------------------------------------------------------- prefix codes
 
 
-def canonical(lengths: list[int]) -> dict[int, tuple[int, int]]:
-    """symbol → (code, length), codes as written: first bit in the lowest place. A lone symbol takes no bits."""
-    used = sorted((n, s) for s, n in enumerate(lengths) if n)
-    if len(used) == 1:
-        return {used[0][1]: (0, 0)}
-    code, last, out = 0, 0, {}
-    for n, s in used:
-        code <<= n - last
-        out[s] = (int(format(code, f"0{n}b")[::-1], 2), n)
-        code, last = code + 1, n
-    if code != 1 << last:
-        raise ValueError("a prefix code is not complete")
+@functools.cache
+def mirrored(width: int) -> np.ndarray:
+    """Every number of so many bits read backwards."""
+    out = np.zeros(1 << width, np.int64)
+    for i in range(width):
+        out |= ((np.arange(1 << width) >> i) & 1) << (width - 1 - i)
     return out
 
 
 class PrefixCode:
-    def __init__(self, lengths: list[int]):
-        self.lengths = lengths
-        codes = canonical(lengths) if any(lengths) else {0: (0, 0)}
-        self.width = max(n for _, n in codes.values())
-        self.table: list[tuple[int, int]] = [(0, 0)] * (1 << self.width)
-        for s, (code, n) in codes.items():
-            for high in range(1 << (self.width - n)):
-                self.table[code | high << n] = (s, n)
+    """A code by the lengths of its symbols. Codes are stored as written: first bit in the lowest place. A lone symbol takes no bits."""
+
+    def __init__(self, lengths):
+        self.lengths = np.asarray(lengths, np.uint8)
+        own = np.flatnonzero(self.lengths)
+        if len(own) < 2:
+            self.width, self.symbols, self.sizes = 0, np.array([own[0] if len(own) else 0]), np.zeros(1, np.uint8)
+            self.order, self.codes = self.symbols, np.zeros(1, np.int64)
+        else:
+            size = self.lengths[own]
+            self.width = int(size.max())
+            by = np.argsort(size, kind="stable")
+            self.order, size = own[by], size[by]
+            room = 1 << (self.width - size.astype(np.int64))
+            if room.sum() != 1 << self.width:
+                raise ValueError("a prefix code is not complete")
+            back = mirrored(self.width)
+            self.codes = back[np.cumsum(room) - room]
+            self.symbols = np.repeat(self.order, room)[back]
+            self.sizes = np.repeat(size, room)[back]
+        self.mask = (1 << self.width) - 1
+        self._pairs = self._listed = None
 
     def read(self, bits: BitReader) -> int:
-        s, n = self.table[bits.peek(self.width)]
-        bits.pos += n
-        return s
+        if not self.width:
+            return int(self.symbols[0])
+        symbols, sizes = self.pairs()
+        at = bits.peek(self.width)
+        bits.pos += sizes[at]
+        return symbols[at]
+
+    def pairs(self) -> tuple[list[int], list[int]]:
+        if self._pairs is None:
+            self._pairs = self.symbols.tolist(), self.sizes.tolist()
+        return self._pairs
+
+    def written(self) -> tuple[np.ndarray, np.ndarray]:
+        """(code, bits) of each symbol of the alphabet."""
+        code = np.zeros(len(self.lengths), np.uint64)
+        code[self.order] = self.codes
+        return code, (self.lengths if self.width else np.zeros_like(self.lengths)).astype(np.int64)
+
+    def listed(self) -> tuple[list[int], list[int]]:
+        if self._listed is None:
+            self._listed = tuple(x.tolist() for x in self.written())
+        return self._listed
+
+
+@functools.lru_cache(256)
+def code_of(lengths: bytes) -> PrefixCode:
+    """The code of these lengths; channels often share one, and so do images."""
+    return PrefixCode(np.frombuffer(lengths, np.uint8))
 
 
 def read_code(bits: BitReader, alphabet: int) -> PrefixCode:
-    lengths = [0] * alphabet
+    lengths = bytearray(alphabet)
     if bits.read(1):
         two, wide = bits.read(1), bits.read(1)
         lengths[bits.read(8 if wide else 1)] = 1
         if two:
             lengths[bits.read(8)] = 1
-        return PrefixCode(lengths)
-    own = [0] * 19
+        return code_of(bytes(lengths))
+    own = bytearray(19)
     for i in range(4 + bits.read(4)):
         own[CODE_ORDER[i]] = bits.read(3)
-    code = PrefixCode(own)
+    code = code_of(bytes(own))
     left = alphabet
     if bits.read(1):
         left = 2 + bits.read(2 + 2 * bits.read(3))
+    (symbols, sizes), mask = code.pairs(), code.mask
     at, previous = 0, 8
+    begin, used = bits.pos >> 3, bits.pos & 7
+    held = int.from_bytes(bits.data[begin : begin + 64], "little")
     while at < alphabet and left:
         left -= 1
-        s = code.read(bits)
+        if used > 480:
+            begin, used = begin + (used >> 3), used & 7
+            held = int.from_bytes(bits.data[begin : begin + 64], "little")
+        i = held >> used & mask
+        s = symbols[i]
+        used += sizes[i]
         if s < 16:
             lengths[at] = s
             previous = s or previous
             at += 1
             continue
-        n, value = {16: (2, previous), 17: (3, 0), 18: (7, 0)}[s]
-        n = bits.read(n) + (11 if s == 18 else 3)
-        if at + n > alphabet:
+        n, value, least = ((2, previous, 3), (3, 0, 3), (7, 0, 11))[s - 16]
+        run = (held >> used & ((1 << n) - 1)) + least
+        used += n
+        if at + run > alphabet:
             raise ValueError("code lengths run over the alphabet")
-        lengths[at : at + n] = [value] * n
-        at += n
-    return PrefixCode(lengths)
+        if value:
+            lengths[at : at + run] = bytes([value]) * run
+        at += run
+    bits.pos = 8 * begin + used
+    if bits.pos > bits.end:
+        raise ValueError("the image data ends too early")
+    return code_of(bytes(lengths))
 
 
-def write_code(out: BitWriter, lengths: list[int]) -> None:
-    used = [s for s, n in enumerate(lengths) if n]
-    if len(used) <= 2 and all(s < 256 for s in used):
-        used = used or [0]
-        out.put(1, 1)
-        out.put(len(used) - 1, 1)
-        out.put(1, 1)
-        for s in used:
-            out.put(s, 8)
-        return
-    tokens: list[tuple[int, int, int]] = []
-    i = 0
-    while i < len(lengths):
-        j = i
-        while j < len(lengths) and lengths[j] == lengths[i]:
-            j += 1
-        run, value = j - i, lengths[i]
+def starts_of(values: np.ndarray) -> np.ndarray:
+    """Where runs of equal values begin, and the end."""
+    new = np.ones(len(values) + 1, bool)
+    np.not_equal(values[1:], values[:-1], out=new[1:-1])
+    return np.flatnonzero(new)
+
+
+def _runs(lengths: np.ndarray):
+    """(symbol, extra value, extra bits) of the tokens that spell code lengths."""
+    cut = starts_of(lengths)
+    for value, run in zip(lengths[cut[:-1]].tolist(), np.diff(cut).tolist(), strict=True):
         if value:
-            tokens.append((value, 0, 0))
+            yield value, 0, 0
             run -= 1
         while run:
             if value == 0 and run >= 11:
                 n = min(run, 138)
-                tokens.append((18, n - 11, 7))
+                yield 18, n - 11, 7
             elif value == 0 and run >= 3:
                 n = min(run, 10)
-                tokens.append((17, n - 3, 3))
+                yield 17, n - 3, 3
             elif value and run >= 3:
                 n = min(run, 6)
-                tokens.append((16, n - 3, 2))
+                yield 16, n - 3, 2
             else:
                 n = 1
-                tokens.append((value, 0, 0))
+                yield value, 0, 0
             run -= n
-        i = j
-    counts = np.bincount([t for t, _, _ in tokens], minlength=19).tolist()
-    own = huffman(counts, 7)
-    codes = canonical(own)
+
+
+#: Lengths of the code in which this encoder writes code lengths: what a Huffman code of those of text images gives.
+LENGTH_CODE = bytes([2, 7, 7, 5, 4, 4, 4, 4, 4, 4, 4, 5, 6, 7, 7, 7, 7, 3, 4])
+
+
+@functools.lru_cache(64)
+def code_bits(lengths: bytes) -> tuple[int, int]:
+    """How code lengths are written: the bits as a number, and how many."""
+    out = BitWriter()
+    used = [s for s, n in enumerate(lengths) if n]
+    if len(used) <= 2 and all(s < 256 for s in used):
+        used = used or [0]
+        out.put(1, 1)
+        out.put(len(used) - 1, 1)
+        out.put(1, 1)
+        for s in used:
+            out.put(s, 8)
+        return out.value, out.size
+    codes, sizes = code_of(LENGTH_CODE).listed()
     out.put(0, 1)
     out.put(15, 4)
     for s in CODE_ORDER:
-        out.put(own[s], 3)
+        out.put(LENGTH_CODE[s], 3)
     out.put(0, 1)
-    for s, extra, n in tokens:
-        out.put(*codes[s])
-        out.put(extra, n)
-
-
-def huffman(counts: list[int], limit: int = 15) -> list[int]:
+    value = size = 0
+    for s, extra, n in _runs(np.frombuffer(lengths, np.uint8)):
+        value |= (codes[s] | extra << sizes[s]) << size
+        size += sizes[s] + n
+        if size > 400:
+            out.put(value, size)
+            value = size = 0
+    out.put(value, size)
+    return out.value, out.size
+
+
+def huffman(counts: np.ndarray, limit: int = 15) -> np.ndarray:
     """Code lengths of at most `limit` bits: counts are flattened until the tree is low enough."""
-    import heapq
-
+    used = np.flatnonzero(counts)
+    lengths = np.zeros(len(counts), np.uint8)
+    n = len(used)
+    if n < 2:
+        lengths[used] = 1
+        return lengths
     floor = 1
     while True:
-        heap = [(max(c, floor), s, (s,)) for s, c in enumerate(counts) if c]
-        lengths = [0] * len(counts)
-        if len(heap) == 1:
-            lengths[heap[0][1]] = 1
+        heap = list(zip(np.maximum(counts[used], floor).tolist(), range(n), strict=True))
         heapq.heapify(heap)
-        while len(heap) > 1:
-            a, b = heapq.heappop(heap), heapq.heappop(heap)
-            for s in a[2] + b[2]:
-                lengths[s] += 1
-            heapq.heappush(heap, (a[0] + b[0], min(a[1], b[1]), a[2] + b[2]))
-        if max(lengths, default=0) <= limit:
+        above = [0] * (2 * n - 1)
+        for node in range(n, 2 * n - 1):
+            a, i = heapq.heappop(heap)
+            b, j = heap[0]
+            above[i] = above[j] = node
+            heapq.heapreplace(heap, (a + b, node))
+        depth = [0] * (2 * n - 1)
+        for i in range(2 * n - 3, -1, -1):
+            depth[i] = depth[above[i]] + 1
+        if max(depth[:n]) <= limit:
+            lengths[used] = depth[:n]
             return lengths
         floor *= 2
 
@@ -204,14 +312,18 @@ def _value(prefix: int, bits: BitReader) -> int:
     return ((2 + (prefix & 1)) << extra) + bits.read(extra) + 1
 
 
-def _prefix(value: int) -> tuple[int, int, int]:
-    """(prefix, extra value, extra bits) of a length or distance code."""
-    if value <= 4:
-        return value - 1, 0, 0
-    v = value - 1
-    top = v.bit_length() - 1
-    extra = top - 1
-    return 2 * top + ((v >> extra) & 1), v & ((1 << extra) - 1), extra
+def _prefixes(values: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(prefixes, extra values, extra bits) of lengths or distance codes."""
+    v = values.astype(np.int64) - 1
+    top = np.frexp(np.maximum(v, 1).astype(float))[1] - 1
+    extra = np.where(v < 4, 0, top - 1)
+    prefix = np.where(v < 4, v, 2 * top + ((v >> np.maximum(extra, 0)) & 1))
+    return prefix, v & ((1 << extra) - 1) * (v >= 4), extra
+
+
+# Extra bits and first value of each prefix of a length or distance.
+EXTRA = np.array([0, 0, 0, 0, *[(p - 2) >> 1 for p in range(4, 40)]], np.int64)
+LEAST = np.array([1, 2, 3, 4, *[((2 + (p & 1)) << ((p - 2) >> 1)) + 1 for p in range(4, 40)]], np.int64)
 
 
 # ---------------------------------------------------------------- entropy-coded images
@@ -238,11 +350,12 @@ def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndar
         count = max(meta) + 1
     groups = _read_groups(bits, count, cache_bits)
     total = width * height
-    if count == 1 and not cache_bits and (size := _even(groups[0])):
-        return _read_even(bits, total, size)
+    widths = [c.width for c in groups[0]]
+    if count == 1 and total >= FEW and (widths[0] or groups[0][0].symbols[0] < 256 and sum(widths[1:4])):
+        return _read_blocks(bits, width, total, groups[0], cache_bits)
     out = [0] * total
     cache = [0] * (1 << cache_bits) if cache_bits else None
-    near = near_offsets()
+    near = near_distances(width).tolist()
     at = cached = 0
     green, red, blue, alpha, dist = groups[0]
     while at < total:
@@ -258,11 +371,7 @@ def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndar
         elif s < 280:
             length = _value(s - 256, bits)
             d = _value(dist.read(bits), bits)
-            if d > 120:
-                d -= 120
-            else:
-                dx, dy = near[d - 1]
-                d = max(1, dx + dy * width)
+            d = d - 120 if d > 120 else near[d - 1]
             if d > at or at + length > total:
                 raise ValueError("a back-reference leaves the image")
             for _ in range(length):
@@ -281,35 +390,133 @@ def _read_image(bits: BitReader, width: int, height: int, main: bool) -> np.ndar
     return np.array(out, np.uint32)
 
 
-def _slot(argb: int, cache_bits: int) -> int:
-    return ((CACHE_MULTIPLIER * argb) & 0xFFFFFFFF) >> (32 - cache_bits)
+def _windows(data: np.ndarray, lo: int, n: int) -> np.ndarray:
+    """The 16 bits that begin at each of n bit positions from lo, a multiple of 8."""
+    b = data[lo >> 3 : (lo + n >> 3) + 3].astype(np.uint32)
+    whole = b[:-2] | b[1:-1] << 8 | b[2:] << 16
+    return ((whole[:, None] >> np.arange(8, dtype=np.uint32)) & 0xFFFF).ravel()[:n]
 
 
-def _even(group: list[PrefixCode]) -> int:
-    """n if green, red, blue and alpha all use exactly symbols 0 to 2 ** n - 1 with n bits each; else 0."""
-    n = max(group[1].lengths)
-    if n in (7, 8) and all(c.lengths[: 1 << n] == [n] * (1 << n) and not any(c.lengths[1 << n :]) for c in group[:4]):
-        return n
-    return 0
+def _bits_at(data: np.ndarray, place: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The numbers of so many bits (at most 24) at bit positions."""
+    at = place >> 3
+    whole = data[at].astype(np.int64) | data[at + 1].astype(np.int64) << 8 | data[at + 2].astype(np.int64) << 16 | data[at + 3].astype(np.int64) << 24
+    return (whole >> (place & 7)) & ((1 << sizes) - 1)
 
 
-def _read_even(bits: BitReader, total: int, size: int) -> np.ndarray:
-    if bits.pos + 4 * total * size > bits.end:
-        raise ValueError("the image data ends too early")
-    begin = bits.pos >> 3
-    raw = np.frombuffer(bits.data, np.uint8, (4 * total * size + (bits.pos & 7) + 7) // 8, begin)
-    flat = np.unpackbits(raw, bitorder="little")[bits.pos & 7 :][: 4 * total * size].reshape(-1, size)
-    bits.pos += 4 * total * size
-    v = even_bytes(flat, size).reshape(-1, 4).astype(np.uint32)
-    return v[:, 3] << 24 | v[:, 1] << 16 | v[:, 0] << 8 | v[:, 2]
+def _read_blocks(bits: BitReader, width: int, total: int, group: list[PrefixCode], cache_bits: int) -> np.ndarray:
+    """_read_image() for one group of codes, by blocks of bit positions."""
+    green, *others, dist = group
+    data = np.frombuffer(bits.data, np.uint8)
+    kinds, literals, counts, back = [], [], [], []
+    at, done, top = bits.pos, 0, 280 + ((1 << cache_bits) if cache_bits else 0)
+    while done < total:
+        if at >= bits.end:
+            raise ValueError("the image data ends too early")
+        lo = at & ~7
+        n = min(BLOCK, bits.end - lo) + SLACK
+        window = _windows(data, lo, n)
+        n = len(window) - SLACK  # what starts before ends before len(window)
+        code = window[:n] & green.mask
+        symbol, ends = green.symbols[code], green.sizes[code] + np.arange(n)
+        long = np.flatnonzero(symbol >= 256)
+        after = ends[long]
+        for i, c in enumerate(others):
+            if c.width:
+                if i == 0 or c is not others[i - 1]:
+                    steps = c.sizes[window & c.mask]
+                ends += steps[ends]
+        copy = symbol[long] < 280
+        own = after[copy] + EXTRA[symbol[long][copy] - 256]
+        code = window[own] & dist.mask
+        after[copy] = own + dist.sizes[code] + EXTRA[dist.symbols[code]]
+        ends[long] = after
+        hop, p, stop, met = memoryview(np.ascontiguousarray(ends, np.int64)), at - lo, min(n, bits.end - lo), []
+        while p < stop:
+            met.append(p)
+            p = hop[p]
+        met = np.array(met, np.int64)
+        kind = symbol[met]
+        if kind.max(initial=0) >= top:
+            raise ValueError("a colour cache code without a cache")
+        count, far, value = np.ones(len(met), np.int64), np.zeros(len(met), np.int64), np.zeros(len(met), np.uint32)
+        plain = np.flatnonzero(kind < 256)
+        q = met[plain] + green.sizes[window[met[plain]] & green.mask]
+        word = kind[plain].astype(np.uint32) << 8
+        for c, shift in zip(others, (16, 0, 24), strict=True):
+            w = window[q] & c.mask
+            word |= c.symbols[w].astype(np.uint32) << np.uint32(shift)
+            q = q + c.sizes[w]
+        value[plain] = word
+        ref = np.flatnonzero((kind >= 256) & (kind < 280))
+        if len(ref):
+            prefix = kind[ref] - 256
+            q = met[ref] + green.sizes[window[met[ref]] & green.mask]
+            count[ref] = LEAST[prefix] + _bits_at(data, lo + q, EXTRA[prefix])
+            q = q + EXTRA[prefix]
+            prefix = dist.symbols[window[q] & dist.mask]
+            q = q + dist.sizes[window[q] & dist.mask]
+            d = LEAST[prefix] + _bits_at(data, lo + q, EXTRA[prefix])
+            far[ref] = np.where(d > 120, d - 120, near_distances(width)[np.minimum(d, 120) - 1])
+        kinds.append(kind)
+        literals.append(value)
+        counts.append(count)
+        back.append(far)
+        sums = done + np.cumsum(count)
+        if sums[-1] >= total:
+            last = int(np.searchsorted(sums, total))
+            if sums[last] != total:
+                raise ValueError("a back-reference leaves the image")
+            for x in (kinds, literals, counts, back):
+                x[-1] = x[-1][: last + 1]
+            at = lo + int(ends[met[last]])
+            if at > bits.end:
+                raise ValueError("the image data ends too early")
+            bits.pos = at
+            break
+        done, at = int(sums[-1]), lo + p
+    kind, value, count, far = (np.concatenate(x) for x in (kinds, literals, counts, back))
+    return _resolved(kind, value, count, far, cache_bits)
+
+
+def _resolved(kind: np.ndarray, value: np.ndarray, count: np.ndarray, far: np.ndarray, cache_bits: int) -> np.ndarray:
+    """The pixels of literals, copies and cache hits."""
+    plain = len(count) == int(count.sum())
+    here = np.arange(len(count)) if plain else np.repeat(np.arange(len(count)), count)
+    total = len(here)
+    source = np.arange(total) - far[here]
+    if source.min(initial=0) < 0:
+        raise ValueError("a back-reference leaves the image")
+    if (far > 0).any():
+        source = _followed(source)
+    if cache_bits and (kind >= 280).any():
+        kinds = kind[here][source]
+        value_of = value[here][source]
+        slot = np.where(kinds >= 280, kinds - 280, _slots(value_of, cache_bits))
+        order = np.argsort(slot, kind="stable")
+        before = np.full(total + 1, total)
+        same = np.flatnonzero(slot[order][1:] == slot[order][:-1])
+        before[order[same + 1]] = order[same]
+        hit = kind[here] >= 280
+        source = np.r_[np.where(hit, before[:-1], source), total]  # the place after the last is the empty cache
+        return np.r_[value[here], np.uint32(0)][_followed(source)][:-1]
+    return value[here][source]
+
+
+def _followed(source: np.ndarray) -> np.ndarray:
+    while True:
+        further = source[source]
+        if np.array_equal(further, source):
+            return source
+        source = further
+
+
+def _slot(argb: int, cache_bits: int) -> int:
+    return ((CACHE_MULTIPLIER * argb) & 0xFFFFFFFF) >> (32 - cache_bits)
 
 
-def even_bytes(flat: np.ndarray, size: int) -> np.ndarray:
-    if size < 8:
-        wide = np.zeros((len(flat), 8), np.uint8)
-        wide[:, 8 - size :] = flat
-        flat = wide
-    return np.packbits(flat, axis=1).ravel()
+def _slots(argb: np.ndarray, cache_bits: int) -> np.ndarray:
+    return (((argb.astype(np.uint64) * np.uint64(CACHE_MULTIPLIER)) & np.uint64(0xFFFFFFFF)) >> np.uint64(32 - cache_bits)).astype(np.int64)
 
 
 # ---------------------------------------------------------------- transforms
@@ -323,65 +530,77 @@ def _argb(planes: np.ndarray) -> np.ndarray:
     return np.ascontiguousarray(planes).view(">u4").ravel().astype(np.uint32)
 
 
-def _average(a, b):
-    return [(p + q) >> 1 for p, q in zip(a, b, strict=True)]
-
-
-def _clamp(v: int) -> int:
-    return 0 if v < 0 else 255 if v > 255 else v
-
-
-def predict(mode: int, left, top, top_left, top_right) -> list[int]:
-    """The predicted pixel of a mode, from neighbours as lists of four."""
-    if mode == 1:
-        return left
-    if mode == 2:
-        return top
-    if mode == 3:
-        return top_right
-    if mode == 4:
-        return top_left
-    if mode == 5:
-        return _average(_average(left, top_right), top)
-    if mode == 6:
-        return _average(left, top_left)
-    if mode == 7:
-        return _average(left, top)
-    if mode == 8:
-        return _average(top_left, top)
-    if mode == 9:
-        return _average(top, top_right)
-    if mode == 10:
-        return _average(_average(left, top_left), _average(top, top_right))
+def predict(mode: int, left: np.ndarray, top: np.ndarray, top_left: np.ndarray, top_right: np.ndarray) -> np.ndarray:
+    """The predictions of a mode from neighbours, int arrays of shape (n, 4)."""
+    if mode in (0, 14, 15):
+        return np.tile(np.array([255, 0, 0, 0]), (len(left), 1))
+    if mode <= 4:
+        return (left, top, top_right, top_left)[mode - 1]
+    if mode <= 10:
+        pairs = {6: (left, top_left), 7: (left, top), 8: (top_left, top), 9: (top, top_right)}
+        if mode in pairs:
+            return sum(pairs[mode]) >> 1
+        if mode == 5:
+            return (((left + top_right) >> 1) + top) >> 1
+        return (((left + top_left) >> 1) + ((top + top_right) >> 1)) >> 1
     if mode == 11:
-        to_left = sum(abs(t - c) for t, c in zip(top, top_left, strict=True))
-        to_top = sum(abs(p - c) for p, c in zip(left, top_left, strict=True))
-        return left if to_left < to_top else top
+        nearer = np.abs(top - top_left).sum(axis=1) < np.abs(left - top_left).sum(axis=1)
+        return np.where(nearer[:, None], left, top)
     if mode == 12:
-        return [_clamp(p + t - c) for p, t, c in zip(left, top, top_left, strict=True)]
-    if mode == 13:
-        mid = _average(left, top)
-        return [_clamp(m + int((m - c) / 2)) for m, c in zip(mid, top_left, strict=True)]
-    return [255, 0, 0, 0]
+        return np.clip(left + top - top_left, 0, 255)
+    mid = (left + top) >> 1
+    return np.clip(mid + np.fix((mid - top_left) / 2).astype(np.int64), 0, 255)
+
+
+def _predictions(known: np.ndarray, modes: np.ndarray, y: np.ndarray, x: np.ndarray) -> np.ndarray:
+    """What places with a row above and a pixel to the left are predicted to be."""
+    width = known.shape[1]
+    last = x == width - 1
+    around = known[y, x - 1], known[y - 1, x], known[y - 1, x - 1], known[np.where(last, y, y - 1), np.where(last, 0, (x + 1) % width)]
+    out = np.zeros((len(y), 4), np.int64)
+    for m in np.unique(modes):
+        own = modes == m
+        out[own] = predict(int(m), *(a[own] for a in around))
+    return out
 
 
 def predictor(planes: np.ndarray, modes: np.ndarray, shift: int, undo: bool) -> np.ndarray:
-    """Adds (undo) or subtracts each pixel's prediction; modes has a row for each block row."""
+    """Adds (undo) or subtracts each pixel's prediction; modes has a row for each block row.
+
+    Undone in waves: a pixel needs its left neighbour and the row above up to one place further right, so all
+    pixels with the same x + 2 y follow from earlier waves. If all blocks take the left or the upper pixel, sums do it.
+    """
     height, width, _ = planes.shape
-    src = planes.astype(int).tolist()
-    out = [[None] * width for _ in range(height)]
-    known = out if undo else src
-    for y in range(height):
-        for x in range(width):
-            if y == 0:
-                p = known[0][x - 1] if x else [255, 0, 0, 0]
-            elif x == 0:
-                p = known[y - 1][0]
-            else:
-                right = known[y - 1][x + 1] if x + 1 < width else known[y][0]
-                p = predict(int(modes[y >> shift][x >> shift]), known[y][x - 1], known[y - 1][x], known[y - 1][x - 1], right)
-            out[y][x] = [(v + q if undo else v - q) & 255 for v, q in zip(src[y][x], p, strict=True)]
-    return np.array(out, np.uint8).reshape(height, width, 4)
+    src = planes.astype(np.int64)
+    uniform = int(modes.min()) if modes.min() == modes.max() else 0
+    if not undo:
+        out = src.copy()
+        if uniform in (1, 2):
+            out[:, 1:] -= src[:, :-1]
+            out[1:, 0] -= src[:-1, 0]
+            if uniform == 2:
+                out[1:, 1:] = src[1:, 1:] - src[:-1, 1:]
+            out[0, 0] -= (255, 0, 0, 0)
+            return (out & 255).astype(np.uint8)
+        out[0, 0] -= (255, 0, 0, 0)
+        out[0, 1:] -= src[0, :-1]
+        out[1:, 0] -= src[:-1, 0]
+        y, x = (a.ravel() for a in np.mgrid[1:height, 1:width])
+        out[y, x] -= _predictions(src, modes[y >> shift, x >> shift], y, x)
+        return (out & 255).astype(np.uint8)
+    src[0, 0] += (255, 0, 0, 0)
+    if uniform in (1, 2):
+        first, then = (0, 1) if uniform == 1 else (1, 0)
+        edge = (slice(None), 0) if first == 0 else (0,)
+        src[edge] = np.cumsum(src[edge], axis=0)
+        return (np.cumsum(src, axis=then) & 255).astype(np.uint8)
+    src[0] = np.cumsum(src[0], axis=0) & 255
+    src[:, 0] = np.cumsum(src[:, 0], axis=0) & 255
+    for wave in range(3, width + 2 * height - 2):
+        y = np.arange(max(1, (wave - width + 2) // 2), min(height - 1, (wave - 1) // 2) + 1)
+        x = wave - 2 * y
+        src[y, x] = (src[y, x] + _predictions(src, modes[y >> shift, x >> shift], y, x)) & 255
+    return src.astype(np.uint8)
 
 
 def cross_colour(planes: np.ndarray, table: np.ndarray, shift: int, undo: bool) -> np.ndarray:
@@ -497,33 +716,56 @@ def decode(data: bytes) -> np.ndarray:
     return planes
 
 
-def _references(argb: list[int], width: int, cache_bits: int, search: bool) -> list[tuple]:
-    """Tokens of an image: literals, ('copy', length, distance), ('cache', index)."""
-    out, seen, at = [], {}, 0
-    cache: dict[int, int] = {}
+def _tokens(argb: np.ndarray, cache_bits: int, search: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(place, kind, length, distance) of an image's tokens; kind 0: literal, 1: copy, 2: cache hit.
+
+    A place's candidate is the last earlier one with the same two pixels. Where neighbouring places have
+    candidates at one distance the copy runs on, so lengths follow from runs. Copies take three pixels or more, from the left.
+    """
     total = len(argb)
+    kind = np.zeros(total, np.int64)
+    length, far = np.ones(total, np.int64), np.zeros(total, np.int64)
+    keep = np.ones(total, bool)
+    if search and total > 3:
+        pair = argb[:-1].astype(np.uint64) << np.uint64(32) | argb[1:]
+        order = np.argsort(pair, kind="stable")
+        same = np.flatnonzero(pair[order][1:] == pair[order][:-1])
+        d = np.zeros(total, np.int64)
+        d[order[same + 1]] = order[same + 1] - order[same]
+        cut = starts_of(d)
+        ends = np.repeat(cut[1:], np.diff(cut))
+        run = np.where(d > 0, ends - np.arange(total) + 1, 0)
+        places = np.flatnonzero(run >= 3)
+        at, starts = 0, []
+        lengths = run[places].tolist()
+        for p, n in zip(places.tolist(), lengths, strict=True):
+            if p >= at and total - p >= 3:
+                starts.append(p)
+                at = p + min(n, 4096, total - p)
+        starts = np.array(starts, np.int64)
+        kind[starts], far[starts] = 1, d[starts]
+        length[starts] = np.minimum(np.minimum(run[starts], 4096), total - starts)
+        step = np.zeros(total + 2, np.int64)
+        step[starts + 1] += 1
+        step[starts + length[starts]] -= 1
+        keep = np.cumsum(step[:total]) == 0
+    if cache_bits:
+        slot = _slots(argb, cache_bits)
+        order = np.argsort(slot, kind="stable")
+        hit = order[1:][(slot[order][1:] == slot[order][:-1]) & (argb[order][1:] == argb[order][:-1])]
+        hits = np.zeros(total, bool)
+        hits[hit] = True
+        kind[hits & (kind == 0)] = 2
+    place = np.flatnonzero(keep)
+    return place, kind[place], length[place], far[place]
 
-    def note(i: int) -> None:
-        if cache_bits:
-            cache[_slot(argb[i], cache_bits)] = argb[i]
-        if search and i + 2 < total:
-            seen[argb[i], argb[i + 1], argb[i + 2]] = i
 
-    while at < total:
-        back = seen.get(tuple(argb[at : at + 3])) if search and at + 2 < total else None
-        if back is not None:
-            n = 3
-            while at + n < total and n < 4096 and argb[back + n] == argb[at + n]:
-                n += 1
-            out.append(("copy", n, at - back))
-        else:
-            n = 1
-            s = _slot(argb[at], cache_bits) if cache_bits else 0
-            out.append(("cache", s) if cache.get(s) == argb[at] else ("pixel", argb[at]))
-        for i in range(at, at + n):
-            note(i)
-        at += n
-    return out
+def joint(counts: list[np.ndarray]) -> bool:
+    """Whether channels are alike enough for one code: then only one has to be made, here and by the reader."""
+    every = np.stack([*counts, sum(counts)])
+    total = every.sum(axis=1)
+    bits = total * np.log2(np.maximum(total, 1)) - (every * np.log2(np.maximum(every, 1))).sum(axis=1)
+    return np.count_nonzero(every[-1]) > 2 and bits[:-1].sum() > 0.97 * bits[-1]
 
 
 def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache_bits: int = 0, search: bool = False) -> None:
@@ -532,34 +774,39 @@ def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache
         out.put(cache_bits, 4)
     if main:
         out.put(0, 1)
-    short = {max(1, dx + dy * width): i + 1 for i, (dx, dy) in reversed(list(enumerate(near_offsets())))}
-    coded: list[list[tuple[int, int, int, int]]] = []  # (which code, symbol, extra value, extra bits)
-    for kind, *x in _references(argb.tolist(), width, cache_bits, search):
-        if kind == "pixel":
-            v = x[0]
-            coded.append([(0, v >> 8 & 255, 0, 0), (1, v >> 16 & 255, 0, 0), (2, v & 255, 0, 0), (3, v >> 24, 0, 0)])
-        elif kind == "cache":
-            coded.append([(0, 280 + x[0], 0, 0)])
-        else:
-            n, *extra = _prefix(x[0])
-            d, *more = _prefix(short.get(x[1], x[1] + 120))
-            coded.append([(0, 256 + n, *extra), (4, d, *more)])
-    counts = [[0] * n for n in (280 + ((1 << cache_bits) if cache_bits else 0), 256, 256, 256, 40)]
-    for token in coded:
-        for k, s, _, _ in token:
-            counts[k][s] += 1
-    lengths = [huffman(c) for c in counts]
+    place, kind, length, far = _tokens(argb, cache_bits, search)
+    plain, copy, hit = (np.flatnonzero(kind == k) for k in range(3))
+    samples = argb[place[plain]].astype("<u4").view(np.uint8).reshape(-1, 4)
+    blue, green, red, alpha = (samples[:, i] for i in range(4))
+    n, n_extra, n_bits = _prefixes(length[copy])
+    near = near_codes(width)
+    short = np.where(far[copy] < len(near), near[np.minimum(far[copy], len(near) - 1)], 0)
+    d, d_extra, d_bits = _prefixes(np.where(short > 0, short, far[copy] + 120))
+    slot = _slots(argb[place[hit]], cache_bits) if len(hit) else hit
+    counts = [np.bincount(x, minlength=256) for x in (green, red, blue, alpha)] + [np.bincount(d, minlength=40)]
+    counts[0] = np.concatenate([counts[0], np.bincount(n, minlength=24), np.bincount(slot, minlength=1 << cache_bits) if cache_bits else hit[:0]])
+    if joint(counts[1:4]):
+        lengths = [huffman(counts[0]), *[huffman(sum(counts[1:4]))] * 3, huffman(counts[4])]
+    else:
+        lengths = [huffman(c) for c in counts]
     for x in lengths:
-        write_code(out, x)
-    codes = [canonical(x) if any(x) else {} for x in lengths]
-    for token in coded:
-        for k, s, extra, n in token:
-            out.put(*codes[k][s])
-            out.put(extra, n)
-
-
-def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int = 0, search: bool = False, shift: int = 3) -> bytes:
-    """A file of the pixels. transforms: any of 'palette', 'predictor', 'cross', 'green', applied in this order."""
+        out.put(*code_bits(x.tobytes()))
+    (gc, gs), (rc, rs), (bc, bs), (ac, as_), (dc, ds) = (code_of(x.tobytes()).written() for x in lengths)
+    values, sizes = np.zeros((len(place), 4), np.uint64), np.zeros((len(place), 4), np.int64)
+    for i, (code, size, x) in enumerate(((gc, gs, green), (rc, rs, red), (bc, bs, blue), (ac, as_, alpha))):
+        values[plain, i], sizes[plain, i] = code[x], size[x]
+    for i, (code, size, extra, bits) in enumerate(((gc[256 + n], gs[256 + n], n_extra, n_bits), (dc[d], ds[d], d_extra, d_bits))):
+        values[copy, i], sizes[copy, i] = code | extra.astype(np.uint64) << size.astype(np.uint64), size + bits
+    values[hit, 0], sizes[hit, 0] = gc[280 + slot], gs[280 + slot]
+    for part in packed_bits(values.ravel(), sizes.ravel()):
+        out.put_bits(part)
+
+
+def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int = 0, search: bool = False, shift: int = 3, modes: np.ndarray | None = None) -> bytes:
+    """A file of the pixels. transforms: any of 'palette', 'predictor', 'cross', 'green', applied in this order.
+
+    modes: the predictor's mode of each block; without it all modes take turns.
+    """
     height, width, _ = planes.shape
     out = BitWriter()
     out.put(0x2F, 8)
@@ -580,16 +827,15 @@ def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int
             out.put(len(palette) - 1, 8)
             _write_image(out, _argb(np.diff(palette, axis=0, prepend=np.zeros((1, 4), np.uint8))), len(palette), False)
         elif name == "predictor":
-            modes = (np.arange(across * down) % 14).reshape(down, across)
-            planes = predictor(planes, modes, shift, False)
+            own = modes if modes is not None else (np.arange(across * down) % 14).reshape(down, across)
+            planes = predictor(planes, own, shift, False)
             out.put(1, 1)
             out.put(0, 2)
             out.put(shift - 2, 3)
-            _write_image(out, (modes.ravel() << 8).astype(np.uint32), across, False)
+            _write_image(out, (own.ravel() << 8).astype(np.uint32), across, False)
         elif name == "cross":
-            red, green = planes[:, :, 1].astype(float).ravel(), planes[:, :, 2].astype(float).ravel()
-            slope = np.clip(32 * (red * green).sum() / max(1.0, (green * green).sum()), -127, 127)
-            table = np.tile(np.array([3, 0xF9, int(slope) & 255], np.uint8), (down, across, 1))
+            steps = cross_steps(planes)
+            table = np.tile(steps, (down, across, 1))
             planes = cross_colour(planes, table, shift, False)
             out.put(1, 1)
             out.put(1, 2)
@@ -604,35 +850,59 @@ def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int
     return frame(np.packbits(out.array(), bitorder="little").tobytes())
 
 
+def cross_steps(planes: np.ndarray) -> np.ndarray:
+    """(red to blue, green to blue, green to red) in 32nds: least squares of the channels' signed values."""
+    red, green, blue = (planes[:, :, i].astype(np.int8).astype(float).ravel() for i in (1, 2, 3))
+
+    def slope(a, b):
+        return int(np.clip(round(32 * float(a @ b) / max(1.0, float(a @ a))), -128, 127))
+
+    to_red, to_blue = slope(green, red), slope(green, blue)
+    return np.array([slope(red, blue - to_blue * green / 32), to_blue, to_red]).astype(np.int8).view(np.uint8)
+
+
 # ---------------------------------------------------------------- bytes as images
 
 
-@functools.cache
-def _even_header(size: int) -> np.ndarray:
-    """The bits between dimensions and pixels of an image without transforms whose channels have even codes."""
-    out = BitWriter()
-    for _ in range(3):  # no transform, no colour cache, no meta prefix codes
-        out.put(0, 1)
-    for alphabet in (280, 256, 256, 256):
-        write_code(out, [size] * (1 << size) + [0] * (alphabet - (1 << size)))
-    write_code(out, [0] * 40)
-    return out.array()
+def costs(images: np.ndarray) -> np.ndarray:
+    """For each of some images of one shape: bits of its channels as literals, with about five for each symbol's place in a code."""
+    lanes = 4 * len(images)
+    flat = images.reshape(len(images), -1, 4) + (256 * np.arange(lanes)).reshape(len(images), 1, 4)
+    counts = np.bincount(flat.ravel(), minlength=256 * lanes).reshape(lanes, 256)
+    own = (counts * np.log2(np.maximum(counts, 1))).sum(axis=1)
+    n = flat.shape[1]
+    return (n * np.log2(n) - own + 5 * np.count_nonzero(counts, axis=1)).reshape(-1, 4).sum(axis=1)
 
 
+def chosen(planes: np.ndarray) -> tuple[str, dict]:
+    """The transform, if any, after which the samples are cheapest as literals."""
+    rows, columns = planes.shape[:2]
+    blocks = (-(-rows >> 9), -(-columns >> 9))
+    options = [("", {}), ("green", {}), ("cross", {"shift": 9}), *[("predictor", {"shift": 9, "modes": np.full(blocks, m)}) for m in (1, 2)]]
+    made = [planes, green_shift(planes, False), cross_colour(planes, cross_steps(planes)[None, None], 14, False), *[predictor(planes, kw["modes"], 9, False) for _, kw in options[3:]]]
+    cost = costs(np.stack(made)) + np.array([0, 3, 64, 64, 64])  # of the transform's own image
+    return options[int(cost.argmin())]
+
 
 def encode_bytes(payload: bytes) -> bytes:
     """Bytes (a positive multiple of 64) as one or more files: 16 pixels a row, bytes in the order green, red, blue, alpha.
 
-    ASCII takes 7-bit codes. A file has at most 16,384 rows (1 MiB); more bytes continue in the next file.
+    Each file has prefix codes of its own counts, back-references, a colour cache where pixels come again, and the transform that
+    makes the samples cheapest; few different pixels go through a palette if that is shorter.
+    A file has at most 16,384 rows (1 MiB); more bytes continue in the next file.
     """
     out = []
     for at in range(0, len(payload), 64 * SIDE):
         part = np.frombuffer(payload, np.uint8, min(64 * SIDE, len(payload) - at), at)
-        size = 7 if part.max() < 128 else 8
-        flat = np.unpackbits(part[:, None], axis=1)[:, 8 - size :]
-        head = (15 | (len(part) // 64 - 1) << 14 | 1 << 28).to_bytes(4, "little")
-        bits = np.concatenate([_even_header(size), flat.ravel()])
-        out.append(frame(b"/" + head + np.packbits(bits, bitorder="little").tobytes()))
+        planes = np.ascontiguousarray(part.reshape(-1, 16, 4)[:, :, [3, 1, 0, 2]])
+        name, kw = chosen(planes)
+        argb = _argb(planes)
+        different = len(np.unique(argb))
+        cache = int(np.clip(len(argb).bit_length() - 2, 1, 10)) if different < 0.9 * len(argb) else 0
+        files = [encode(planes, (name,) if name else (), cache, True, **kw)]
+        if different <= 256 and 3 * different <= len(argb):
+            files.append(encode(planes, ("palette",), 0, True))
+        out.append(min(files, key=len))
     return b"".join(out)
 
 
@@ -640,19 +910,7 @@ def decode_bytes(data: bytes) -> bytes:
     """The bytes of encode_bytes(), from its files or any others: each file's pixels as green, red, blue, alpha."""
     out = []
     while data:
-        stream, n = unframe(data)
-        whole = np.frombuffer(stream, np.uint8)
-        for size in (7, 8):
-            head = _even_header(size)
-            k = len(head) // 8
-            if np.array_equal(whole[5 : 5 + k], np.packbits(head[: 8 * k], bitorder="little")) and (len(head) % 8 == 0 or np.array_equal(np.unpackbits(whole[5 + k : 6 + k], bitorder="little")[: len(head) % 8], head[8 * k :])):
-                (dims,) = struct.unpack("<I", stream[1:5])
-                total = 4 * ((dims & 16383) + 1) * ((dims >> 14 & 16383) + 1)
-                if dims >> 29 == 0 and 8 * (len(whole) - 5) >= len(head) + total * size:
-                    flat = np.unpackbits(whole[5 + k :], bitorder="little")[len(head) % 8 :][: total * size]
-                    out.append(even_bytes(flat.reshape(-1, size), size).tobytes())
-                    break
-        else:
-            out.append(decode(data[:n])[:, :, [2, 1, 3, 0]].tobytes())
+        _, n = unframe(data)
+        out.append(decode(data[:n])[:, :, [2, 1, 3, 0]].tobytes())
         data = data[n:]
     return b"".join(out)

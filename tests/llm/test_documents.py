@@ -424,11 +424,68 @@ def test_webp_round_trips():
             for steps in ((), ("palette",), ("predictor",), ("cross",), ("green",), ("predictor", "cross", "green"), ("palette", "predictor")):
                 for cache, search in ((0, False), (4, True), (10, False)):
                     assert np.array_equal(webp.decode(webp.encode(im, steps, cache, search)), im)
+    for shape in ((40, 33), (300, 16)):  # large enough for the reader by blocks
+        im = np.repeat(rng.integers(0, 256, (900, 4), dtype=np.uint8)[rng.integers(0, 900, shape[0] * 4)], shape[1] // 4 + 1, axis=0)[: shape[0] * shape[1]].reshape(*shape, 4)
+        for steps in ((), ("predictor",), ("cross", "green")):
+            for cache, search in ((0, True), (1, False), (11, True), (6, False)):
+                assert np.array_equal(webp.decode(webp.encode(im, steps, cache, search)), im)
+        for mode in range(14):
+            modes = np.full((-(-shape[0] >> 3), -(-shape[1] >> 3)), mode)
+            assert np.array_equal(webp.decode(webp.encode(im, ("predictor",), modes=modes)), im)
     assert webp.near_offsets()[:6] == [(0, 1), (1, 0), (1, 1), (-1, 1), (0, 2), (2, 0)] and len(webp.near_offsets()) == 120
     with pytest.raises(ValueError):
         webp.decode(b"RIFF1234WEBPVP8X")
 
 
+def test_webp_of_another_encoder():
+    """Two files of one pixel that browsers are commonly probed with, made by the format's own tool."""
+    import base64
+
+    assert webp.decode(base64.b64decode("UklGRhoAAABXRUJQVlA4TA0AAAAvAAAAEAcQERGIiP4HAA==")).tolist() == [[[0, 0, 0, 0]]]
+    assert webp.decode(base64.b64decode("UklGRh4AAABXRUJQVlA4TBEAAAAvAAAAAAfQ//73v/+BiOh/AAA=")).tolist() == [[[255, 255, 255, 255]]]
+
+
+def test_blocks_and_single_steps_read_alike(monkeypatch):
+    """The reader by blocks of bits against the one that reads field by field, also over block ends and past the stream's end."""
+    random.seed(6)
+    words = [bytes(random.choices(b"abcdefghij kl", k=random.randint(1, 9))) for _ in range(300)]
+    payload = b" ".join(random.choices(words, k=4000))
+    payload += bytes(-len(payload) % 64)
+    stored = webp.encode_bytes(payload)
+    monkeypatch.setattr(webp, "BLOCK", 1 << 9)
+    assert webp.decode_bytes(stored) == payload
+    monkeypatch.setattr(webp, "FEW", 1 << 40)
+    assert webp.decode_bytes(stored) == payload
+    monkeypatch.undo()
+    for cut in (40, len(stored) // 2, len(stored) - 9):
+        short = stored[:16] + (cut - 20).to_bytes(4, "little") + stored[20:cut]
+        with pytest.raises(ValueError):
+            webp.decode_bytes(short)
+
+
+def test_payloads_use_the_format():
+    """Copies, cache hits and palettes occur in what texts are stored as, and gradients choose a predictor."""
+    seen = []
+
+    def noted(name, f):
+        def call(*args):
+            seen.append((name, args))
+            return f(*args)
+
+        return call
+
+    with pytest.MonkeyPatch.context() as m:
+        for name in ("_resolved", "unpalette", "predictor"):
+            m.setattr(webp, name, noted(name, getattr(webp, name)))
+        texts = [(x or "").encode() for _, x in ROWS] + [bytes((3 * i + i // 64) % 256 for i in range(6400))]
+        for t in texts:
+            payload = t + bytes(-len(t) % 64 if t else 64)
+            assert webp.decode_bytes(webp.encode_bytes(payload)) == payload
+    kinds = np.concatenate([a[0] for n, a in seen if n == "_resolved"])
+    assert ((kinds >= 256) & (kinds < 280)).any() and (kinds >= 280).any()
+    assert {"unpalette", "predictor"} <= {n for n, a in seen}
+
+
 def test_media(docs, odd, empty):
     for r in media.features(media.store(docs)).collect():
         raw = (dict(ROWS)[r.doc_id] or "").encode()
@@ -437,6 +494,8 @@ def test_media(docs, odd, empty):
         assert (r.n_bytes, r.payload_bytes, r.media_bytes) == (len(raw), len(payload), len(stored))
         assert r.payload_sha256 == hashlib.sha256(payload).hexdigest() and r.media_sha256 == hashlib.sha256(stored).hexdigest()
         assert r.tail_crc32 == zlib.crc32(payload[-64:])
+        shares = [int(1000 * sum(b // 32 == i for b in payload) / len(payload) + 0.5) for i in range(8)]
+        assert r.feature == "-".join(map(str, shares)) + f"/{100 * sum(payload) // len(payload)}"
     big = bytes(range(256)) * 5000
     assert webp.decode_bytes(webp.encode_bytes(big)) == big
     first = media.pixels(media.store(docs)).where("doc_id = 7").first()
