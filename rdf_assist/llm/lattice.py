@@ -1,14 +1,13 @@
 """Subword lattice likelihood: the marginal probability of a text over all its segmentations.
 
-The model is a unigram distribution over the pieces of an existing vocabulary (word pieces, bytes for
-letters outside it, and an end mark). A word is the piece sequence's text after a word mark, so words
-are independent and a text's probability is the product of its words' and the end's. A word's
+The pieces of an existing vocabulary (word pieces, bytes for letters outside it, and an end mark) have the weights
+that the vocabulary's own scores give them; no weight is fitted. A word is the piece sequence's text after a word mark,
+so words are independent and a text's probability is the product of its words' and the end's. A word's
 probability sums over every segmentation by a forward recursion in log space.
 
-The vocabulary's own scores give ranks; they start the piece probabilities, which rounds of
-expectation-maximisation over all distinct training words then fit. Words met in training are arcs of
-their own from the first to the last place: each lends an absolute discount of its count to the
-pieces, so the arcs' shares and the pieces' add up to one.
+What is learned from the training texts are their words: each is one more arc of the lattice, from a word's first
+place to its last, with the share of its count that an absolute discount leaves. The discounts' sum
+is the share of the pieces, so all arcs and pieces together have at most the weight one.
 """
 
 from __future__ import annotations
@@ -18,6 +17,7 @@ from collections import Counter
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -35,7 +35,7 @@ def words_of(text: str | None) -> list[bytes]:
 
 
 def vocabulary(path: str) -> dict[str, float]:
-    """piece → starting log probability, from a sentencepiece file: ordinary pieces, bytes and the end mark.
+    """piece → log probability, from a sentencepiece file: ordinary pieces, bytes and the end mark.
 
     Scores that fall by one from piece to piece are ranks; the chance of a rank falls as its inverse.
     """
@@ -87,12 +87,12 @@ class PieceTable:
         return out
 
 
-#: Words up to this many letters are worked on as arrays; longer ones one by one.
-WIDE = 40
+#: Words up to this many letters are worked on as arrays; longer ones one by one, so many letters at once.
+WIDE, CHUNK = 40, 1 << 14
 
 
 class Lattice:
-    """Forward and backward sums over all segmentations of words."""
+    """Forward sums over all segmentations of words."""
 
     def __init__(self, logp: dict[str, float]):
         self.logp = logp
@@ -109,42 +109,33 @@ class Lattice:
                 heads[p[:3]] = max(heads.get(p[:3], 0), len(p))
         self.heads = PieceTable(list(heads), 3)
         self.reach = np.array([*heads.values(), 0], np.int64)  # the longest piece that begins with three letters; last: none
-        self.counts = np.zeros(len(self.names))
-        self.byte_counts = np.zeros(256)
 
     def _spell(self, c: int) -> bytes:
         return chr(c).encode("utf-8", "surrogatepass")
 
-    def run(self, words: list[str], weights: np.ndarray | None = None) -> np.ndarray:
-        """log P of each word; with weights, expected piece counts are added up too."""
+    def run(self, words: list[str]) -> np.ndarray:
+        """log P of each word."""
         out = np.zeros(len(words))
         size = np.array([len(w) + 1 for w in words], np.int64)
         order = np.argsort(size, kind="stable")
         short = order[size[order] <= WIDE]
         for at in range(0, len(short), 2048):
             own = short[at : at + 2048]
-            out[own] = self._block([words[i] for i in own.tolist()], size[own], None if weights is None else weights[own])
+            out[own] = self._block([words[i] for i in own.tolist()], size[own])
         for i in order[size[order] > WIDE].tolist():
-            out[i] = self._block([words[i]], size[i : i + 1], None if weights is None else weights[i : i + 1])[0]
+            out[i] = self._long(words[i])
         return out
 
-    def _block(self, words: list[str], size: np.ndarray, weights: np.ndarray | None) -> np.ndarray:
-        rows, width = len(words), int(size.max())
-        flat = np.frombuffer("".join([MARK + w for w in words]).encode("utf-32-le", "surrogatepass"), "<u4")
-        code = np.zeros((rows, width), np.uint64)
-        inside = np.arange(width)[None, :] < size[:, None]
-        code[inside] = flat
-        letters, which = np.unique(flat, return_inverse=True)
-        spelled = [self._spell(int(c)) for c in letters]
-        by_byte = np.full((rows, width), -np.inf)
-        by_byte[inside] = np.array([sum(self.byte[b] for b in s) for s in spelled])[which]
-        longest = min(self.longest, width)
-        lp, ids = [], []
+    def _found(self, code: np.ndarray, inside: np.ndarray, first: bool) -> list[np.ndarray]:
+        """For each piece length from one, the piece that begins at each place of rows of letters, or -1."""
+        rows, width = code.shape
+        out = []
         key = np.zeros((rows, width), np.uint64)
         barred = code == ord(MARK)
-        barred[:, 0] = False
+        if first:
+            barred[:, 0] = False
         with np.errstate(over="ignore"):
-            for n in range(1, longest + 1):
+            for n in range(1, min(self.longest, width) + 1):
                 m = width - n + 1
                 key = key[:, :m] + code[:, n - 1 :] * self.table.power[n - 1]
                 if n <= 3:
@@ -156,42 +147,57 @@ class Lattice:
                     row, col = np.nonzero(far[:, :m] >= n)
                     found[row, col] = self.table.find(key[row, col] + np.uint64(n))
                 found[barred[:, :m] | ~inside[:, n - 1 :]] = -1
-                ids.append(found)
-                lp.append(np.where(found >= 0, self.value[found], -np.inf))
+                out.append(found)
+        return out
+
+    def _block(self, words: list[str], size: np.ndarray) -> np.ndarray:
+        rows, width = len(words), int(size.max())
+        flat = np.frombuffer("".join([MARK + w for w in words]).encode("utf-32-le", "surrogatepass"), "<u4")
+        code = np.zeros((rows, width), np.uint64)
+        inside = np.arange(width)[None, :] < size[:, None]
+        code[inside] = flat
+        by_byte = np.full((rows, width), -np.inf)
+        by_byte[inside] = self._by_byte(flat)
+        ids = self._found(code, inside, True)
+        lp = [np.where(found >= 0, self.value[found], -np.inf) for found in ids]
         alive = [(i >= 0).any(axis=0).tolist() for i in ids]  # places where any word of the block has a piece of a length
         a = np.full((rows, width + 1), -np.inf)
         a[:, 0] = 0.0
         with np.errstate(divide="ignore", invalid="ignore"):
             for j in range(1, width + 1):
-                terms = np.stack([a[:, j - n] + lp[n - 1][:, j - n] for n in range(1, min(longest, j) + 1) if alive[n - 1][j - n]] + [a[:, j - 1] + by_byte[:, j - 1]])
+                terms = np.stack([a[:, j - n] + lp[n - 1][:, j - n] for n in range(1, min(len(lp), j) + 1) if alive[n - 1][j - n]] + [a[:, j - 1] + by_byte[:, j - 1]])
                 a[:, j] = _log_sum(terms)
-        total = a[np.arange(rows), size]
-        if weights is not None:
-            self._expect(a, lp, ids, alive, by_byte, total, size, weights, inside, which, spelled)
-        return total
-
-    def _expect(self, a, lp, ids, alive, by_byte, total, size, weights, inside, which, spelled) -> None:
-        rows, width = by_byte.shape
-        longest = len(lp)
-        b = np.full((rows, width + 1), -np.inf)
-        b[np.arange(rows), size] = 0.0
-        with np.errstate(divide="ignore", invalid="ignore"):
-            for i in range(width - 1, -1, -1):
-                terms = np.stack([lp[n - 1][:, i] + b[:, i + n] for n in range(1, min(longest, width - i) + 1) if alive[n - 1][i]] + [by_byte[:, i] + b[:, i + 1]])
-                b[:, i] = np.where(i < size, _log_sum(terms), b[:, i])
-            for n in range(1, longest + 1):
-                m = width - n + 1
-                share = np.exp(a[:, :m] + lp[n - 1] + b[:, n : n + m] - total[:, None]) * weights[:, None]
-                hit = ids[n - 1] >= 0
-                self.counts += np.bincount(ids[n - 1][hit], np.nan_to_num(share[hit]), minlength=len(self.counts))
-            share = np.nan_to_num(np.exp(a[:, :width] + by_byte + b[:, 1:] - total[:, None])) * weights[:, None]
-        for s, mass in zip(spelled, np.bincount(which, share[inside], minlength=len(spelled)), strict=True):
-            for byte in s:
-                self.byte_counts[byte] += mass
-
-    def expected(self) -> dict[str, float]:
-        out = {p: float(c) for p, c in zip(self.names, self.counts, strict=True) if c}
-        return out | {f"<{b:02X}>": float(c) for b, c in enumerate(self.byte_counts) if c}
+        return a[np.arange(rows), size]
+
+    def _by_byte(self, flat: np.ndarray) -> np.ndarray:
+        """log P of each letter spelled in bytes."""
+        letters, which = np.unique(flat, return_inverse=True)
+        return np.array([sum(self.byte[b] for b in self._spell(int(c))) for c in letters])[which]
+
+    def _long(self, word: str) -> float:
+        """log P of a word of any length: the sums to the next places alone are held, scaled so that they stay numbers."""
+        ahead = [0.0] * self.longest  # sums of the segmentations up to the next places
+        now, scale = 1.0, 0.0
+        for lo in range(0, len(word) + 1, CHUNK):
+            part = (MARK + word[: CHUNK + self.longest]) if lo == 0 else word[lo - 1 : lo - 1 + CHUNK + self.longest]
+            own = min(CHUNK, len(word) + 1 - lo)
+            flat = np.frombuffer(part.encode("utf-32-le", "surrogatepass"), "<u4")
+            code = flat.astype(np.uint64)[None, :]
+            steps: list[list[tuple[int, float]]] = [[(1, p)] for p in np.exp(self._by_byte(flat[:own])).tolist()]
+            for n, found in enumerate(self._found(code, np.ones(code.shape, bool), lo == 0), 1):
+                at = np.flatnonzero(found[0, :own] >= 0)
+                for i, p in zip(at.tolist(), np.exp(self.value[found[0, at]]).tolist(), strict=True):
+                    steps[i].append((n, p))
+            for reach in steps:
+                for n, p in reach:
+                    ahead[n - 1] += now * p
+                now = ahead.pop(0)
+                ahead.append(0.0)
+                if now < 1e-100:
+                    scale += math.log(now)
+                    ahead = [x / now for x in ahead]
+                    now = 1.0
+        return scale + math.log(now)
 
     def forward(self, word: str) -> float:
         return float(self.run([word])[0])
@@ -203,13 +209,6 @@ def _log_sum(terms: np.ndarray) -> np.ndarray:
     return safe + np.log(np.exp(terms - safe).sum(axis=0))
 
 
-def refit(logp: dict[str, float], counts: dict[str, float]) -> dict[str, float]:
-    """Piece log probabilities from expected counts; a piece never seen keeps a hundredth of a count, so no text is impossible."""
-    mass = {p: counts.get(p, 0.0) + 0.01 for p in logp}
-    total = sum(mass.values())
-    return {p: math.log(m / total) for p, m in mass.items()}
-
-
 def slices(batches, rows: int = 500):
     """Batches in small runs of rows, so that few texts are held as Python objects."""
     for b in batches:
@@ -218,22 +217,23 @@ def slices(batches, rows: int = 500):
 
 
 def count_batches(batches, most: int = 150_000):
-    """(word, n_train) partial counts over runs of texts; words of held out texts alone count 0."""
-    counts: Counter = Counter()
+    """(word, n_train, n_all) partial counts over runs of texts."""
+    train: Counter = Counter()
+    every: Counter = Counter()
     for b in slices(batches):
         for t, held in zip(b.column("text").to_pylist(), b.column("held_out").to_pylist(), strict=True):
-            if held:
-                counts.update(dict.fromkeys(words_of(t), 0))
-            else:
-                counts.update(words_of(t))
-        if len(counts) > most:
-            yield _counted(counts)
-            counts = Counter()
-    yield _counted(counts)
+            words = words_of(t)
+            every.update(words)
+            if not held:
+                train.update(words)
+        if len(every) > most:
+            yield _counted(train, every)
+            train, every = Counter(), Counter()
+    yield _counted(train, every)
 
 
-def _counted(counts: Counter):
-    return pa.RecordBatch.from_arrays([pa.array([w.decode("utf-8", "replace") for w in counts], pa.string()), pa.array(list(counts.values()), pa.int64())], ["word", "n_train"])
+def _counted(train: Counter, every: Counter):
+    return pa.RecordBatch.from_arrays([pa.array([w.decode("utf-8", "replace") for w in every], pa.string()), pa.array([train[w] for w in every], pa.int64()), pa.array(list(every.values()), pa.int64())], ["word", "n_train", "n_all"])
 
 
 def gathered(batches, rows: int = 16_384):
@@ -249,16 +249,6 @@ def gathered(batches, rows: int = 16_384):
         yield pa.Table.from_batches(held).combine_chunks()
 
 
-def expect_batches(batches, logp: dict):
-    lattice = Lattice(logp)
-    for b in gathered(batches):
-        words, n = b.column("word").to_pylist(), b.column("n_train").to_numpy()
-        own = np.flatnonzero(n > 0)
-        lattice.run([words[i] for i in own.tolist()], np.ones(len(own)))
-    counts = lattice.expected()
-    yield pa.RecordBatch.from_arrays([pa.array(list(counts), pa.string()), pa.array(list(counts.values()), pa.float64())], ["piece", "mass"])
-
-
 class Arcs:
     """Shares of whole-word arcs and of the pieces: (count - discount) / total, and what the discounts leave."""
 
@@ -274,15 +264,31 @@ class Arcs:
         if not own:
             return rest
         own = math.log(own)
-        return max(own, rest) + math.log1p(math.exp(-abs(own - rest))) if abs(own - rest) < 700 else max(own, rest)
+        return max(own, rest) + math.log1p(math.exp(-abs(own - rest)))
+
+    def column(self, count, pieces):
+        """log_add() of columns."""
+        own = F.log(F.greatest(count - F.lit(self.discount), F.lit(0.0)) / F.lit(float(max(1, self.total))))  # null without a count
+        rest = F.lit(math.log(self.rest)) + pieces
+        return F.coalesce(F.greatest(own, rest) + F.log1p(F.exp(-F.abs(own - rest))), rest)
 
 
-def word_batches(batches, logp: dict, shares: tuple):
-    lattice, arcs = Lattice(logp), Arcs(*shares)
+def word_batches(batches, logp: dict):
+    lattice = Lattice(logp)
     for b in gathered(batches):
-        by_pieces = lattice.run(b.column("word").to_pylist()).tolist()
-        found = [arcs.log_add(n, p) for p, n in zip(by_pieces, b.column("n_train").to_pylist(), strict=True)]
-        yield from pa.table({"word": b["word"], "n_train": b["n_train"], "logp": pa.array(found, pa.float64())}).to_batches(10_000)
+        found = lattice.run(b.column("word").to_pylist())
+        yield from b.append_column("pieces", pa.array(found, pa.float64())).to_batches(10_000)
+
+
+def hot_key(word: bytes) -> bytes:
+    """A word, or where it is long 17 bytes that stand for it: hot words of any length take bounded room."""
+    return word if len(word) <= HOT_BYTES else b"\0" + xxhash.xxh3_128_digest(word)
+
+
+def long_keys(batches):
+    for b in batches:
+        keys = [hot_key(w.encode("utf-8")) for w in b.column("word").to_pylist()]
+        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), b.column("n_train"), b.column("pieces")], ["key", "n_train", "pieces"])
 
 
 def tally_batches(batches, hot: dict, base: tuple[float, float]):
@@ -293,7 +299,6 @@ def tally_batches(batches, hot: dict, base: tuple[float, float]):
     from pyspark import TaskContext
 
     uid = TaskContext.get().partitionId() << 33
-    hot = {w.encode("utf-8"): v for w, v in hot.items()}
     log10 = math.log(10)
     for b in slices(batches):
         out: list[tuple] = []
@@ -303,7 +308,7 @@ def tally_batches(batches, hot: dict, base: tuple[float, float]):
             n = sum(tf.values())
             known, plain, score = (1 if base[1] else 0), base[0], hot[b""][1] / log10
             for w, k in tf.items():
-                got = hot.get(w)
+                got = hot.get(w) if len(w) <= HOT_BYTES else hot.get(hot_key(w))
                 if got is None:
                     out.append((uid, w.decode("utf-8", "replace"), k, None, None, None, None, None, None))
                 else:
@@ -331,42 +336,37 @@ def held_out(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), (F.crc32(key.cast("binary")) % 7 == 2).alias("held_out"))
 
 
-def score(docs: DataFrame, path: str, rounds: int = 4, hot_words: int = 65_536) -> DataFrame:
+def score(docs: DataFrame, path: str, hot_words: int = 65_536) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score and score of every row.
 
-    Word counts, vocabulary and piece counts come from all training texts. At most `hot_words` words, those met
-    most in training and of at most 64 bytes (a bounded table), go to the tasks; every other word of a text joins
+    Word counts come from all training texts, and each distinct word goes through the lattice once. At most `hot_words`
+    words, those met most (a bounded table), go to the tasks; every other word of a text joins
     the word table by a shuffle, so no size of vocabulary has to fit anywhere. Null and empty texts are
     the end alone. Repeated rows each count and keep their row. Without training texts the base is 1 over 1.
     """
     small_batches(docs.sparkSession)
     rows = held_out(docs)
-    counted = rows.select("text", "held_out").mapInArrow(remote(HERE, "count_batches"), "word string, n_train long")
-    words = durable(counted.groupBy("word").agg(F.sum("n_train").alias("n_train")))
+    counted = rows.select("text", "held_out").mapInArrow(remote(HERE, "count_batches"), "word string, n_train long, n_all long")
+    words = counted.groupBy("word").agg(F.sum("n_train").alias("n_train"), F.sum("n_all").alias("n_all"))
+    logp = vocabulary(path)
+    scored = durable(words.mapInArrow(remote(HERE, "word_batches", logp=logp), "word string, n_train long, n_all long, pieces double"))
     ends = rows.where(~F.col("held_out")).count()
-    got = words.agg(F.sum("n_train"), F.count(F.when(F.col("n_train") > 0, 1)), F.count(F.when(F.col("n_train") == 1, 1)), F.count(F.when(F.col("n_train") == 2, 1))).first()
+    got = scored.agg(F.sum("n_train"), F.count(F.when(F.col("n_train") > 0, 1)), F.count(F.when(F.col("n_train") == 1, 1)), F.count(F.when(F.col("n_train") == 2, 1))).first()
     total, distinct = (got[0] or 0) + ends, got[1] + (1 if ends else 0)
-    logp = vocabulary(path)
-    for _ in range(rounds):
-        mass = words.mapInArrow(remote(HERE, "expect_batches", logp=logp), "piece string, mass double")
-        found = {r["piece"]: r["m"] for r in mass.groupBy("piece").agg(F.sum("mass").alias("m")).collect()}  # at most the vocabulary
-        if found or ends:
-            logp = refit(logp, found | {END: 1.0})
-    shares = (total, distinct, got[2], got[3])
-    at_end = Arcs(*shares).log_add(ends, logp[END])
-    scored = durable(words.mapInArrow(remote(HERE, "word_batches", logp=logp, shares=shares), "word string, n_train long, logp double"))
+    arcs = Arcs(total, distinct, got[2], got[3])
     floor = math.log10(total + distinct + 1)
-    eighth = F.floor(F.log2("n_train") * 8).cast("int")
-    known = scored.where((F.col("n_train") > 0) & (F.octet_length("word") <= HOT_BYTES))
+    eighth = F.floor(F.log2("n_all") * 8).cast("int")
     least, room = 1 << 30, hot_words
-    for r in sorted(known.groupBy(eighth.alias("e")).count().collect(), key=lambda r: -r["e"]):  # a row an eighth of a doubling
+    for r in sorted(scored.groupBy(eighth.alias("e")).count().collect(), key=lambda r: -r["e"]):  # a row an eighth of a doubling
         if r["count"] > room:
             break
         least, room = r["e"], room - r["count"]
-    top = known.where(eighth >= least).collect()  # at most hot_words
-    hot = {r["word"]: (math.log10(r["n_train"] + 1) - floor, r["logp"], r["n_train"]) for r in top} | {"": (0.0, at_end, 0)}
+    named = F.when(F.octet_length("word") <= HOT_BYTES, F.col("word"))
+    long = scored.where(eighth >= least).where(F.octet_length("word") > HOT_BYTES).select("word", "n_train", "pieces").mapInArrow(remote(HERE, "long_keys"), "key binary, n_train long, pieces double")
+    top = scored.where(eighth >= least).where(named.isNotNull()).select(F.col("word").cast("binary").alias("key"), "n_train", "pieces").unionByName(long).collect()  # at most hot_words of bounded size
+    hot = {bytes(r["key"]): (math.log10(r["n_train"] + 1) - floor, arcs.log_add(r["n_train"], r["pieces"]), r["n_train"]) for r in top} | {b"": (0.0, arcs.log_add(ends, logp[END]), 0)}
     tally = rows.mapInArrow(remote(HERE, "tally_batches", hot=hot, base=(math.log10(ends + 1) - floor, ends)), "uid long, word string, tf long, doc_id long, held_out boolean, n_tokens long, hot_known long, hot_base double, hot_score double")
-    joined = tally.join(scored, "word", "left")
+    joined = tally.join(scored.select("word", "n_train", arcs.column(F.col("n_train"), F.col("pieces")).alias("logp")), "word", "left")
     plain = F.col("tf") * (F.log10(F.coalesce("n_train", F.lit(0)) + 1) - F.lit(floor))
     out = joined.groupBy("uid").agg(
         F.max("doc_id").alias("doc_id"), F.max("held_out").alias("held_out"), F.max("n_tokens").alias("n_tokens"),

@@ -1,6 +1,7 @@
 """The operators on documents against brute force, and on nulls, empty and repeated rows, odd columns and empty tables."""
 
 import collections
+import functools
 import hashlib
 import math
 import random
@@ -319,33 +320,38 @@ def test_shortest_pack_first(seed):
     assert len(patterns) <= 130
 
 
-def test_lattice_sums():
+def brute_lattice(la, logp, word):
+    """P of a word by listing every segmentation."""
+    s, total = lattice.MARK + word, 0.0
+    for cuts in range(1 << (len(s) - 1)):
+        p, at = 1.0, 0
+        for i in range(1, len(s) + 1):
+            if i == len(s) or cuts >> (i - 1) & 1:
+                g = s[at:i]
+                q = math.exp(logp[g]) if g in la.index and (at == 0 or g[0] != lattice.MARK) else 0.0
+                if len(g) == 1:
+                    q += math.exp(sum(logp[f"<{b:02X}>"] for b in g.encode()))
+                p *= q
+                at = i
+        total += p
+    return total
+
+
+def test_lattice_sums(monkeypatch):
     logp = lattice.vocabulary(PIECE_FILE)
     la = lattice.Lattice(logp)
-
-    def brute(word):
-        s, total = lattice.MARK + word, 0.0
-        for cuts in range(1 << (len(s) - 1)):
-            p, at = 1.0, 0
-            for i in range(1, len(s) + 1):
-                if i == len(s) or cuts >> (i - 1) & 1:
-                    g = s[at:i]
-                    q = math.exp(logp[g]) if g in la.index and (at == 0 or g[0] != lattice.MARK) else 0.0
-                    if len(g) == 1:
-                        q += math.exp(sum(logp[f"<{b:02X}>"] for b in g.encode()))
-                    p *= q
-                    at = i
-            total += p
-        return math.log(total)
-
+    assert abs(sum(map(math.exp, logp.values())) - 1) < 1e-9
     words = ["", "a", "the", "onthhe", "é日x", "a▁b", "x<0A>", "anly."]
-    assert np.allclose(la.run(words), [brute(w) for w in words], atol=1e-9)
-    la.run(["the", "zq" * 60], np.ones(2))
-    spelled = sum(len(p.encode()) * c if not p.startswith("<") else c for p, c in la.expected().items())
-    assert spelled > 120
-    fitted = lattice.refit(logp, la.expected())
-    assert abs(sum(map(math.exp, fitted.values())) - 1) < 1e-9
-    assert lattice.Lattice(fitted).forward("the") > la.forward("the")
+    want = [math.log(brute_lattice(la, logp, w)) for w in words]
+    assert np.allclose(la.run(words), want, atol=1e-9)
+    more = [*words, "zq" * 60, "international" * 9, "é日🙂▁" * 30]
+    plain = la.run(more)
+    monkeypatch.setattr(lattice, "WIDE", 0)
+    for chunk in (1, 5, 1 << 14):  # the way of long words, over ends of chunks too
+        monkeypatch.setattr(lattice, "CHUNK", chunk)
+        assert np.allclose(la.run(more), plain, atol=1e-7)
+    monkeypatch.setattr(lattice, "WIDE", 1 << 20)
+    assert np.allclose(la.run(more), plain, atol=1e-7)
 
 
 def test_lattice_scores(docs, odd, empty):
@@ -354,12 +360,25 @@ def test_lattice_scores(docs, odd, empty):
     tok = {d: [*WORDS.findall((t or "").translate(low)), None] for d, t in ROWS}
     train = collections.Counter(w for d in tok if zlib.crc32(str(d).encode()) % 7 != 2 for w in tok[d])
     n, v = sum(train.values()), len(train)
+    logp = lattice.vocabulary(PIECE_FILE)
+    la = lattice.Lattice(logp)
+    counts = collections.Counter(c for w, c in train.items() if w is not None)
+    discount = counts[1] / (counts[1] + 2 * counts[2])
+
+    @functools.cache
+    def log10_p(w):
+        pieces = math.exp(logp[lattice.END]) if w is None else brute_lattice(la, logp, w) if len(w) < 14 else math.exp(max(-700, la.forward(w)))
+        own = max(train[w] - discount, 0) / n + discount * v / n * pieces
+        return math.log10(own) if own > 1e-290 else (math.log(discount * v / n) + la.forward(w)) / math.log(10)
+
     assert len(rows) == len(ROWS)
     for r in rows:
         assert r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 7 == 2)
         assert (r.n_tokens, r.n_known, r.train_tokens) == (len(tok[r.doc_id]), sum(train[w] > 0 for w in tok[r.doc_id]), n)
         assert abs(r.base_score - sum(math.log10((train[w] + 1) / (n + v + 1)) for w in tok[r.doc_id])) < 1e-6 * max(1, abs(r.base_score))
-        assert math.isfinite(r.score) and r.score < 0
+        assert abs(r.score - sum(map(log10_p, tok[r.doc_id]))) < 1e-6 * max(1, abs(r.score))
+    few = {r.doc_id: r.score for r in lattice.score(docs, PIECE_FILE, hot_words=3).collect()}
+    assert all(abs(few[r.doc_id] - r.score) < 1e-6 * abs(r.score) for r in rows)
     assert lattice.score(odd, PIECE_FILE, hot_words=3).count() == len(ODD)
     assert lattice.score(empty, PIECE_FILE).count() == 0
 
