@@ -239,42 +239,84 @@ def test_repeats(spark, docs, odd, empty):
     assert sorted(map(tuple, suffixes.digests(frame).collect())) == _cut(rows)
     assert suffixes.digests(odd).count() == len(ODD)
     assert suffixes.digests(empty).count() == 0
-    kept = suffixes.without_repeats(odd.where("doc_id is null or doc_id > 20"))
-    assert kept.columns == odd.columns and all(r.n_chars == len(r.text) for r in kept.where("doc_id is not null").collect())
+    for hot in (0, 3):  # strings of hot triggers are dealt out
+        assert sorted(map(tuple, suffixes.remove_repeats(frame, digest=True, hot=hot).collect())) == _cut(rows)
+    kept = suffixes.without_repeats(odd)
+    assert kept.columns == odd.columns and kept.count() == len(ODD)
+    left = sorted((r.doc_id, r.text or "") for r in kept.collect() if r.doc_id is not None)
+    whole = {r[0]: r for r in odd.select("doc_id", "text").collect()}
+    assert [d for d, _ in left] == sorted(d for d, _ in ODD if d is not None)
+    assert sum(len(t.encode()) for _, t in left) == sum(n - gone for _, n, gone, _, _ in _cut([r for r in ODD if r[0] is not None]))
+    assert all(r.text == whole[r.doc_id].text for r in kept.where("doc_id = 0 or doc_id = 2").collect())
+
+
+def test_repeated_ids_keep_their_rows(spark):
+    """Rows of one doc_id, also equal ones, and columns that the operator uses inside."""
+    long = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, long, 1, 2, 3), (2, long + " x", 1, 2, 3), (2, "y " + long, 4, 5, 6), (2, "short", 7, 8, 9), (3, None, 1, 1, 1), (3, None, 1, 1, 2)]
+    out = suffixes.without_repeats(spark.createDataFrame(rows, "doc_id int, text string, _id int, tag int, d int"))
+    assert sorted(map(tuple, out.collect()), key=str) == sorted([(1, long, 1, 2, 3), (2, " x", 1, 2, 3), (2, "y ", 4, 5, 6), (2, "short", 7, 8, 9), (3, None, 1, 1, 1), (3, None, 1, 1, 2)], key=str)
+
+
+def _one_trigger(n, seed=8):
+    """n texts around one 20-byte string that is the least of its surroundings."""
+    rng = np.random.default_rng(seed)
+    data = rng.integers(97, 123, 1 << 21).astype(np.uint8)
+    p = suffixes.phrases(data, np.array([0, len(data)]))
+    at = int((p["lo"] + p["off"])[p["trigger"].argmin()])
+    rows = rng.integers(97, 123, (n, 80)).astype(np.uint8)
+    rows[:, 30:50] = data[at : at + 20]
+    return rows
 
 
-def test_many_surroundings_of_one_trigger():
+def test_many_surroundings_of_one_trigger(spark):
     """200,000 different phrases of one frequent trigger: none is taken for another."""
     import pandas as pd
     import pyarrow as pa
 
-    rng = np.random.default_rng(8)
-    data = rng.integers(97, 123, 1 << 21).astype(np.uint8)
-    p = suffixes.phrases(data, np.array([0, len(data)]))
-    at = int((p["lo"] + p["off"])[p["trigger"].argmin()])
     n = 200_000
-    rows = rng.integers(97, 123, (n, 80)).astype(np.uint8)
-    rows[:, 30:50] = data[at : at + 20]
-    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(n)), "tag": [0] * n, "text": [x.tobytes().decode() for x in rows]})
-    frame = pd.concat([b.to_pandas() for b in suffixes.phrase_blobs([batch], 1, 50, 20)])
-    found = suffixes.ordered_phrases(frame, 1, 50)
+    rows = _one_trigger(n)
+    batch = pa.RecordBatch.from_pydict({"doc_id": list(range(n)), "tag": [0] * n, "text": [x.tobytes().decode() for x in rows], "unit": [i >> 8 for i in range(n)]})
+    frame = pd.concat([b.to_pandas() for b in suffixes.dictionary_blobs([batch], 1, 50, 20)])
+    found = suffixes.ordered_phrases(frame, 1, 50, 50_000)
     assert found[found["kind"] == 1]["n"].sum() > 0.9 * n and not len(found[found["kind"] == 0])
 
 
+def test_hot_trigger_with_shared_ends(spark):
+    """Thousands of surroundings of one trigger, some shared on one side: equal to brute force, with and without dealing out."""
+    rows = _one_trigger(3000, 5)
+    rows[::7, 40:] = rows[3, 40:]
+    rows[1::11, :45] = rows[4, :45]
+    texts = [(i, x.tobytes().decode()) for i, x in enumerate(rows)]
+    frame = spark.createDataFrame(texts, "doc_id long, text string")
+    for hot in (100, 50_000):
+        assert sorted(map(tuple, suffixes.remove_repeats(frame, digest=True, hot=hot).collect())) == _cut(texts)
+
+
+def test_a_phrase_of_many_documents_is_one_row_a_unit():
+    """However many copies a unit has of a passage, its dictionary has each phrase once."""
+    import pandas as pd
+    import pyarrow as pa
+
+    sizes = []
+    for n in (10, 1000):
+        text = " ".join(f"word{i}" for i in range(200))
+        batch = pa.RecordBatch.from_pydict({"doc_id": list(range(n)), "tag": [0] * n, "text": [text] * n, "unit": [0] * n})
+        frame = pd.concat([b.to_pandas() for b in suffixes.dictionary_blobs([batch], 1, 50, 20)])
+        sizes.append(len(suffixes.unblob(frame["blob"])[0]))
+    assert sizes[0] == sizes[1]
+
+
 def test_long_texts_in_pieces(spark, monkeypatch):
     monkeypatch.setattr(suffixes, "CHUNK", 300)
     random.seed(1)
     long = "".join(random.choice("abcdef ") for _ in range(2500))
-    rows = [(1, 0, long.encode()), (2, 0, (long[500:1700] + "zz" + long[100:400]).encode())]
-    found = {}
-    for data, bounds, doc, tag, base in suffixes.pieces(rows, 50):
-        p = suffixes.phrases(data, bounds)
-        for i in range(len(p["lo"])):
-            at = p["piece"][i]
-            lo = int(p["lo"][i] + base[at])
-            for s in range(lo, lo + int(p["more"][i]) + 1):
-                found.setdefault(int(doc[at]), set()).add(s)
-    assert found[1] == set(range(len(rows[0][2]) - 49)) and found[2] == set(range(len(rows[1][2]) - 49))
+    raws = [long.encode(), (long[500:1700] + "zz" + long[100:400]).encode()]
+    p = suffixes.parse(raws, 50, 20)
+    found = {0: set(), 1: set()}
+    for row, lo, more in zip(p["row"].tolist(), p["lo"].tolist(), p["more"].tolist(), strict=True):
+        found[row] |= set(range(lo, lo + more + 1))
+    assert found == {i: set(range(len(raws[i]) - 49)) for i in (0, 1)}
 
 
 def test_packing(docs, odd, empty):
