@@ -20,6 +20,8 @@ from .common import durable, mixed, pack_columns, remote, remote_group, texts, u
 from .graph import components
 
 HERE = __name__
+#: Tasks that the members of one component are dealt to where they are joined with what is known of it.
+SALTS = 32
 #: Members up to which a bucket's candidates are paired by a join; larger buckets go the exact linear way.
 HOT = 32
 
@@ -110,9 +112,10 @@ def near_duplicates(docs: DataFrame, shingle: int = 3) -> DataFrame:
     found = durable(fingerprints(docs, shingle).select("doc_id", F.conv(F.hex("fp"), 16, -10).cast("long").alias("f")))
     firsts = found.groupBy("f").agg(F.min("doc_id").alias("first"))
     group = components(links_within_two(firsts.select("f")))
-    rooted = firsts.join(group.withColumnRenamed("node", "f"), "f", "left").select("f", "first", F.coalesce("root", "f").alias("root"))
-    least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
-    named = rooted.join(least, "root").select("f", "component_id")
+    members = firsts.join(group.withColumnRenamed("node", "f"), "f")
+    least = members.groupBy("root").agg(F.min("first").alias("least")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    linked = members.withColumn("salt", F.pmod(F.xxhash64("f"), F.lit(SALTS))).join(least, ["root", "salt"]).select("f", "least")
+    named = firsts.join(linked, "f", "left").select("f", F.coalesce("least", "first").alias("component_id"))
     return found.join(named, "f", "left").select("doc_id", F.lower(F.lpad(F.hex("f"), 16, "0")).alias("fingerprint"), "component_id")
 
 
@@ -139,7 +142,7 @@ def set_name(found: np.ndarray) -> bytes:
 def set_batches(batches, shingle: int, lanes: int):
     for b in batches:
         sets = [shingle_set(t, shingle) for t in b.column("text").to_pylist()]
-        yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([set_name(x) for x in sets], pa.binary()), pa.array([bits_of(x, lanes) for x in sets], pa.binary())], ["doc_id", "id", "fp"])
+        yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("print"), pa.array([set_name(x) for x in sets], pa.binary()), pa.array([bits_of(x, lanes) for x in sets], pa.binary())], ["doc_id", "print", "id", "fp"])
 
 
 def segment_blobs(batches, lanes: int, width: int, orders: int, parts: int):
@@ -309,18 +312,18 @@ def exact_groups(frame, similarity: float):
     return pd.DataFrame(out, columns=["id", "root"])
 
 
-def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 18, orders: int = 10, per_bucket: int = 1_000_000) -> DataFrame:
-    """(doc_id, component_id): groups that pairs at an exact shingle Jaccard of `similarity` or more connect.
+def text_print():
+    """What tells texts of one doc_id apart; null counts as empty."""
+    return F.md5(F.coalesce("text", F.lit("")).cast("binary"))
 
-    Candidates come from fingerprints of the distinct shingles, 256 bits, cut into segments of 18 bits in ten orders
-    of the bits. Fingerprints that share a segment and differ by no more than the similarity's expected
-    distance and three standard deviations make loose groups. Within a loose group every text's shingle
-    set is at hand and exact Jaccard decides; only how candidates are found is an estimate.
-    Rows without words never group here with others than rows without words. Rows without an id do not link others.
-    """
+
+def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 18, orders: int = 10, per_bucket: int = 1_000_000) -> DataFrame:
+    """(doc_id, print, first_id, first_print) of every row: the row's component is named by its least doc_id, and by the least print under that id."""
     bits = 64 * lanes
-    found = durable(texts(docs).mapInArrow(remote(HERE, "set_batches", shingle=shingle, lanes=lanes), "doc_id long, id binary, fp binary"))
-    firsts = durable(found.groupBy("id", "fp").agg(F.min("doc_id").alias("first")))
+    printed = texts(docs).withColumn("print", text_print())
+    found = durable(printed.mapInArrow(remote(HERE, "set_batches", shingle=shingle, lanes=lanes), "doc_id long, print string, id binary, fp binary"))
+    least = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "print")))
+    firsts = durable(found.groupBy("id", "fp").agg(least.alias("first")))
     parts = max(1, math.ceil(firsts.count() * orders * (bits // width) / per_bucket))
     blob = firsts.select("id", "fp").mapInArrow(remote(HERE, "segment_blobs", lanes=lanes, width=width, orders=orders, parts=parts), "part int, blob binary")
     most = bits_apart(similarity, bits)
@@ -328,21 +331,38 @@ def similar_groups(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, l
     edges = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=most), "a binary, b binary")
     loose = durable(components(edges))
     shares = max(1, math.ceil(loose.count() / 5000))
-    # the doc_id of the row that names a set; one doc_id may have several rows, so the set itself is checked again
-    asked = firsts.where("first is not null").join(loose.withColumnRenamed("node", "id"), "id").select(F.col("first").alias("doc_id"), "id", "root", F.pmod(F.xxhash64("root"), F.lit(shares)).cast("int").alias("part"))
+    # one doc_id may have several rows, so the set itself is checked again
+    asked = firsts.where("first is not null").join(loose.withColumnRenamed("node", "id"), "id").select(F.col("first.doc_id").alias("doc_id"), "id", "root", F.pmod(F.xxhash64("root"), F.lit(shares)).cast("int").alias("part"))
     sets = texts(docs).join(asked, "doc_id").select("text", "id", "root", "part").mapInArrow(remote(HERE, "grouped_sets", shingle=shingle), "part int, root binary, id binary, hashes binary")
-    group = sets.groupBy("part").applyInPandas(remote_group(HERE, "exact_groups", similarity=similarity), "id binary, root binary")
-    rooted = durable(firsts.select("id", "first").join(group, "id", "left").select("id", "first", F.coalesce("root", "id").alias("root")))
-    least = rooted.groupBy("root").agg(F.min("first").alias("component_id"))
-    return found.select("doc_id", "id").join(rooted.join(least, "root").select("id", "component_id"), "id", "left").select("doc_id", "component_id")
+    group = durable(sets.groupBy("part").applyInPandas(remote_group(HERE, "exact_groups", similarity=similarity), "id binary, root binary"))
+    members = group.join(firsts.select("id", "first"), "id")
+    salt = F.pmod(F.xxhash64("id"), F.lit(SALTS))
+    best = members.groupBy("root").agg(F.min("first").alias("best")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    named = members.withColumn("salt", salt).join(best, ["root", "salt"]).select("id", "best")
+    every = firsts.join(named, "id", "left").select("id", F.coalesce("best", "first").alias("best"))
+    return found.join(every, "id", "left").select("doc_id", "print", F.col("best.doc_id").alias("first_id"), F.col("best.print").alias("first_print"))
+
+
+def similar_groups(docs: DataFrame, **kw) -> DataFrame:
+    """(doc_id, component_id): groups that pairs at an exact shingle Jaccard of `similarity` (0.8) or more connect.
+
+    Candidates come from fingerprints of the distinct shingles, 256 bits, cut into segments of 18 bits in ten orders
+    of the bits. Fingerprints that share a segment and differ by no more than the similarity's expected
+    distance and three standard deviations make loose groups. Within a loose group every text's shingle
+    set is at hand and exact Jaccard decides; only how candidates are found is an estimate.
+    Rows without words never group here with others than rows without words. Rows without an id do not link others.
+    """
+    return named_rows(docs, **kw).select("doc_id", F.col("first_id").alias("component_id"))
 
 
 def keep_first(docs: DataFrame, **kw) -> DataFrame:
-    """docs without near-duplicates: the row with the smallest doc_id of each group stays, with its own columns.
+    """docs without near-duplicates: of each group the row with the smallest doc_id stays, with its own columns.
 
-    Of repeated rows with one doc_id one stays. Rows with a null doc_id belong to no group and all stay.
+    Rows are told apart by doc_id and text: different texts under one doc_id both stay unless they are alike, and then the
+    one whose digest is smaller does. Of rows equal in both one stays. Rows with a null doc_id belong to no group and all stay.
     """
-    named = similar_groups(docs.where("doc_id is not null"), **kw)
-    gone = named.where("doc_id <> component_id").select("doc_id").distinct()
-    with_id = docs.where("doc_id is not null").dropDuplicates(["doc_id"])
-    return with_id.join(gone, "doc_id", "left_anti").select(docs.columns).unionByName(docs.where("doc_id is null"))
+    ids = docs.where("doc_id is not null")
+    gone = named_rows(ids, **kw).where("doc_id <> first_id OR print <> first_print").select(F.col("doc_id").alias("d"), F.col("print").alias("p")).distinct()
+    row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r")
+    held = ids.select(row, F.col("doc_id").cast("long").alias("d"), text_print().alias("p")).dropDuplicates(["d", "p"])
+    return held.join(gone, ["d", "p"], "left_anti").select([F.col("r").getField(c).alias(c) for c in docs.columns]).unionByName(docs.where("doc_id is null"))

@@ -171,6 +171,9 @@ def test_near_copies_go(spark, odd, empty):
     assert kept.columns == frame.columns
     assert {r.doc_id for r in kept.collect()} == {100 * i for i in range(12)}
     assert simhash.keep_first(odd).where("doc_id is null").count() == 2
+    both = [(1, rows[0][1], 1), (1, rows[4][1], 2), (1, rows[4][1], 2), (2, rows[5][1], 3), (3, None, 4), (3, "", 5), (4, " ", 6)]
+    left = sorted((r.doc_id, r.text or "") for r in simhash.keep_first(spark.createDataFrame(both, "doc_id long, text string, d int")).collect())
+    assert left == sorted([(1, rows[0][1]), (1, rows[4][1]), (3, "")])
     assert simhash.keep_first(empty).count() == 0
 
 
