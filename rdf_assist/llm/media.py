@@ -25,8 +25,9 @@ def store_batches(batches):
     for b in batches:
         for at in range(0, b.num_rows, 1024):
             part = b.slice(at, 1024)
-            made = [(n, webp.encode_bytes(p)) for p, n in map(payload_of, part.column("text").to_pylist())]
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([n for n, _ in made], pa.int64()), pa.array([m for _, m in made], pa.binary())], ["doc_id", "n_bytes", "media"])
+            payloads = [payload_of(t) for t in part.column("text").to_pylist()]
+            media = webp.encode_many([p for p, _ in payloads])
+            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([n for _, n in payloads], pa.int64()), pa.array(media, pa.binary())], ["doc_id", "n_bytes", "media"])
 
 
 def store(docs: DataFrame) -> DataFrame:

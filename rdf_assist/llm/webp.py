@@ -14,7 +14,6 @@ which are followed by doubling.
 from __future__ import annotations
 
 import functools
-import heapq
 import struct
 
 import numpy as np
@@ -120,8 +119,7 @@ class PrefixCode:
         self.lengths = np.asarray(lengths, np.uint8)
         own = np.flatnonzero(self.lengths)
         if len(own) < 2:
-            self.width, self.symbols, self.sizes = 0, np.array([own[0] if len(own) else 0]), np.zeros(1, np.uint8)
-            self.order, self.codes = self.symbols, np.zeros(1, np.int64)
+            self.width, self.order, self.codes = 0, np.array([own[0] if len(own) else 0]), np.zeros(1, np.int64)
         else:
             size = self.lengths[own]
             self.width = int(size.max())
@@ -132,11 +130,20 @@ class PrefixCode:
                 raise ValueError("a prefix code is not complete")
             back = mirrored(self.width)
             self.codes = back[np.cumsum(room) - room]
-            self.symbols = np.repeat(self.order, room)[back]
-            self.sizes = np.repeat(size, room)[back]
+            self._room, self._size = room, size
         self.mask = (1 << self.width) - 1
         self._pairs = self._listed = None
 
+    @functools.cached_property
+    def symbols(self) -> np.ndarray:
+        """The symbol that each `width` bits begin with."""
+        return np.repeat(self.order, self._room)[mirrored(self.width)] if self.width else self.order
+
+    @functools.cached_property
+    def sizes(self) -> np.ndarray:
+        """How many of each `width` bits it takes."""
+        return np.repeat(self._size, self._room)[mirrored(self.width)] if self.width else np.zeros(1, np.uint8)
+
     def read(self, bits: BitReader) -> int:
         if not self.width:
             return int(self.symbols[0])
@@ -177,8 +184,11 @@ def read_code(bits: BitReader, alphabet: int) -> PrefixCode:
             lengths[bits.read(8)] = 1
         return code_of(bytes(lengths))
     own = bytearray(19)
-    for i in range(4 + bits.read(4)):
-        own[CODE_ORDER[i]] = bits.read(3)
+    many = 4 + bits.read(4)
+    held = bits.read(3 * many)
+    for i in CODE_ORDER[:many]:
+        own[i] = held & 7
+        held >>= 3
     code = code_of(bytes(own))
     left = alphabet
     if bits.read(1):
@@ -288,19 +298,30 @@ def huffman(counts: np.ndarray, limit: int = 15) -> np.ndarray:
         return lengths
     floor = 1
     while True:
-        heap = list(zip(np.maximum(counts[used], floor).tolist(), range(n), strict=True))
-        heapq.heapify(heap)
+        weight = np.maximum(counts[used], floor)
+        order = np.argsort(weight, kind="stable")
+        single = weight[order].tolist()  # leaves and inner nodes both come up in order of weight
+        single += [1 << 62, 1 << 62]
+        joined = [1 << 62] * (n + 1)
         above = [0] * (2 * n - 1)
-        for node in range(n, 2 * n - 1):
-            a, i = heapq.heappop(heap)
-            b, j = heap[0]
-            above[i] = above[j] = node
-            heapq.heapreplace(heap, (a + b, node))
+        i = j = 0
+        for k in range(n - 1):
+            total = 0
+            for _ in range(2):
+                if single[i] <= joined[j]:
+                    total += single[i]
+                    above[i] = n + k
+                    i += 1
+                else:
+                    total += joined[j]
+                    above[n + j] = n + k
+                    j += 1
+            joined[k] = total
         depth = [0] * (2 * n - 1)
-        for i in range(2 * n - 3, -1, -1):
-            depth[i] = depth[above[i]] + 1
+        for node in range(2 * n - 3, -1, -1):
+            depth[node] = depth[above[node]] + 1
         if max(depth[:n]) <= limit:
-            lengths[used] = depth[:n]
+            lengths[used[order]] = depth[:n]
             return lengths
         floor *= 2
 
@@ -394,7 +415,7 @@ def _windows(data: np.ndarray, lo: int, n: int) -> np.ndarray:
     """The 16 bits that begin at each of n bit positions from lo, a multiple of 8."""
     b = data[lo >> 3 : (lo + n >> 3) + 3].astype(np.uint32)
     whole = b[:-2] | b[1:-1] << 8 | b[2:] << 16
-    return ((whole[:, None] >> np.arange(8, dtype=np.uint32)) & 0xFFFF).ravel()[:n]
+    return ((whole[:, None] >> np.arange(8, dtype=np.uint32)) & 0xFFFF).ravel()[:n].astype(np.int64)
 
 
 def _bits_at(data: np.ndarray, place: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -418,14 +439,14 @@ def _read_blocks(bits: BitReader, width: int, total: int, group: list[PrefixCode
         window = _windows(data, lo, n)
         n = len(window) - SLACK  # what starts before ends before len(window)
         code = window[:n] & green.mask
-        symbol, ends = green.symbols[code], green.sizes[code] + np.arange(n)
+        symbol, ends = green.symbols.take(code), green.sizes.take(code) + np.arange(n)
         long = np.flatnonzero(symbol >= 256)
         after = ends[long]
         for i, c in enumerate(others):
             if c.width:
                 if i == 0 or c is not others[i - 1]:
-                    steps = c.sizes[window & c.mask]
-                ends += steps[ends]
+                    steps = c.sizes.take(window & c.mask)
+                ends += steps.take(ends)
         copy = symbol[long] < 280
         own = after[copy] + EXTRA[symbol[long][copy] - 256]
         code = window[own] & dist.mask
@@ -441,12 +462,13 @@ def _read_blocks(bits: BitReader, width: int, total: int, group: list[PrefixCode
             raise ValueError("a colour cache code without a cache")
         count, far, value = np.ones(len(met), np.int64), np.zeros(len(met), np.int64), np.zeros(len(met), np.uint32)
         plain = np.flatnonzero(kind < 256)
-        q = met[plain] + green.sizes[window[met[plain]] & green.mask]
-        word = kind[plain].astype(np.uint32) << 8
+        q = met.take(plain)
+        q = q + green.sizes.take(window.take(q) & green.mask)
+        word = kind.take(plain) << 8
         for c, shift in zip(others, (16, 0, 24), strict=True):
-            w = window[q] & c.mask
-            word |= c.symbols[w].astype(np.uint32) << np.uint32(shift)
-            q = q + c.sizes[w]
+            w = window.take(q) & c.mask
+            word |= c.symbols.take(w) << shift
+            q = q + c.sizes.take(w)
         value[plain] = word
         ref = np.flatnonzero((kind >= 256) & (kind < 280))
         if len(ref):
@@ -505,8 +527,8 @@ def _resolved(kind: np.ndarray, value: np.ndarray, count: np.ndarray, far: np.nd
 
 def _followed(source: np.ndarray) -> np.ndarray:
     while True:
-        further = source[source]
-        if np.array_equal(further, source):
+        further = source.take(source)
+        if (further == source).all():
             return source
         source = further
 
@@ -515,8 +537,9 @@ def _slot(argb: int, cache_bits: int) -> int:
     return ((CACHE_MULTIPLIER * argb) & 0xFFFFFFFF) >> (32 - cache_bits)
 
 
-def _slots(argb: np.ndarray, cache_bits: int) -> np.ndarray:
-    return (((argb.astype(np.uint64) * np.uint64(CACHE_MULTIPLIER)) & np.uint64(0xFFFFFFFF)) >> np.uint64(32 - cache_bits)).astype(np.int64)
+def _slots(argb: np.ndarray, cache_bits) -> np.ndarray:
+    """Cache places, for one size or a size for each pixel."""
+    return ((argb.astype(np.int64) * CACHE_MULTIPLIER) & 0xFFFFFFFF) >> (32 - cache_bits)
 
 
 # ---------------------------------------------------------------- transforms
@@ -716,10 +739,16 @@ def decode(data: bytes) -> np.ndarray:
     return planes
 
 
-def _tokens(argb: np.ndarray, cache_bits: int, search: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """(place, kind, length, distance) of an image's tokens; kind 0: literal, 1: copy, 2: cache hit.
+def _by_image(values: np.ndarray, image: np.ndarray) -> np.ndarray:
+    """The order of pixels by image, then by value, then by place."""
+    order = np.argsort(values, kind="stable")
+    return order[np.argsort(image[order], kind="stable")]
+
 
-    A place's candidate is the last earlier one with the same two pixels. Where neighbouring places have
+def _tokens(argb: np.ndarray, image: np.ndarray, cache_bits: np.ndarray, search: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(place, kind, length, distance) of the tokens of images that lie one after the other; kind 0: literal, 1: copy, 2: cache hit.
+
+    A place's candidate is the last earlier one of its image with the same two pixels. Where neighbouring places have
     candidates at one distance the copy runs on, so lengths follow from runs. Copies take three pixels or more, from the left.
     """
     total = len(argb)
@@ -728,53 +757,53 @@ def _tokens(argb: np.ndarray, cache_bits: int, search: bool) -> tuple[np.ndarray
     keep = np.ones(total, bool)
     if search and total > 3:
         pair = argb[:-1].astype(np.uint64) << np.uint64(32) | argb[1:]
-        order = np.argsort(pair, kind="stable")
-        same = np.flatnonzero(pair[order][1:] == pair[order][:-1])
+        order = _by_image(pair, image[:-1])
+        order = order[image[order] == image[order + 1]]
+        same = np.flatnonzero((pair[order][1:] == pair[order][:-1]) & (image[order][1:] == image[order][:-1]))
         d = np.zeros(total, np.int64)
         d[order[same + 1]] = order[same + 1] - order[same]
-        cut = starts_of(d)
+        cut = starts_of(d)  # an image's last pixel begins no pair, so runs end with it
         ends = np.repeat(cut[1:], np.diff(cut))
         run = np.where(d > 0, ends - np.arange(total) + 1, 0)
         places = np.flatnonzero(run >= 3)
-        at, starts = 0, []
-        lengths = run[places].tolist()
-        for p, n in zip(places.tolist(), lengths, strict=True):
-            if p >= at and total - p >= 3:
-                starts.append(p)
-                at = p + min(n, 4096, total - p)
-        starts = np.array(starts, np.int64)
-        kind[starts], far[starts] = 1, d[starts]
-        length[starts] = np.minimum(np.minimum(run[starts], 4096), total - starts)
+        at, begin = 0, []
+        for p, n in zip(places.tolist(), run[places].tolist(), strict=True):
+            if p >= at:
+                begin.append(p)
+                at = p + min(n, 4096)
+        begin = np.array(begin, np.int64)
+        kind[begin], far[begin], length[begin] = 1, d[begin], np.minimum(run[begin], 4096)
         step = np.zeros(total + 2, np.int64)
-        step[starts + 1] += 1
-        step[starts + length[starts]] -= 1
+        step[begin + 1] += 1
+        step[begin + length[begin]] -= 1
         keep = np.cumsum(step[:total]) == 0
-    if cache_bits:
-        slot = _slots(argb, cache_bits)
-        order = np.argsort(slot, kind="stable")
-        hit = order[1:][(slot[order][1:] == slot[order][:-1]) & (argb[order][1:] == argb[order][:-1])]
-        hits = np.zeros(total, bool)
-        hits[hit] = True
-        kind[hits & (kind == 0)] = 2
+    if cache_bits.any():
+        slot = _slots(argb, cache_bits[image])
+        order = _by_image(slot, image)
+        order = order[cache_bits[image[order]] > 0]
+        last, now = order[:-1], order[1:]
+        hit = now[(slot[now] == slot[last]) & (argb[now] == argb[last]) & (image[now] == image[last])]
+        kind[hit] = np.where(kind[hit] == 0, 2, kind[hit])
     place = np.flatnonzero(keep)
     return place, kind[place], length[place], far[place]
 
 
-def joint(counts: list[np.ndarray]) -> bool:
-    """Whether channels are alike enough for one code: then only one has to be made, here and by the reader."""
+def joint(counts: list[np.ndarray]) -> np.ndarray:
+    """Of each image (a row of counts for each channel), whether its channels are alike enough for one code: then only one has to be made, here and by the reader."""
     every = np.stack([*counts, sum(counts)])
-    total = every.sum(axis=1)
-    bits = total * np.log2(np.maximum(total, 1)) - (every * np.log2(np.maximum(every, 1))).sum(axis=1)
-    return np.count_nonzero(every[-1]) > 2 and bits[:-1].sum() > 0.97 * bits[-1]
-
-
-def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache_bits: int = 0, search: bool = False) -> None:
-    out.put(1 if cache_bits else 0, 1)
-    if cache_bits:
-        out.put(cache_bits, 4)
-    if main:
-        out.put(0, 1)
-    place, kind, length, far = _tokens(argb, cache_bits, search)
+    total = every.sum(axis=2)
+    bits = total * np.log2(np.maximum(total, 1)) - (every * np.log2(np.maximum(every, 1))).sum(axis=2)
+    return (np.count_nonzero(every[-1], axis=1) > 2) & (bits[:-1].sum(axis=0) > 0.97 * bits[-1])
+
+
+def _coded(images: list[np.ndarray], width: int, cache_bits: list[int], search: bool) -> list[tuple[list[tuple[int, int]], np.ndarray]]:
+    """For each of some images of one width: its codes, as written, and the bits of its tokens. All images go through each step together."""
+    many = len(images)
+    argb = np.concatenate(images)
+    image = np.repeat(np.arange(many, dtype=np.uint16), [len(x) for x in images])
+    caches = np.array(cache_bits, np.int64)
+    place, kind, length, far = _tokens(argb, image, caches, search)
+    own = image[place].astype(np.int64)
     plain, copy, hit = (np.flatnonzero(kind == k) for k in range(3))
     samples = argb[place[plain]].astype("<u4").view(np.uint8).reshape(-1, 4)
     blue, green, red, alpha = (samples[:, i] for i in range(4))
@@ -782,24 +811,66 @@ def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache
     near = near_codes(width)
     short = np.where(far[copy] < len(near), near[np.minimum(far[copy], len(near) - 1)], 0)
     d, d_extra, d_bits = _prefixes(np.where(short > 0, short, far[copy] + 120))
-    slot = _slots(argb[place[hit]], cache_bits) if len(hit) else hit
-    counts = [np.bincount(x, minlength=256) for x in (green, red, blue, alpha)] + [np.bincount(d, minlength=40)]
-    counts[0] = np.concatenate([counts[0], np.bincount(n, minlength=24), np.bincount(slot, minlength=1 << cache_bits) if cache_bits else hit[:0]])
-    if joint(counts[1:4]):
-        lengths = [huffman(counts[0]), *[huffman(sum(counts[1:4]))] * 3, huffman(counts[4])]
-    else:
-        lengths = [huffman(c) for c in counts]
-    for x in lengths:
-        out.put(*code_bits(x.tobytes()))
-    (gc, gs), (rc, rs), (bc, bs), (ac, as_), (dc, ds) = (code_of(x.tobytes()).written() for x in lengths)
-    values, sizes = np.zeros((len(place), 4), np.uint64), np.zeros((len(place), 4), np.int64)
-    for i, (code, size, x) in enumerate(((gc, gs, green), (rc, rs, red), (bc, bs, blue), (ac, as_, alpha))):
-        values[plain, i], sizes[plain, i] = code[x], size[x]
-    for i, (code, size, extra, bits) in enumerate(((gc[256 + n], gs[256 + n], n_extra, n_bits), (dc[d], ds[d], d_extra, d_bits))):
-        values[copy, i], sizes[copy, i] = code | extra.astype(np.uint64) << size.astype(np.uint64), size + bits
-    values[hit, 0], sizes[hit, 0] = gc[280 + slot], gs[280 + slot]
-    for part in packed_bits(values.ravel(), sizes.ravel()):
-        out.put_bits(part)
+    slot = _slots(argb[place[hit]], caches[own[hit]])
+    room = 280 + (1 << int(caches.max()) if caches.any() else 0)
+
+    def counted(which, symbol, size):
+        return np.bincount(which * size + symbol, minlength=many * size).reshape(many, size)
+
+    first = counted(np.concatenate([own[plain], own[copy], own[hit]]), np.concatenate([green.astype(np.int64), 256 + n, 280 + slot]), room)
+    channels = [counted(own[plain], x.astype(np.int64), 256) for x in (red, blue, alpha)]
+    back = counted(own[copy], d, 40)
+    alike = joint(channels)
+    heads, codes, sizes = [], np.zeros((many, room + 768 + 40), np.uint64), np.zeros((many, room + 768 + 40), np.uint8)
+    for i in range(many):
+        top = 280 + (1 << cache_bits[i] if cache_bits[i] else 0)
+        if alike[i]:
+            others = [huffman(sum(c[i] for c in channels))] * 3
+        else:
+            others = [huffman(c[i]) for c in channels]
+        lengths = [x.tobytes() for x in (huffman(first[i, :top]), *others, huffman(back[i]))]
+        heads.append([code_bits(x) for x in lengths])
+        for at, x in zip((0, room, room + 256, room + 512, room + 768), lengths, strict=True):
+            codes[i, at : at + len(x)], sizes[i, at : at + len(x)] = code_of(x).written()
+    values, places = np.zeros((len(place), 4), np.uint64), np.zeros((len(place), 4), np.int64)
+    codes, sizes = codes.ravel(), sizes.ravel()
+    base = own * (room + 768 + 40)
+    for i, x in enumerate((green, red, blue, alpha)):
+        at = base[plain] + x + (room + 256 * (i - 1) if i else 0)
+        values[plain, i], places[plain, i] = codes[at], sizes[at]
+    for i, (at, extra, bits) in enumerate(((base[copy] + 256 + n, n_extra, n_bits), (base[copy] + room + 768 + d, d_extra, d_bits))):
+        values[copy, i], places[copy, i] = codes[at] | extra.astype(np.uint64) << sizes[at].astype(np.uint64), sizes[at] + bits
+    at = base[hit] + 280 + slot
+    values[hit, 0], places[hit, 0] = codes[at], sizes[at]
+    stream = np.concatenate([np.zeros(0, np.uint8), *packed_bits(values.ravel(), places.ravel())])
+    ends = np.cumsum(np.bincount(own, places.sum(axis=1), minlength=many).astype(np.int64))
+    return list(zip(heads, np.split(stream, ends[:-1]), strict=True))
+
+
+def _put_image(out: BitWriter, coded, main: bool, cache_bits: int) -> None:
+    out.put(1 if cache_bits else 0, 1)
+    if cache_bits:
+        out.put(cache_bits, 4)
+    if main:
+        out.put(0, 1)
+    heads, stream = coded
+    for head in heads:
+        out.put(*head)
+    out.put_bits(stream)
+
+
+def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache_bits: int = 0, search: bool = False) -> None:
+    _put_image(out, _coded([argb], width, [cache_bits], search)[0], main, cache_bits)
+
+
+def _begun(height: int, width: int) -> BitWriter:
+    out = BitWriter()
+    out.put(0x2F | (width - 1) << 8 | (height - 1) << 22 | 1 << 36, 40)
+    return out
+
+
+def _file(out: BitWriter) -> bytes:
+    return frame(np.packbits(out.array(), bitorder="little").tobytes())
 
 
 def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int = 0, search: bool = False, shift: int = 3, modes: np.ndarray | None = None) -> bytes:
@@ -808,12 +879,7 @@ def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int
     modes: the predictor's mode of each block; without it all modes take turns.
     """
     height, width, _ = planes.shape
-    out = BitWriter()
-    out.put(0x2F, 8)
-    out.put(width - 1, 14)
-    out.put(height - 1, 14)
-    out.put(1, 1)
-    out.put(0, 3)
+    out = _begun(height, width)
     for name in transforms:
         w = planes.shape[1]
         across, down = -(-w >> shift), -(-height >> shift)
@@ -834,8 +900,7 @@ def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int
             out.put(shift - 2, 3)
             _write_image(out, (own.ravel() << 8).astype(np.uint32), across, False)
         elif name == "cross":
-            steps = cross_steps(planes)
-            table = np.tile(steps, (down, across, 1))
+            table = np.tile(cross_steps(planes)[0], (down, across, 1))
             planes = cross_colour(planes, table, shift, False)
             out.put(1, 1)
             out.put(1, 2)
@@ -847,63 +912,111 @@ def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int
             out.put(2, 2)
     out.put(0, 1)
     _write_image(out, _argb(planes), planes.shape[1], True, cache_bits, search)
-    return frame(np.packbits(out.array(), bitorder="little").tobytes())
+    return _file(out)
 
 
-def cross_steps(planes: np.ndarray) -> np.ndarray:
-    """(red to blue, green to blue, green to red) in 32nds: least squares of the channels' signed values."""
-    red, green, blue = (planes[:, :, i].astype(np.int8).astype(float).ravel() for i in (1, 2, 3))
+def cross_steps(planes: np.ndarray, begin: np.ndarray | None = None) -> np.ndarray:
+    """(red to blue, green to blue, green to red) in 32nds: least squares of the channels' signed values, for the rows from each of `begin`."""
+    red, green, blue = (planes[:, :, i].astype(np.int8).astype(float) for i in (1, 2, 3))
+    begin = np.zeros(1, np.int64) if begin is None else begin
 
-    def slope(a, b):
-        return int(np.clip(round(32 * float(a @ b) / max(1.0, float(a @ a))), -128, 127))
+    def total(a, b):
+        return np.add.reduceat((a * b).sum(axis=1), begin)
 
-    to_red, to_blue = slope(green, red), slope(green, blue)
-    return np.array([slope(red, blue - to_blue * green / 32), to_blue, to_red]).astype(np.int8).view(np.uint8)
+    gg, rr = np.maximum(1.0, total(green, green)), np.maximum(1.0, total(red, red))
+    to_red, to_blue = np.rint(32 * total(green, red) / gg), np.rint(32 * total(green, blue) / gg)
+    across = np.rint(32 * (total(red, blue) - to_blue * total(red, green) / 32) / rr)
+    return np.clip(np.stack([across, to_blue, to_red], axis=1), -128, 127).astype(np.int8).view(np.uint8)
 
 
 # ---------------------------------------------------------------- bytes as images
 
 
-def costs(images: np.ndarray) -> np.ndarray:
-    """For each of some images of one shape: bits of its channels as literals, with about five for each symbol's place in a code."""
-    lanes = 4 * len(images)
-    flat = images.reshape(len(images), -1, 4) + (256 * np.arange(lanes)).reshape(len(images), 1, 4)
-    counts = np.bincount(flat.ravel(), minlength=256 * lanes).reshape(lanes, 256)
-    own = (counts * np.log2(np.maximum(counts, 1))).sum(axis=1)
-    n = flat.shape[1]
-    return (n * np.log2(n) - own + 5 * np.count_nonzero(counts, axis=1)).reshape(-1, 4).sum(axis=1)
+def costs(planes: np.ndarray, image: np.ndarray, many: int) -> np.ndarray:
+    """For each of `many` images, whose rows lie one after the other: bits of its channels as literals, with about five for each symbol's place in a code."""
+    lane = (1024 * image)[:, None, None] + 256 * np.arange(4)
+    counts = np.bincount((planes + lane).ravel(), minlength=1024 * many).reshape(many, 4, 256)
+    own = (counts * np.log2(np.maximum(counts, 1))).sum(axis=2)
+    n = counts[:, 0].sum(axis=1)[:, None]
+    return (n * np.log2(np.maximum(n, 1)) - own + 5 * np.count_nonzero(counts, axis=2)).sum(axis=1)
 
 
-def chosen(planes: np.ndarray) -> tuple[str, dict]:
-    """The transform, if any, after which the samples are cheapest as literals."""
-    rows, columns = planes.shape[:2]
-    blocks = (-(-rows >> 9), -(-columns >> 9))
-    options = [("", {}), ("green", {}), ("cross", {"shift": 9}), *[("predictor", {"shift": 9, "modes": np.full(blocks, m)}) for m in (1, 2)]]
-    made = [planes, green_shift(planes, False), cross_colour(planes, cross_steps(planes)[None, None], 14, False), *[predictor(planes, kw["modes"], 9, False) for _, kw in options[3:]]]
-    cost = costs(np.stack(made)) + np.array([0, 3, 64, 64, 64])  # of the transform's own image
-    return options[int(cost.argmin())]
+#: What encode_many() chooses from: the name of a transform, and the predictor's mode.
+OPTIONS = [("", 0), ("green", 0), ("cross", 0), ("predictor", 1), ("predictor", 2)]
 
 
-def encode_bytes(payload: bytes) -> bytes:
-    """Bytes (a positive multiple of 64) as one or more files: 16 pixels a row, bytes in the order green, red, blue, alpha.
+def chosen(planes: np.ndarray, image: np.ndarray, begin: np.ndarray) -> np.ndarray:
+    """The place in OPTIONS, for each of some images, of what makes its samples cheapest as literals."""
+    many = len(begin)
+    steps = np.broadcast_to(cross_steps(planes, begin)[image][:, None], (*planes.shape[:2], 3))
+    left = planes.copy()
+    left[:, 1:] -= planes[:, :-1]
+    left[1:, 0] -= planes[:-1, 0]
+    above = planes.copy()
+    above[1:] -= planes[:-1]
+    above[begin] = left[begin]
+    for made in (left, above):
+        made[begin, 0] = planes[begin, 0] - np.array([255, 0, 0, 0], np.uint8)
+    made = [planes, green_shift(planes, False), cross_colour(planes, steps, 0, False), left, above]
+    cost = np.stack([costs(x, image, many) for x in made]) + np.array([0, 3, 64, 64, 64])[:, None]  # of the transform's own image
+    return cost.argmin(axis=0)
+
+
+def encode_many(payloads: list[bytes], together: int = 1 << 16) -> list[bytes]:
+    """Of each payload, bytes (a positive multiple of 64), one or more files: 16 pixels a row, bytes in the order green, red, blue, alpha.
 
     Each file has prefix codes of its own counts, back-references, a colour cache where pixels come again, and the transform that
     makes the samples cheapest; few different pixels go through a palette if that is shorter.
-    A file has at most 16,384 rows (1 MiB); more bytes continue in the next file.
+    A file has at most 16,384 rows (1 MiB); more bytes continue in the next file. Files of about `together` pixels are made at once,
+    which does not change them.
     """
-    out = []
-    for at in range(0, len(payload), 64 * SIDE):
-        part = np.frombuffer(payload, np.uint8, min(64 * SIDE, len(payload) - at), at)
-        planes = np.ascontiguousarray(part.reshape(-1, 16, 4)[:, :, [3, 1, 0, 2]])
-        name, kw = chosen(planes)
-        argb = _argb(planes)
-        different = len(np.unique(argb))
-        cache = int(np.clip(len(argb).bit_length() - 2, 1, 10)) if different < 0.9 * len(argb) else 0
-        files = [encode(planes, (name,) if name else (), cache, True, **kw)]
-        if different <= 256 and 3 * different <= len(argb):
-            files.append(encode(planes, ("palette",), 0, True))
-        out.append(min(files, key=len))
-    return b"".join(out)
+    out: list[list[bytes]] = [[] for _ in payloads]
+    held, size = [], 0
+    for i, payload in enumerate(payloads):
+        for at in range(0, len(payload), 64 * SIDE):
+            part = np.frombuffer(payload, np.uint8, min(64 * SIDE, len(payload) - at), at)
+            held.append((i, part.reshape(-1, 16, 4)))
+            size += len(part) // 4
+            if size >= together:
+                _made(held, out)
+                held, size = [], 0
+    if held:
+        _made(held, out)
+    return [b"".join(x) for x in out]
+
+
+def _made(held: list, out: list[list[bytes]]) -> None:
+    many = len(held)
+    rows = np.array([len(x) for _, x in held])
+    begin = np.cumsum(rows) - rows
+    planes = np.ascontiguousarray(np.concatenate([x for _, x in held])[:, :, [3, 1, 0, 2]])
+    image = np.repeat(np.arange(many), rows)
+    option = chosen(planes, image, begin)
+    argb, pixel_image = _argb(planes), np.repeat(image, 16).astype(np.uint16)
+    order = _by_image(argb, pixel_image)
+    new = np.ones(len(order), bool)
+    new[1:] = (argb[order][1:] != argb[order][:-1]) | (pixel_image[order][1:] != pixel_image[order][:-1])
+    different = np.bincount(pixel_image[order[new]], minlength=many).tolist()
+    caches = [int(np.clip((16 * n).bit_length() - 2, 1, 10)) if k < 0.9 * 16 * n else 0 for k, n in zip(different, rows.tolist(), strict=True)]
+    plain = [i for i in range(many) if option[i] == 0]
+    coded = dict(zip(plain, _coded([argb[16 * begin[i] : 16 * (begin[i] + rows[i])] for i in plain], 16, [caches[i] for i in plain], True), strict=True)) if plain else {}
+    for i, (payload, _) in enumerate(held):
+        own = planes[begin[i] : begin[i] + rows[i]]
+        if i in coded:
+            writer = _begun(len(own), 16)
+            writer.put(0, 1)
+            _put_image(writer, coded[i], True, caches[i])
+            files = [_file(writer)]
+        else:
+            name, mode = OPTIONS[option[i]]
+            files = [encode(own, (name,), caches[i], True, 9, np.full((-(-len(own) >> 9), 1), mode))]
+        if different[i] <= 256 and 3 * different[i] <= 16 * len(own):
+            files.append(encode(own, ("palette",), 0, True))
+        out[payload].append(min(files, key=len))
+
+
+def encode_bytes(payload: bytes) -> bytes:
+    return encode_many([payload])[0]
 
 
 def decode_bytes(data: bytes) -> bytes:
