@@ -30,7 +30,13 @@ def federated(g: Graph, q: SelectQuery) -> DataFrame:
     chosen = select_sources(g, q)
     if any(not s for s in chosen.values()):
         return plan.run(g, q).limit(0)
-    return plan.run(g, q, sources=chosen)
+    return plan.run(g, q, sources=chosen, rank=lambda p: exclusive(g, chosen, p))
+
+
+def exclusive(g: Graph, chosen: dict[Pattern, list[str]], p: Pattern) -> tuple:
+    """Join order: bound ends, then patterns of a single source, then as in one source."""
+    bound, *rest = plan.weight(g, p)
+    return (bound, len(chosen[p]) > 1, tuple(chosen[p]), *rest)
 
 
 def exists(a: DataFrame, b: DataFrame, on: list[str]) -> DataFrame:

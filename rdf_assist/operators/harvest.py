@@ -16,6 +16,14 @@ from .mapping import Graph, class_closure, class_hierarchy
 MAX_CLASSES = 100_000
 
 
+def bounded(df: DataFrame, most: int) -> list:
+    """All rows; more than `most` are an error and not a cut."""
+    rows = df.limit(most + 1).collect()
+    if len(rows) > most:
+        raise ValueError(f"more than {most} rows for a plan on the driver")
+    return rows
+
+
 def all_predicates(g: Graph) -> DataFrame:
     """Every predicate once; they are all cached."""
     return g.triples().select("p").distinct()
@@ -31,6 +39,12 @@ def predicate_stats(g: Graph) -> DataFrame:
     return g.triples().groupBy("source", "p").agg(F.count("*").alias("n_triples"), F.count(F.when(F.col("o_kind") == "literal", 1)).alias("n_literals"), F.countDistinct("s").alias("n_subjects"))
 
 
+def count_predicates(g: Graph) -> Graph:
+    """g, with the number of triples of each predicate for join orders: a row a predicate comes to the driver."""
+    g.counts = {r.p: r["count"] for r in g.triples().groupBy("p").count().collect()}
+    return g
+
+
 def cacheable(literals: DataFrame, max_len: int = 80, langs: tuple[str, ...] = ("en",), allow_untagged: bool = True) -> DataFrame:
     """Text literals of 1 to max_len characters in the wanted languages."""
     tagged = F.col("o_lang").isin(*langs)
@@ -103,7 +117,7 @@ def _walk(sizes: dict, predicates: list[str], children: dict, roots: list[str],
 
 def plan_harvest(g: Graph, cost: EndpointCost, max_queries: int | None = None, max_len: int = 80, langs: tuple[str, ...] = ("en",)) -> DataFrame:
     """The log of the walk, a row for each logical query (LOG)."""
-    rows = extent_sizes(g, max_len, langs).limit(MAX_CLASSES * 10).collect()
+    rows = bounded(extent_sizes(g, max_len, langs), MAX_CLASSES * 10)
     sizes = {(r.p, r.c): (r.n_all, r.n_direct) for r in rows}
     hierarchy = {r.c: r.parent for r in class_hierarchy(g.spark).collect()}
     children: dict[str, list[str]] = {}
@@ -125,7 +139,7 @@ def plan_harvest_flat(g: Graph, cost: EndpointCost, max_queries: int | None = No
     """As plan_harvest() without a hierarchy: each predicate with each type, both by frequency."""
     own = cacheable(g.literals(), max_len, langs).join(types(g), "s").groupBy("p", "c").count()
     sizes = {(r.p, r.c): (r["count"], r["count"]) for r in own.collect()}
-    order = [r.c for r in type_frequency(g).limit(MAX_CLASSES).collect()]
+    order = [r.c for r in bounded(type_frequency(g), MAX_CLASSES)]
     predicates = [r.p for r in literal_predicates(g).collect()]
     return g.spark.createDataFrame(_walk(sizes, predicates, {}, order, cost, max_queries), LOG)
 
@@ -157,10 +171,6 @@ def cumulative(g: Graph) -> DataFrame:
     return counts.withColumn("running", F.sum("n_literals").over(order))
 
 
-def page_plan(n_rows: int, page_size: int) -> int:
-    return max(1, -(-n_rows // page_size))
-
-
 def keyset_page(df: DataFrame, column: str, after: str | None, size: int) -> DataFrame:
     """The next page in order of a column: what follows the last value seen, never a deep offset."""
     return (df if after is None else df.where(F.col(column) > after)).orderBy(column).limit(size)

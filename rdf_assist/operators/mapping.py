@@ -123,6 +123,7 @@ class Graph:
         self.spark, self.sf_dir, self.schema_edges = spark, sf_dir, schema_edges
         self.entities = [e for e in entities() if sources is None or e.source in sources]
         self._tables: dict[str, DataFrame] = {}
+        self.counts: dict[str, int] = {}  # triples by predicate, where harvest.count_predicates() was called: join orders go by them
 
     def table(self, name: str) -> DataFrame:
         if name not in self._tables:

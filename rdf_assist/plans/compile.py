@@ -7,14 +7,18 @@ in columns _num_x, _ts_x and _lang_x, so that filters compare values and not the
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
+from functools import reduce
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.mapping import Graph
-from .ir import Filter, Group, Pattern, SelectQuery, Term, validate
+from .ir import Body, Filter, Group, Pattern, SelectQuery, Term, validate
 
 EXTRA = ("_num_", "_ts_", "_lang_")
+#: Rows up to which one side of a product may go to every task.
+MAX_PRODUCT = 10_000
 
 
 def _is(column: str, t: Term) -> Column:
@@ -53,9 +57,9 @@ def match(g: Graph, p: Pattern, sources: list[str] | None = None) -> DataFrame:
 
 
 def weight(g: Graph, p: Pattern) -> tuple:
-    """Smaller first: bound ends before free ones; predicates of many tables last."""
+    """Smaller first: bound ends before free ones; then by the triples of the predicate where they were counted, or by its tables."""
     bound = sum(getattr(p, x).kind != "var" for x in "so")
-    return (-bound, p.p.kind == "var", sum(p.p.value in e.facts for e in g.entities))
+    return (-bound, p.p.kind == "var", g.counts.get(p.p.value, 0), sum(p.p.value in e.facts for e in g.entities))
 
 
 def order(g: Graph, patterns: list[Pattern], rank: Callable | None = None) -> list[Pattern]:
@@ -74,14 +78,24 @@ def order(g: Graph, patterns: list[Pattern], rank: Callable | None = None) -> li
 
 
 def join(a: DataFrame, b: DataFrame, how: str = "inner", hint: str | None = None) -> DataFrame:
-    """Natural join on variables; without a shared one, a product with a side of at most one row group (existence checks)."""
+    """Natural join on variables. Without a shared one the kind decides: a difference removes nothing; absence and optional parts
+    ask whether b has rows; the rest is a product, one side of which must have at most MAX_PRODUCT rows."""
     shared = [c for c in a.columns if c in b.columns and not c.startswith("_")]
     if hint:
         b = b.hint(hint)
     if not shared:
-        return a.crossJoin(b)
+        if how == "minus":
+            return a
+        if how == "absent":
+            return a.join(F.broadcast(b.select(F.lit(1).alias("_one")).limit(1)), F.lit(True), "left_anti")
+        b = b.drop(*[c for c in b.columns if c in a.columns])
+        if b.limit(MAX_PRODUCT + 1).count() <= MAX_PRODUCT:
+            return a.join(F.broadcast(b), F.lit(True), "left" if how == "left" else "inner")
+        if how != "left" and a.limit(MAX_PRODUCT + 1).count() <= MAX_PRODUCT:
+            return b.join(F.broadcast(a), F.lit(True)).select(*a.columns, *b.columns)
+        raise ValueError(f"a product of two sides of more than {MAX_PRODUCT} rows each: the patterns share no variable")
     twice = [c for c in b.columns if c in a.columns and c not in shared]
-    return a.join(b.drop(*twice), shared, how)
+    return a.join(b.drop(*twice), shared, {"minus": "left_anti", "absent": "left_anti"}.get(how, how))
 
 
 def bgp(g: Graph, patterns, sources: dict | None = None, hint: str | None = None, rank: Callable | None = None) -> DataFrame:
@@ -114,30 +128,33 @@ def condition(f: Filter, columns: list[str]) -> Column:
     return {"=": c == value, "!=": c != value, "<": c < value, "<=": c <= value, ">": c > value, ">=": c >= value}[f.op]
 
 
-def _group(g: Graph, df: DataFrame | None, part: Group) -> DataFrame:
-    if part.kind == "union":
-        whole = None
-        for patterns in part.parts:
-            own = bgp(g, patterns)
-            whole = own if whole is None else whole.unionByName(own, allowMissingColumns=True)
-        return whole if df is None else join(df, whole)
-    other = bgp(g, part.parts[0])
-    return join(df, other, {"optional": "left", "minus": "left_anti", "absent": "left_anti"}[part.kind])
+def body(g: Graph, b: Body, sources: dict | None = None, hint: str | None = None, rank: Callable | None = None) -> DataFrame:
+    """The bindings of a body: patterns, then unions, then optional parts and differences in their order, then filters."""
+    df = bgp(g, b.patterns, sources, hint, rank) if b.patterns else None
+    for part in sorted(b.groups, key=lambda x: x.kind != "union"):
+        if part.kind == "union":
+            whole = None
+            for inner in part.parts:
+                own = body(g, inner)
+                whole = own if whole is None else whole.unionByName(own, allowMissingColumns=True)
+            df = whole if df is None else join(df, whole)
+        else:
+            how = {"optional": "left", "minus": "minus", "absent": "absent"}[part.kind]
+            df = join(df if df is not None else g.spark.range(1).select(F.lit(True).alias("_matched")), body(g, part.parts[0]), how)
+    for f in b.filters:
+        df = df.where(condition(f, df.columns))
+    return df
 
 
 def _value(name: str, columns: list[str]) -> str:
     return f"_num_{name}" if f"_num_{name}" in columns else name
 
 
-def run(g: Graph, q: SelectQuery, sources: dict | None = None, hint: str | None = None) -> DataFrame:
+def run(g: Graph, q: SelectQuery, sources: dict | None = None, hint: str | None = None, rank: Callable | None = None) -> DataFrame:
     """The answer table of a query."""
     if problems := validate(q):
         raise ValueError("; ".join(problems))
-    df = bgp(g, q.patterns, sources, hint) if q.patterns else None
-    for part in sorted(q.groups, key=lambda x: x.kind != "union"):
-        df = _group(g, df, part)
-    for f in q.filters:
-        df = df.where(condition(f, df.columns))
+    df = body(g, q.body(), sources, hint, rank)
     if q.aggregates:
         made = []
         for a in q.aggregates:
@@ -165,6 +182,59 @@ def run(g: Graph, q: SelectQuery, sources: dict | None = None, hint: str | None
     return df.select(*names)
 
 
+def _shape(q: SelectQuery) -> tuple[SelectQuery, tuple[str, ...]]:
+    """(the query with its text literals as variables _k0, _k1, ...; the literals)."""
+    held: list[str] = []
+
+    def open_(t: Term) -> Term:
+        if t.kind != "literal" or t.dtype or t.lang:
+            return t
+        if t.value not in held:
+            held.append(t.value)
+        return Term("var", f"_k{held.index(t.value)}")
+
+    return replace(q, patterns=tuple(replace(p, o=open_(p.o)) for p in q.patterns)), tuple(held)
+
+
+def run_many(g: Graph, queries: list[tuple[int, SelectQuery]]) -> DataFrame:
+    """(qid, answer): the first column of many queries of plain patterns. Queries that differ in literals alone run as one plan.
+
+    The literals of such queries make a small table, one row a query, that the patterns join; so a plan's number of scans is
+    that of one query. Answers are distinct.
+    """
+    shapes: dict[SelectQuery, list[tuple]] = {}
+    for qid, q in queries:
+        if q.groups or q.filters or q.aggregates:
+            raise ValueError("run_many() takes plain patterns")
+        shape, held = _shape(q)
+        shapes.setdefault(shape, []).append((qid, *held))
+    parts = []
+    for shape, rows in shapes.items():
+        slots = [f"_k{i}" for i in range(len(rows[0]) - 1)]
+        asked = g.spark.createDataFrame(rows, ", ".join(["_qid long", *[f"{k} string" for k in slots]]))
+        name = (shape.variables or [v for v in shape.all_variables() if v not in slots])[0]
+        if slots:
+            known, left, df = set(slots), list(shape.patterns), asked
+            while left:
+                linked = [p for p in left if known & set(p.variables())]
+                if not linked:
+                    raise ValueError("the patterns share no variable")
+                p = min(linked, key=lambda p: (not set(slots) & set(p.variables()), weight(g, p), left.index(p)))
+                left.remove(p)
+                # a literal's own kind and not an IRI of the same text is asked for
+                own = match(g, p) if p.o.value not in slots else match(g, replace(p, o=Term("var", "_o"))).withColumnRenamed("_o", p.o.value).drop("_num__o", "_ts__o", "_lang__o")
+                on = sorted(known & set(p.variables()))
+                own = own.drop(*[c for c in own.columns if c.startswith(EXTRA)])
+                df = df.join(own, on) if df is not asked else own.join(F.broadcast(df), on)
+                known |= set(p.variables())
+        else:
+            df = bgp(g, shape.patterns).withColumn("_all", F.lit(1)).join(F.broadcast(asked.withColumn("_all", F.lit(1))), "_all")
+        parts.append(df.select(F.col("_qid").alias("qid"), F.col(name).cast("string").alias("answer")).distinct())
+    if not parts:
+        return g.spark.createDataFrame([], "qid long, answer string")
+    return reduce(DataFrame.unionByName, parts)
+
+
 def ask(g: Graph, p: Pattern, source: str) -> bool:
     """Whether a source has a match: by its predicates if the pattern's ends are free, else by its first matching row."""
     own = [e for e in g.entities if e.source == source]
@@ -173,7 +243,3 @@ def ask(g: Graph, p: Pattern, source: str) -> bool:
     if p.s.kind == "var" and p.o.kind == "var":
         return True
     return not match(g, p, [source]).limit(1).isEmpty()
-
-
-def numbered(df: DataFrame, by: list[str]) -> DataFrame:
-    return df.withColumn("row", F.row_number().over(Window.orderBy(*by)))

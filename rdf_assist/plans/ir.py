@@ -59,12 +59,32 @@ class Aggregate:
     distinct: bool = False
 
 
+@dataclass(frozen=True)
+class Body:
+    """What stands between braces: patterns, filters and nested groups."""
+
+    patterns: tuple[Pattern, ...] = ()
+    filters: tuple[Filter, ...] = ()
+    groups: tuple[Group, ...] = ()
+
+    def variables(self) -> list[str]:
+        """What an answer of the body may bind."""
+        inner = [v for g in self.groups if g.kind in ("optional", "union") for part in g.parts for v in part.variables()]
+        return list(dict.fromkeys([v for p in self.patterns for v in p.variables()] + inner))
+
+    def problems(self) -> list[str]:
+        known = set(self.variables())
+        out = [f"a filter on ?{f.variable}, which its group does not bind" for f in self.filters if f.variable not in known]
+        out += ["an empty group"] * (not self.patterns and not self.groups)
+        return out + [x for g in self.groups for part in g.parts for x in part.problems()]
+
+
 @dataclass(frozen=True)
 class Group:
     """A nested group: kind optional, union (with its alternatives), minus or absent."""
 
     kind: str
-    parts: tuple[tuple[Pattern, ...], ...]
+    parts: tuple[Body, ...]
 
 
 @dataclass(frozen=True)
@@ -83,8 +103,10 @@ class SelectQuery:
     hide: tuple[str, ...] = field(default=())
 
     def all_variables(self) -> list[str]:
-        inner = [p for g in self.groups if g.kind in ("optional", "union") for part in g.parts for p in part]
-        return list(dict.fromkeys(v for p in (*self.patterns, *inner) for v in p.variables()))
+        return self.body().variables()
+
+    def body(self) -> Body:
+        return Body(self.patterns, self.filters, self.groups)
 
     def with_pattern(self, i: int, pattern: Pattern) -> SelectQuery:
         """The query with one triple edited."""
@@ -114,6 +136,7 @@ def validate(q: SelectQuery) -> list[str]:
             out.append(f"pattern {i + 1}: a literal cannot be a subject")
         if p.p.kind == "literal":
             out.append(f"pattern {i + 1}: a literal cannot be a predicate")
+    out += [x for g in q.groups for part in g.parts for x in part.problems()]
     known = set(q.all_variables())
     made = {a.name for a in q.aggregates}
     out += [f"unknown variable ?{v}" for v in dict.fromkeys([*q.variables, *q.group_by, *(f.variable for f in q.filters)]) if v not in known | made]
