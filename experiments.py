@@ -36,30 +36,34 @@ def rows(df) -> list:
 
 
 def scan_seconds(cores: int, sf_dir: str) -> None:
-    """Called in a process of its own: the residual scan over the lines and words of documents with so many cores."""
+    """Called in a process of its own: the scan of residual bins with so many cores. The literals are the words of documents, of which there are more than of names."""
     import statistics
 
     from pyspark.sql import functions as F
 
+    from rdf_assist.operators.complete import residual_search
+    from rdf_assist.operators.index import Cache
     from rdf_assist.sources.tables import load
 
     spark = session(cores)
     words = load(spark, sf_dir, "documents").select(F.explode(F.split("text", "[ \n]")).alias("lit")).where("length(lit) BETWEEN 1 AND 80")
-    held = words.withColumn("lit_len", F.length("lit")).repartition(4 * 8).cache()
+    held = words.select("lit", F.lit(0).cast("long").alias("score"), F.length("lit").alias("lit_len")).repartition(4 * 8).cache()
     held.count()
+    c = Cache(held.limit(0), held.limit(0), held)
     took = []
     for t in ("thion", "eredst", "ouand", "inwh", "tionre"):
         start = time.perf_counter()
-        held.where(F.col("lit_len").between(len(t), len(t) + 10) & F.contains(F.lower("lit"), F.lit(t))).orderBy("lit_len", "lit").limit(10).collect()
+        residual_search(c, t).collect()
         took.append(time.perf_counter() - start)
     print(statistics.median(took[1:]))
 
 
 def main(sf_dir: str, n_questions: int) -> None:
     from rdf_assist import queries
-    from rdf_assist.operators import harvest, measures, relax, workloads
+    from rdf_assist.operators import complete, harvest, measures, relax, workloads
     from rdf_assist.operators.mapping import Graph
     from rdf_assist.plans.parse import parse
+    from rdf_assist.sources.tables import written
 
     for cores in (1, 2, 4, 8):
         done = subprocess.run([sys.executable, __file__, "--scan", str(cores), sf_dir], capture_output=True, text=True, timeout=600)
@@ -73,6 +77,12 @@ def main(sf_dir: str, n_questions: int) -> None:
     tell("most significant literals", rows(queries.top_significant(spark, sf_dir).limit(10)))
     tell("index", rows(queries.index_stats(spark, sf_dir)))
     tell("hit ratio by indexed literals", rows(queries.index_hit_ratio_by_size(spark, sf_dir)))
+    held = queries.cache(spark, sf_dir)
+    for gamma in (10, 80):
+        start = time.perf_counter()
+        for t in ("r#0000", "mach", "plate"):
+            complete.residual_search(held, t, gamma=gamma).collect()
+        tell("bins with and without the length filter", {"gamma": gamma, "seconds": round((time.perf_counter() - start) / 3, 3)})
     tell("literals skipped by the length filter", rows(queries.bins_elimination(spark, sf_dir)))
     for name in ("suggest_terms_misspelled", "suggest_terms_plural"):
         start = time.perf_counter()
@@ -84,8 +94,9 @@ def main(sf_dir: str, n_questions: int) -> None:
         made, _ = relax.relax(g, q, ["customer", "supplier"], **kw)
         tell("relaxation", {**kw, "found": made.found, "cost": made.cost, "trees": len(made.trees), "expanded": len(made.expanded), "refused": made.refused, "seconds": round(time.perf_counter() - start, 2)})
     qs = workloads.questions(50)[:: max(1, 50 // n_questions)]
-    gold = workloads.gold(g, qs)
-    tell("comparison", {"questions": len(qs), "scores": rows(measures.scores(measures.judge(queries.comparison_runs(spark, sf_dir, qs), gold), len(qs)))})
+    verdicts = written(measures.judge_rows(queries.comparison_runs(spark, sf_dir, qs), workloads.gold(g, qs)))
+    tell("comparison", {"questions": len(qs), "scores": rows(measures.scores(verdicts, len(qs)))})
+    tell("recall over factoid questions", rows(measures.factoid_recall(verdicts, queries._factoid(spark, qs))))
     for name in ("study_success_ci", "study_answered_any", "study_attempts", "study_giveup", "study_time", "study_permutation_p", "study_suggestion_usage"):
         tell(name, rows(queries.ALL[name](spark, sf_dir)))
     spark.stop()

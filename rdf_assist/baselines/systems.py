@@ -6,7 +6,7 @@ import re
 from collections import deque
 from functools import reduce
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.lexicon import WORDS
@@ -32,46 +32,93 @@ def _predicates(g: Graph, words: list[str], theta: float) -> list[str]:
     return list(dict.fromkeys(out))
 
 
-def _entities(g: Graph, words: list[str]) -> list[tuple[str, str]]:
-    """(literal, predicate) of the words that are literals of the data."""
-    if not words:
-        return []
-    names = [p for p in ("name", "marketSegment", "brand", "partType", "orderStatus") if p in g.predicates]
-    found = reduce(DataFrame.unionByName, [g.extent(p) for p in names]).where(F.col("o").isin(*words)).select("o", "p").distinct()
-    return [(r.o, r.p) for r in found.orderBy("o", "p").limit(100).collect()]
-
-
-def keyword_qa(g: Graph, phrases: list[str], attempts: int = 3, theta: float = 0.9) -> tuple[DataFrame | None, int]:
-    """NL-QA comparator: (answers, attempts used). Words become one predicate and one entity, and these a query of
-    one or two patterns; up to `attempts` paraphrases are tried, and the first with answers counts. It knows no vocabulary."""
-    for n, phrase in enumerate(phrases[:attempts], 1):
-        words = TOKEN.findall(phrase)
-        entities = _entities(g, words)
-        if not entities:
-            continue
-        value, held = entities[0]
-        preds = [p for p in _predicates(g, [w for w in words if w != value], theta) if p != held]
-        for p in preds or [held]:
-            for patterns in ((Pattern(var("e"), iri(held), lit(value)), Pattern(var("e"), iri(p), var("x"))), (Pattern(var("e"), iri(held), lit(value)), Pattern(var("x"), iri(p), var("e")))):
-                df = plan.run(g, SelectQuery(patterns, ("x",), distinct=True))
-                if not df.isEmpty():
-                    return df, n
-    return None, min(attempts, len(phrases))
-
-
-def factoid_qa(g: Graph, phrase: str, theta: float = 0.95) -> DataFrame | None:
-    """Answers only where a phrase names exactly one entity and one predicate strictly, and the value is single; else abstains."""
+MAX_WORDS = 3
+
+
+def spoken(phrase: str) -> list[str]:
+    """The words of a phrase and the runs of up to MAX_WORDS of them, longest first: what may name an entity."""
     words = TOKEN.findall(phrase)
-    entities = _entities(g, words)
-    if len(entities) != 1:
-        return None
-    value, held = entities[0]
-    preds = _predicates(g, [w for w in words if w != value], theta)
-    if len(preds) != 1 or preds[0] == held:
-        return None
-    rows = plan.bgp(g, [Pattern(var("e"), iri(held), lit(value)), Pattern(var("e"), iri(preds[0]), var("y"))])
-    names = plan.join(rows, plan.match(g, Pattern(var("y"), iri("name"), var("x")))).select("x").distinct()
-    return names if len(names.limit(2).collect()) == 1 else None
+    return [" ".join(words[i : i + n]) for n in range(min(MAX_WORDS, len(words)), 0, -1) for i in range(len(words) - n + 1)]
+
+
+def holders(g: Graph, texts: list[str]) -> dict[str, list[str]]:
+    """text → the predicates that hold it as a text literal, of all texts at once; at most texts x predicates rows."""
+    if not texts:
+        return {}
+    names = sorted({p for e in g.entities for p, f in e.facts.items() if f.kind == "literal" and f.dtype == "string"})
+    found = reduce(DataFrame.unionByName, [g.extent(p) for p in names]).where(F.col("o").isin(*sorted(set(texts)))).select("o", "p").distinct()
+    out: dict[str, list[str]] = {}
+    for r in found.orderBy("o", "p").collect():
+        out.setdefault(r.o, []).append(r.p)
+    return out
+
+
+def _named(phrase: str, held: dict[str, list[str]]) -> list[tuple[str, str]]:
+    """(literal, predicate) of what a phrase names, in its order; a word within a longer name does not count again."""
+    found: list[str] = []
+    for x in spoken(phrase):
+        if x in held and not any(x in y for y in found):
+            found.append(x)
+    return [(x, p) for x in sorted(found, key=phrase.find) for p in held[x]]
+
+
+def _rest(phrase: str, entities: list[tuple[str, str]]) -> list[str]:
+    for x, _ in entities:
+        phrase = phrase.replace(x, " ")
+    return TOKEN.findall(phrase)
+
+
+def keyword_queries(g: Graph, phrase: str, held: dict[str, list[str]], theta: float = 0.9) -> list[SelectQuery]:
+    """The queries of one or two patterns that a phrase may mean: one of its entities and one of its predicates, on either side."""
+    out = []
+    entities = _named(phrase, held)
+    preds = _predicates(g, _rest(phrase, entities), theta)
+    for value, own in entities:
+        for p in [p for p in preds if p != own] or [own]:
+            first = Pattern(var("e"), iri(own), lit(value))
+            out.append(SelectQuery((first, Pattern(var("e"), iri(p), var("x"))), ("x",), distinct=True))
+            if p in g.kinds("iri"):
+                out.append(SelectQuery((first, Pattern(var("x"), iri(p), var("e"))), ("x",), distinct=True))
+    return out
+
+
+def keyword_qa(g: Graph, phrases: dict[int, list[str]], attempts: int = 3, theta: float = 0.9) -> tuple[DataFrame, dict[int, int]]:
+    """NL-QA comparator: ((qid, answer), attempts used). Words become one predicate and one entity, and these a query of
+    one or two patterns; up to `attempts` paraphrases are tried, and the first query with answers counts. It knows no vocabulary.
+
+    The queries of all questions and attempts run together; which of them had answers, a row a query, comes to the driver.
+    """
+    held = holders(g, [x for ps in phrases.values() for ph in ps[:attempts] for x in spoken(ph)])
+    tried, number = [], 0
+    for qid, ps in phrases.items():
+        for n, phrase in enumerate(ps[:attempts], 1):
+            for q in keyword_queries(g, phrase, held, theta):
+                tried.append((number, qid, n, q))
+                number += 1
+    rows = plan.run_many(g, [(i, q) for i, _, _, q in tried])
+    alive = {r.qid for r in rows.select("qid").distinct().collect()}
+    first: dict[int, tuple[int, int]] = {}
+    for i, qid, n, _ in tried:
+        if i in alive:
+            first.setdefault(qid, (i, n))
+    used = {qid: first[qid][1] if qid in first else min(attempts, len(ps)) for qid, ps in phrases.items()}
+    chosen = g.spark.createDataFrame([(i, qid) for qid, (i, _) in first.items()], "i long, q long")
+    return rows.join(F.broadcast(chosen), rows["qid"] == chosen["i"]).select(F.col("q").alias("qid"), "answer"), used
+
+
+def factoid_qa(g: Graph, phrases: dict[int, str], theta: float = 0.95) -> DataFrame:
+    """(qid, answer). Answers only where a phrase names exactly one entity and one predicate strictly, and the value is single; else abstains."""
+    held = holders(g, [x for ph in phrases.values() for x in spoken(ph)])
+    asked = []
+    for qid, phrase in phrases.items():
+        entities = _named(phrase, held)
+        preds = _predicates(g, _rest(phrase, entities), theta)
+        if len(entities) == 1 and len(preds) == 1 and preds[0] != entities[0][1] and preds[0] in g.kinds("iri"):
+            value, own = entities[0]
+            patterns = (Pattern(var("e"), iri(own), lit(value)), Pattern(var("e"), iri(preds[0]), var("y")), Pattern(var("y"), iri("name"), var("x")))
+            asked.append((qid, SelectQuery(patterns, ("x",))))
+    rows = plan.run_many(g, asked)
+    return rows.groupBy("qid").agg(F.count("*").alias("n"), F.first("answer").alias("answer")).where("n = 1").select("qid", "answer")
 
 
 def build_summary(g: Graph) -> DataFrame:
@@ -84,9 +131,13 @@ def build_summary(g: Graph) -> DataFrame:
     return links.groupBy("class_s", "p", "class_o").agg(F.count("*").alias("n")).unionByName(lits.groupBy("class_s", "p", "class_o").agg(F.count("*").alias("n")))
 
 
-def rewrite_by_summary(g: Graph, q: SelectQuery, summary: list) -> SelectQuery | None:
-    """Each pattern whose predicate points at entities but whose object is a literal is replaced by the shortest summary
-    path from a carrier of the predicate's subject to a class that carries the literal. None if there is no path; terms must be right."""
+def rewrite_by_summary(g: Graph, q: SelectQuery, summary: list, held: dict[str, list[str]] | None = None) -> SelectQuery | None:
+    """Each pattern whose predicate points at entities but whose object is a literal is replaced by the shortest summary path from a class
+    of its subject that ends with the predicate, and the literal's own predicate at the class reached. None if there is no path; terms must be right.
+
+    held: the predicates that hold each literal; looked up if it is not given.
+    """
+    held = held if held is not None else holders(g, q.literals())
     carriers: dict[str, set[str]] = {}
     links: dict[str, list[tuple[str, str]]] = {}
     for r in summary:
@@ -94,52 +145,45 @@ def rewrite_by_summary(g: Graph, q: SelectQuery, summary: list) -> SelectQuery |
             carriers.setdefault(r.p, set()).add(r.class_s)
         else:
             links.setdefault(r.class_s, []).append((r.p, r.class_o))
-    out: list[Pattern] = []
+    if any(p.p.kind != "iri" or p.p.value not in g.predicates for p in q.patterns):
+        return None
+    entity = g.kinds("iri")
+    bent = [p for p in q.patterns if p.o.kind == "literal" and p.p.value in entity]
+    out = [p for p in q.patterns if p not in bent]
     fresh = 0
-    subjects = {r.class_s for r in summary}
-    for p in q.patterns:
-        if p.p.value not in g.predicates:
-            return None
-        if p.o.kind != "literal" or p.p.value in g.kinds("literal"):
-            out.append(p)
-            continue
-        need = [x.p.value for x in q.patterns if x.s == p.s and x.o.kind == "literal" and x is not p]
-        start = sorted(c for c in subjects if any(a == p.p.value for a, _ in links.get(c, [])) or _reaches(links, c, p.p.value))
-        start = [c for c in start if all(_reaches(links, c, n) for n in need if n not in g.kinds("literal"))]
-        path = None
-        for c in start:
-            path = _path(links, c, p.p.value)
-            if path and not any(_path(links, d, p.p.value) and len(_path(links, d, p.p.value)) < len(path) for d in start):
-                break
-        if not path:
+    for s in dict.fromkeys(p.s for p in bent):
+        own = [p for p in bent if p.s == s]
+        options = []
+        for c in sorted(links):
+            paths = [_path(links, c, p.p.value, {x for name in held.get(p.o.value, []) for x in carriers.get(name, ())}) for p in own]
+            if all(paths):
+                options.append((sum(len(path) for path, _ in paths), c, paths))
+        if not options:
             return None
-        at = p.s
-        for name in path:
-            nxt = var(f"w{fresh}")
-            fresh += 1
-            out.append(Pattern(at, iri(name), nxt))
-            at = nxt
-        out.append(Pattern(at, iri("name"), p.o))
+        for p, (path, end) in zip(own, min(options, key=lambda o: o[:2])[2], strict=True):
+            at = s
+            for name in path:
+                out.append(Pattern(at, iri(name), var(f"w{fresh}")))
+                at = var(f"w{fresh}")
+                fresh += 1
+            name = next(n for n in held[p.o.value] if end in carriers.get(n, ()))
+            out.append(Pattern(at, iri(name), p.o))
     return SelectQuery(tuple(dict.fromkeys(out)), q.variables, q.distinct)
 
 
-def _path(links: dict, c: str, last: str, most: int = 4) -> list[str] | None:
-    """The shortest chain of predicates from a class that ends with `last`."""
+def _path(links: dict, c: str, last: str, ends: set[str], most: int = 4) -> tuple[list[str], str] | None:
+    """(the shortest chain of predicates from a class that ends with `last`, the class it reaches), a class that carries the literal."""
     queue = deque([(c, [])])
     while queue:
         at, path = queue.popleft()
         for p, o in sorted(links.get(at, [])):
-            if p == last:
-                return [*path, p]
+            if p == last and o in ends:
+                return [*path, p], o
             if len(path) + 1 < most:
                 queue.append((o, [*path, p]))
     return None
 
 
-def _reaches(links: dict, c: str, last: str) -> bool:
-    return _path(links, c, last) is not None
-
-
 def features(g: Graph) -> DataFrame:
     """(e, f): outgoing predicate and object, and incoming predicate and subject, of every entity."""
     t = g.triples([p for p in g.predicates if p not in ("subClassOf", "label")])
@@ -178,20 +222,50 @@ def learn_query(feats: DataFrame, positives: list[str], negatives: list[str]) ->
     return with_features(feats, wanted, len(rows))
 
 
-def feedback_loop(feats: DataFrame, gold: set[str], seeds: int = 2, max_rounds: int = 5) -> tuple[set[str], int]:
-    """(answers, rounds): answers outside gold become negatives, missed ones positives, until right or nothing changes."""
-    if len(gold) < 3:
-        return set(), 0
-    positives, negatives = sorted(gold)[:seeds], []
-    last: set[str] = set()
-    for n in range(1, max_rounds + 1):
-        got = {r.e for r in learn_query(feats, positives, negatives).limit(10_000).collect()}
-        if got == gold or got == last:
-            return got, n
-        last = got
-        negatives = sorted(set(negatives) | set(sorted(got - gold)[:3]))
-        positives = sorted(set(positives) | set(sorted(gold - got)[:1]))
-    return last, max_rounds
+def _learned(feats: DataFrame, positives: DataFrame, negatives: DataFrame) -> DataFrame:
+    """(qid, e) of learn_query() for many questions at once: positives and negatives are (qid, e)."""
+    n_pos, n_neg = (x.groupBy("qid").agg(F.count("*").alias(n)) for x, n in ((positives, "np"), (negatives, "nn")))
+    shared = feats.join(F.broadcast(positives), "e").distinct().groupBy("qid", "f").agg(F.count("*").alias("k")).join(F.broadcast(n_pos), "qid").where("k = np").select("qid", "f")
+    against = feats.join(F.broadcast(negatives), "e").distinct().groupBy("qid", "f").agg(F.count("*").alias("k"))
+    marked = shared.join(against, ["qid", "f"], "left").join(F.broadcast(n_neg), "qid", "left").withColumn("useful", F.col("nn").isNull() | (F.coalesce("k", F.lit(0)) < F.col("nn")))
+    own = Window.partitionBy("qid")
+    wanted = marked.withColumn("any", F.bool_or("useful").over(own)).where("useful OR NOT any").withColumn("n", F.count("*").over(own)).select("qid", "f", "n")
+    hit = feats.join(F.broadcast(wanted), "f").select("qid", "e", "f", "n").distinct()  # wanted: the features of a few examples
+    return hit.groupBy("qid", "e").agg(F.count("*").alias("k"), F.first("n").alias("n")).where("k = n").select("qid", "e")
+
+
+def feedback_loop(feats: DataFrame, gold: DataFrame, keep, seeds: int = 2, marks: int = 3) -> DataFrame:
+    """(qid, answer) for gold(qid, answer): answers outside gold become negatives, missed ones positives, until right or
+    nothing changes. All questions go through a round together; questions of fewer than three answers are not asked.
+
+    keep(df) writes a round's table. Rounds end, as each adds an example to every question that goes on.
+    """
+    number = Window.partitionBy("qid").orderBy("e")
+    gold = keep(gold.select("qid", F.col("answer").alias("e")).distinct().withColumn("n", F.count("*").over(Window.partitionBy("qid"))).where("n >= 3").select("qid", "e"))
+    positives = gold.withColumn("i", F.row_number().over(number)).where(F.col("i") <= seeds).select("qid", "e")
+    negatives = gold.limit(0)
+    done, last = gold.limit(0), {}
+    while True:
+        got = keep(_learned(feats, positives, negatives))
+        both = got.withColumn("g", F.lit(1)).join(gold.withColumn("w", F.lit(1)), ["qid", "e"], "full")
+        state = {r.qid: r for r in both.groupBy("qid").agg(F.count_if(F.col("w").isNull()).alias("extra"), F.count_if(F.col("g").isNull()).alias("missed"), F.sum(F.when(F.col("g") == 1, F.xxhash64("e").cast("decimal(38,0)"))).alias("print")).collect()}  # a row a question
+        ends = [q for q, r in state.items() if r.extra + r.missed == 0 or last.get(q) == (r.extra, r.missed, r.print)]
+        over = feats.sparkSession.createDataFrame([(q,) for q in ends], "qid long")
+        done = done.unionByName(got.join(F.broadcast(over), "qid", "left_semi"))
+        last = {q: (r.extra, r.missed, r.print) for q, r in state.items()}
+        gold = gold.join(F.broadcast(over), "qid", "left_anti")
+        if len(ends) == len(state):
+            return done.select("qid", F.col("e").alias("answer"))
+        more = both.join(F.broadcast(over), "qid", "left_anti")
+        extra = more.where("w IS NULL").withColumn("i", F.row_number().over(number)).where(F.col("i") <= marks).select("qid", "e")
+        missed = more.where("g IS NULL").withColumn("i", F.row_number().over(number)).where(F.col("i") <= marks).select("qid", "e")
+        negatives = keep(negatives.unionByName(extra).distinct())
+        positives = keep(positives.unionByName(missed).distinct())
+
+
+def unaided_many(g: Graph, queries: dict[int, SelectQuery]) -> DataFrame:
+    """(qid, answer) of users' queries as they are; those with a predicate that the data lacks have none."""
+    return plan.run_many(g, [(i, q) for i, q in queries.items() if all(p.p.kind != "iri" or p.p.value in g.predicates for p in q.patterns)])
 
 
 def unaided(g: Graph, q: SelectQuery) -> DataFrame:

@@ -8,7 +8,7 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .index import Cache, build_ngrams, fold, scan_bins, suffix_lookup
+from .index import MAX_LEN, Cache, build_ngrams, fold, scan_bins, suffix_lookup
 
 RESULT = "rank int, term string, origin string"
 #: Rows of typed text up to which a batch goes to every task of the residual scan.
@@ -32,14 +32,20 @@ def residual_search(c: Cache, text: str, k: int = 10, gamma: int = 10) -> DataFr
     return bins.where(F.contains(fold(F.col("lit")), F.lit(text.lower()))).orderBy("lit_len", "lit").limit(k)
 
 
-def complete_progressive(c: Cache, text: str, k: int = 10, gamma: int = 10, kinds: tuple[str, ...] | None = None, use_index: bool = True) -> Iterator[DataFrame]:
-    """First the index's matches, at once; then, only if they are fewer than k, the rest from the bins."""
+def complete_progressive(c: Cache, text: str, k: int = 10, gamma: int = 10, kinds: tuple[str, ...] | None = None, use_index: bool = True, held: SuffixCache | None = None) -> Iterator[DataFrame]:
+    """First the index's matches, at once; then, only if they are fewer than k, the rest from the bins.
+
+    held: the index's terms on the driver, which answer without a job.
+    """
     if is_variable(text) or not text:
         return
     found = 0
     if use_index:
-        hits = index_hits(c, text, k, kinds)
-        rows = [(i + 1, r.term, "index") for i, r in enumerate(hits.select("term").collect())]  # at most k
+        if held is not None and kinds is None:
+            found_terms = held.lookup(text, k)
+        else:
+            found_terms = [r.term for r in index_hits(c, text, k, kinds).select("term").collect()]  # at most k
+        rows = [(i + 1, t, "index") for i, t in enumerate(found_terms)]
         found = len(rows)
         yield c.spark.createDataFrame(rows, RESULT)
     if found < k and (kinds is None or "literal" in kinds):
@@ -47,10 +53,10 @@ def complete_progressive(c: Cache, text: str, k: int = 10, gamma: int = 10, kind
         yield c.spark.createDataFrame([(found + i + 1, r.lit, "bin") for i, r in enumerate(rest.select("lit").collect())], RESULT)
 
 
-def complete(c: Cache, text: str, k: int = 10, gamma: int = 10, kinds: tuple[str, ...] | None = None, use_index: bool = True) -> DataFrame:
+def complete(c: Cache, text: str, k: int = 10, gamma: int = 10, kinds: tuple[str, ...] | None = None, use_index: bool = True, held: SuffixCache | None = None) -> DataFrame:
     """(rank, term, origin) of at most k completions; a variable (?name) and an empty text have none."""
     out = c.spark.createDataFrame([], RESULT)
-    for part in complete_progressive(c, text, k, gamma, kinds, use_index):
+    for part in complete_progressive(c, text, k, gamma, kinds, use_index, held):
         out = out.unionByName(part)
     return out
 
@@ -80,28 +86,40 @@ def contains_join(typed: DataFrame, strings: DataFrame) -> DataFrame:
     return strings.join(F.broadcast(typed), F.contains(fold(F.col("lit")), F.lower("t")))
 
 
-def heads(suffixes: DataFrame, most: int) -> DataFrame:
-    """suffixes with each of their first 1 to `most` characters as h, so that a text meets heads of its own length."""
-    lengths = F.sequence(F.lit(1), F.least(F.lit(most), F.length("suffix")))
-    return suffixes.where(F.length("suffix") > 0).withColumn("h", F.explode(F.transform(lengths, lambda n: F.substring("suffix", 1, n))))
+def _typed(typed: DataFrame) -> DataFrame:
+    """(t, f, n): typed texts that can have completions, folded, with their length."""
+    return typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?')").withColumn("f", fold(F.col("t"))).withColumn("n", F.length("f"))
+
+
+def prefixes(suffixes: DataFrame, asked: DataFrame) -> DataFrame:
+    """(f, term_id): suffixes under the prefixes that are asked for. A prefix is made for each typed length that is there, so a text meets its
+    matches by equality and no other suffix; lengths are bounded by a suffix's."""
+    lengths = sorted(r.n for r in asked.select("n").distinct().where(F.col("n") <= MAX_LEN + 1).collect())  # at most MAX_LEN + 1
+    cut = F.filter(F.array(*[F.lit(n) for n in lengths]).cast("array<int>"), lambda n: n <= F.length("suffix"))
+    made = suffixes.withColumn("f", F.explode(F.transform(cut, lambda n: F.substring(F.col("suffix"), F.lit(1), n))))
+    return made.join(asked.select("f").distinct(), "f", "left_semi").select("f", "term_id").distinct()
 
 
 def complete_batch(c: Cache, typed: DataFrame, k: int = 10, gamma: int = 10, grams: int = 3) -> DataFrame:
     """(t, rank, term, origin) of many typed texts (column t) at once.
 
-    The index side joins on the first characters of text and suffix; the bin side joins each text's rarest-looking
-    gram with the literals' grams and checks the match. Both are equi-joins, so neither side has to be small.
-    Texts shorter than `grams` characters join on heads and grams of their own length. Variables are left out.
+    The index side joins a text with the prefixes of its length. The bin side joins each text's rarest gram, by the number of literals
+    that have it, with the literals' grams and checks the match. Both are equi-joins, so neither side has to be small.
+    Texts shorter than `grams` characters join on grams of their own length. Variables are left out.
     """
-    t = typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?')").withColumn("f", F.lower("t"))
-    asked = t.withColumn("h", F.substring("f", 1, grams))
-    suffixes = heads(c.suffixes, grams)
-    hit = asked.join(suffixes, "h").where("startswith(suffix, f)").select("t", "term_id").distinct().join(c.terms, "term_id")
-    one = hit.select("t", "term", F.lit(0).alias("tier"), "score", "term_len", F.lit("index").alias("origin"))
+    t = _typed(typed)
+    best = prefixes(c.suffixes, t).join(c.terms, "term_id")
+    first = Window.partitionBy("f").orderBy(F.desc("score"), "term_len", "term")
+    best = best.withColumn("i", F.row_number().over(first)).where(F.col("i") <= k)
+    one = t.join(best, "f").select("t", "term", F.lit(0).alias("tier"), "score", "term_len", F.lit("index").alias("origin"))
     posting = build_ngrams(c.residual.select("lit"), grams)
     for n in range(1, grams):
         posting = posting.unionByName(build_ngrams(c.residual.select("lit"), n))
-    two = t.withColumn("gram", F.substring("f", 1, grams)).join(posting, "gram").where("contains(lower(lit), f)")
+    size = F.least(F.lit(grams), F.col("n"))
+    own = t.withColumn("gram", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.col("n") - size + 1), lambda i: F.substring(F.col("f"), i, size)))))
+    counts = posting.join(own.select("gram").distinct(), "gram", "left_semi").groupBy("gram").agg(F.count("*").alias("k"))
+    rare = own.join(counts, "gram", "left").groupBy("t", "f").agg(F.min_by("gram", F.struct(F.coalesce("k", F.lit(0)), "gram")).alias("gram"))
+    two = rare.join(posting, "gram").where(F.contains(fold(F.col("lit")), F.col("f")))
     two = two.where((F.length("lit") >= F.length("t")) & (F.length("lit") <= F.length("t") + gamma))
     two = two.select("t", F.col("lit").alias("term"), F.lit(1).alias("tier"), F.lit(0).cast("long").alias("score"), F.length("lit").alias("term_len"), F.lit("bin").alias("origin"))
     order = Window.partitionBy("t").orderBy("tier", F.desc("score"), "term_len", "term")
@@ -110,9 +128,8 @@ def complete_batch(c: Cache, typed: DataFrame, k: int = 10, gamma: int = 10, gra
 
 def hit_ratio(c: Cache, typed: DataFrame) -> DataFrame:
     """(asked, hits, ratio): typed texts with a match in the index."""
-    t = typed.select("t").distinct().where("t <> '' AND NOT startswith(t, '?')").withColumn("f", F.lower("t"))
-    suffixes = heads(c.suffixes, 3).select("h", "suffix")
-    hit = t.withColumn("h", F.substring("f", 1, 3)).join(suffixes, "h").where("startswith(suffix, f)").select("t").distinct()
+    t = _typed(typed)
+    hit = t.join(prefixes(c.suffixes, t).select("f").distinct(), "f", "left_semi")
     sums = t.agg(F.count("*").alias("asked")).crossJoin(hit.agg(F.count("*").alias("hits")))  # one row each
     return sums.withColumn("ratio", F.round(F.try_divide("hits", "asked"), 6))
 

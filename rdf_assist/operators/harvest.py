@@ -85,7 +85,7 @@ class EndpointCost:
 LOG = "query_no int, p string, c string, scope string, n_rows long, pages int, status string"
 
 
-def _walk(sizes: dict, predicates: list[str], children: dict, roots: list[str], cost: EndpointCost, max_queries: int | None) -> list[tuple]:
+def walk(sizes: dict, predicates: list[str], children: dict, roots: list[str], cost: EndpointCost, max_queries: int | None) -> list[tuple]:
     """Predicates by frequency, classes from the roots: a class that fails is asked for its direct instances, then child by child."""
     log: list[tuple] = []
 
@@ -115,18 +115,23 @@ def _walk(sizes: dict, predicates: list[str], children: dict, roots: list[str],
     return log
 
 
-def plan_harvest(g: Graph, cost: EndpointCost, max_queries: int | None = None, max_len: int = 80, langs: tuple[str, ...] = ("en",)) -> DataFrame:
-    """The log of the walk, a row for each logical query (LOG)."""
-    rows = bounded(extent_sizes(g, max_len, langs), MAX_CLASSES * 10)
-    sizes = {(r.p, r.c): (r.n_all, r.n_direct) for r in rows}
-    hierarchy = {r.c: r.parent for r in class_hierarchy(g.spark).collect()}
+def class_tree(g: Graph) -> tuple[list[str], dict[str, list[str]]]:
+    """(roots, class → its children); a row a class."""
+    hierarchy = {r.c: r.parent for r in bounded(class_hierarchy(g.spark), MAX_CLASSES)}
     children: dict[str, list[str]] = {}
     for c, parent in sorted(hierarchy.items()):
         if parent:
             children.setdefault(parent, []).append(c)
+    return sorted(c for c, parent in hierarchy.items() if parent is None), children
+
+
+def plan_harvest(g: Graph, cost: EndpointCost, max_queries: int | None = None, max_len: int = 80, langs: tuple[str, ...] = ("en",)) -> DataFrame:
+    """The log of the walk, a row for each logical query (LOG)."""
+    rows = bounded(extent_sizes(g, max_len, langs), MAX_CLASSES * 10)
+    sizes = {(r.p, r.c): (r.n_all, r.n_direct) for r in rows}
+    roots, children = class_tree(g)
     predicates = [r.p for r in literal_predicates(g).collect()]
-    roots = sorted(c for c, parent in hierarchy.items() if parent is None)
-    return g.spark.createDataFrame(_walk(sizes, predicates, children, roots, cost, max_queries), LOG)
+    return g.spark.createDataFrame(walk(sizes, predicates, children, roots, cost, max_queries), LOG)
 
 
 def type_frequency(g: Graph) -> DataFrame:
@@ -141,17 +146,19 @@ def plan_harvest_flat(g: Graph, cost: EndpointCost, max_queries: int | None = No
     sizes = {(r.p, r.c): (r["count"], r["count"]) for r in own.collect()}
     order = [r.c for r in bounded(type_frequency(g), MAX_CLASSES)]
     predicates = [r.p for r in literal_predicates(g).collect()]
-    return g.spark.createDataFrame(_walk(sizes, predicates, {}, order, cost, max_queries), LOG)
+    return g.spark.createDataFrame(walk(sizes, predicates, {}, order, cost, max_queries), LOG)
+
+
+def accepted_classes(g: Graph, log: DataFrame) -> DataFrame:
+    """(p, c): the classes, with subclasses, that a log's accepted queries cover."""
+    accepted = log.where("status = 'ok'").select("p", F.col("c").alias("anc"), "scope")
+    closure = class_closure(class_hierarchy(g.spark)).select("c", "anc")
+    return accepted.join(closure, "anc").where("scope = 'subtree' OR c = anc").select("p", "c")
 
 
 def fetch(g: Graph, log: DataFrame, max_len: int = 80, langs: tuple[str, ...] = ("en",), flat: bool = False) -> DataFrame:
     """(source, lit, lit_len, lang, dtype): the distinct literals that the accepted queries return."""
-    accepted = log.where("status = 'ok'").select("p", F.col("c").alias("anc"), "scope")
-    if flat:
-        pairs = accepted.select("p", F.col("anc").alias("c"))
-    else:
-        closure = class_closure(class_hierarchy(g.spark)).select("c", "anc")
-        pairs = accepted.join(closure, "anc").where("scope = 'subtree' OR c = anc").select("p", "c")
+    pairs = log.where("status = 'ok'").select("p", "c") if flat else accepted_classes(g, log)
     typed = cacheable(g.literals(), max_len, langs).join(types(g), "s")
     kept = typed.join(F.broadcast(pairs.distinct()), ["p", "c"], "left_semi")  # predicates x classes
     return kept.select("source", F.col("o").alias("lit"), F.col("o_len").alias("lit_len"), F.col("o_lang").alias("lang"), F.col("o_dtype").alias("dtype")).distinct()

@@ -7,7 +7,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..sources.tables import save
+from ..sources.tables import save, written
 from .mapping import Graph
 from .significance import select_significant, significance
 
@@ -53,13 +53,32 @@ def build_cache(g: Graph, m: int = 40_000, mode: str = "exact", scores: DataFram
 
 
 def store(c: Cache, path: str, rows_per_file: int = 2_000_000) -> Cache:
-    """The cache on disk: suffixes range-sorted, so that a prefix reads few row groups; residual in one folder a length."""
-    c.terms.write.mode("overwrite").parquet(f"{path}/terms")
-    c.suffixes.repartitionByRange("suffix").sortWithinPartitions("suffix", "term_id", "pos").write.mode("overwrite").parquet(f"{path}/suffixes")
-    save(c.residual.withColumn("folded", fold(F.col("lit"))).repartition("lit_len"), f"{path}/residual", ("lit_len",), rows_per_file)
+    """The cache on disk: suffixes range-sorted, so that a prefix reads few row groups; residual in one folder a length, dealt by balanced slices."""
+    terms = written(c.terms)
+    terms.write.mode("overwrite").parquet(f"{path}/terms")
+    build_suffix_table(terms).repartitionByRange("suffix").sortWithinPartitions("suffix", "term_id", "pos").write.mode("overwrite").parquet(f"{path}/suffixes")
+    residual = written(c.residual)
+    tasks, placed = place(residual, rows_per_file)
+    save(placed.withColumn("folded", fold(F.col("lit"))).repartition(tasks, "lit_len", "slice").drop("slice"), f"{path}/residual", ("lit_len",), rows_per_file)
     return open_cache(c.spark, path)
 
 
+def place(residual: DataFrame, rows_per_slice: int) -> tuple[int, DataFrame]:
+    """(tasks, residual with its slice): the bins as assign_slices() cuts them for so many tasks. A bin that reaches into n tasks is dealt into n
+    slices by its literals' hash, so a long bin is written, and later scanned, by as many tasks as its share of all literals asks for."""
+    sizes = residual.groupBy("lit_len").agg(F.count("*").alias("n"))
+    total = sizes.agg(F.sum("n")).first()[0] or 0
+    tasks = max(1, -(-total // rows_per_slice))
+    cut = assign_slices(sizes, tasks).groupBy("lit_len").agg(F.count("*").alias("slices"))  # a row a length
+    return tasks, residual.join(F.broadcast(cut), "lit_len").withColumn("slice", F.pmod(F.xxhash64("lit"), F.col("slices"))).select("lit", "score", "lit_len", "slice")
+
+
+def stored_bytes(spark: SparkSession, path: str) -> int:
+    """Bytes of a stored cache's files."""
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(at).getLength()
+
+
 def open_cache(spark: SparkSession, path: str) -> Cache:
     return Cache(spark.read.parquet(f"{path}/terms"), spark.read.parquet(f"{path}/suffixes"), spark.read.schema("lit string, score long, folded string, lit_len int").parquet(f"{path}/residual"))
 
@@ -101,9 +120,9 @@ def balance(slices: DataFrame) -> DataFrame:
 
 
 def index_stats(c: Cache) -> DataFrame:
-    """One row: predicates, literals, suffix rows, characters of suffixes, residual literals, bins."""
+    """One row: predicates, literals, suffix rows, characters and bytes of suffixes, residual literals, bins."""
     kinds = c.terms.agg(F.count(F.when(F.col("kind") == "predicate", 1)).alias("predicates"), F.count(F.when(F.col("kind") == "literal", 1)).alias("literals"))
-    rows = c.suffixes.agg(F.count("*").alias("suffix_rows"), F.sum(F.length("suffix")).alias("suffix_chars"))
+    rows = c.suffixes.agg(F.count("*").alias("suffix_rows"), F.sum(F.length("suffix")).alias("suffix_chars"), F.sum(F.octet_length("suffix")).alias("suffix_bytes"))
     rest = c.residual.agg(F.count("*").alias("residual"), F.countDistinct("lit_len").alias("bins"))
     return kinds.crossJoin(rows).crossJoin(rest)  # one row each
 

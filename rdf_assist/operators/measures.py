@@ -28,6 +28,15 @@ def judge(runs: DataFrame, gold: DataFrame) -> DataFrame:
     return both.select("system", "qid", (F.size(got) > 0).alias("processed"), same.alias("right"), (F.arrays_overlap(got, want) & ~same).alias("partial"))
 
 
+def judge_rows(runs: DataFrame, gold: DataFrame) -> DataFrame:
+    """(system, qid, processed, right, partial): runs(system, qid, answer) against gold(qid, answer), as rows and not as lists, so answers may be any number."""
+    runs, gold = runs.distinct(), gold.distinct()
+    n_gold = gold.groupBy("qid").agg(F.count("*").alias("n_gold"))
+    held = runs.join(gold.withColumn("hit", F.lit(1)), ["qid", "answer"], "left").groupBy("system", "qid").agg(F.count("*").alias("n"), F.count("hit").alias("hits"))
+    right = (F.col("hits") == F.col("n")) & (F.col("hits") == F.col("n_gold"))
+    return held.join(n_gold, "qid", "left").withColumn("n_gold", F.coalesce("n_gold", F.lit(0))).select("system", "qid", F.lit(True).alias("processed"), right.alias("right"), ((F.col("hits") > 0) & ~right).alias("partial"))
+
+
 def _ratio(a, b):
     return F.round(F.try_divide(a, b), 6)
 
@@ -49,6 +58,13 @@ def scores(verdicts: DataFrame, total: int) -> DataFrame:
     return scores_of(counts, total)
 
 
+def factoid_recall(verdicts: DataFrame, factoid: DataFrame) -> DataFrame:
+    """(system, n_right, total, r): recall over factoid questions (qid) alone."""
+    total = factoid.agg(F.count("*").alias("total"))  # one row
+    right = verdicts.join(F.broadcast(factoid), "qid", "left_semi").groupBy("system").agg(F.count_if("right").alias("n_right"))
+    return right.join(F.broadcast(total)).select("system", "n_right", "total", _ratio(F.col("n_right"), F.col("total")).alias("r"))
+
+
 def published(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(PUBLISHED, "system string, processed long, n_right long, n_partial long")
 
@@ -149,7 +165,8 @@ def missing(wanted: DataFrame, got: DataFrame) -> DataFrame:
 
 
 def expansion_cost(ledgers: DataFrame) -> DataFrame:
-    return ledgers.groupBy("strategy").agg(F.sum("expansions").alias("expansions"), F.sum("refused").alias("refused"))
+    """(strategy, searches, expansions, refused, cost) of searches, a ledger row (relax.ledger) each."""
+    return ledgers.groupBy("strategy").agg(F.count("*").alias("searches"), F.sum("expansions").alias("expansions"), F.sum("refused").alias("refused"), F.sum("cost").alias("cost"))
 
 
 def steiner_bound(seeds: int) -> float:

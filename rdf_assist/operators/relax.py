@@ -9,15 +9,16 @@ What is reached stays a distributed table; only expanded vertices and aggregates
 from __future__ import annotations
 
 import itertools
-import os
-import tempfile
-import uuid
+import re
 from dataclasses import dataclass, field
+from functools import reduce
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..plans.ir import SelectQuery
+from ..plans import compile as plan
+from ..plans.ir import SelectQuery, text_of
+from ..sources.tables import remove_folder, shared_folder
 from . import tree as trees
 from .index import Cache
 from .mapping import Graph
@@ -28,6 +29,8 @@ SUBJECTS = {"region": "region", "nation": "nation", "customer": "customer", "ord
 TARGETS = {"region": "region", "nation": "nation", "customer": "customer", "order": "order", "part": "part", "supplier": "supplier", "origin": "origin", "host": "host", "linksTo": "path", "conversation": "conversation", "user": "user", "type": "class", "subClassOf": "class"}
 
 W_QUERY, W_DEFAULT = 1, 2
+# What a literal that stands for a number or a point in time looks like.
+NUMBER, TIME = re.compile(r"-?\d+(\.\d+)?([eE]-?\d+)?"), re.compile(r"\d{4}-\d\d-\d\d([ T]\d\d:\d\d(:\d\d(\.\d+)?)?)?")
 
 
 def seed_groups(g: Graph, c: Cache | None, q: SelectQuery, k: int = 10) -> DataFrame:
@@ -58,6 +61,8 @@ def expand(g: Graph, vertices: list[str], edges: DataFrame | None = None, skip:
     if edges is not None:
         return edges.where(F.col("v").isin(*vertices))
     lits = [v[1:] for v in vertices if v.startswith('"')]
+    numbers = {x: float(x) for x in lits if NUMBER.fullmatch(x)}
+    times = [x for x in lits if TIME.fullmatch(x)]
     iris = [v for v in vertices if not v.startswith('"')]
     kinds = {v.split("/", 1)[0] for v in iris}
     parts = []
@@ -71,6 +76,10 @@ def expand(g: Graph, vertices: list[str], edges: DataFrame | None = None, skip:
                 parts.append(df.where(F.col("s").isin(*iris)).select(F.col("s").alias("v"), "p", vertex_key(f.kind, F.col("o")).alias("u"), F.lit(True).alias("forward")))
             if f.kind == "literal" and lits and f.dtype == "string":
                 parts.append(df.where(F.col("o").isin(*lits)).select(vertex_key("literal", F.col("o")).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")))
+            if f.kind == "literal" and f.dtype in ("double", "integer"):
+                parts += [df.where(F.col("o_num") == n).select(F.lit('"' + x).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")) for x, n in numbers.items()]
+            if f.kind == "literal" and f.dtype == "timestamp":
+                parts += [df.where(F.col("o_ts") == F.lit(x).cast("timestamp")).select(F.lit('"' + x).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")) for x in times]
             if f.kind == "iri" and TARGETS.get(p) in kinds:
                 parts.append(df.where(F.col("o").isin(*iris)).select(F.col("o").alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")))
     if not parts:
@@ -98,22 +107,14 @@ class Connection:
 REACHED = "group_id int, vertex string, dist int, parents array<struct<v:string,p:string,forward:boolean>>, refused boolean"
 
 
-def _shared(spark: SparkSession) -> str:
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not base:
-        if not (spark.sparkContext.master == "local" or spark.sparkContext.master.startswith("local[")):
-            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-        base = "file://" + os.path.join(tempfile.gettempdir(), "rdf_assist_shared")
-    return f"{base.rstrip('/')}/relax_{uuid.uuid4().hex}"
-
-
 class Search:
     """The state of one search."""
 
     def __init__(self, g: Graph, seeds: DataFrame, liked: list[str], budget: int, w_query: int, w_default: int, edges: DataFrame | None, strategy: str):
         self.g, self.liked, self.budget, self.edges, self.strategy = g, liked, budget, edges, strategy
         self.w_query, self.w_default = w_query, w_default
-        self.folder, self.round = _shared(g.spark), 0
+        self.folder, self.round = shared_folder(g.spark), 0
+        self.cut = False
         self.expanded: dict[str, int] = {}
         self.done: set[tuple[int, str]] = set()
         none = F.array().cast("array<struct<v:string,p:string,forward:boolean>>")
@@ -128,6 +129,10 @@ class Search:
         df.write.parquet(path)
         return self.g.spark.read.schema(REACHED).parquet(path)
 
+    def close(self) -> None:
+        """Removes the rounds' tables."""
+        remove_folder(self.g.spark, self.folder)
+
     def open_rows(self) -> DataFrame:
         done = self.g.spark.createDataFrame(sorted(self.done) or [(-1, "")], "group_id int, vertex string")
         return self.reached.where(~F.col("refused")).join(F.broadcast(done), ["group_id", "vertex"], "left_anti")  # at most budget x groups rows
@@ -182,13 +187,22 @@ class Search:
         self.reached = self.save(base.select("group_id", "vertex", "dist", "parents", "refused"))
 
 
-def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 100, w_query: int = W_QUERY, w_default: int = W_DEFAULT, strategy: str = "both", max_trees: int = 20, edges: DataFrame | None = None, max_rounds: int = 60) -> Connection:
+def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 100, w_query: int = W_QUERY, w_default: int = W_DEFAULT, strategy: str = "both", max_trees: int = 20, edges: DataFrame | None = None) -> Connection:
     """Joins all groups by light paths. strategy 'single' grows one group alone, for comparison.
 
     The first two groups to meet form the connected part; each further group joins where its distance to a
     vertex of that part, or to another group's reach, is least. A group stops when no open vertex can give a lighter path.
+    Each round expands vertices of the budget or refuses children of one, so rounds end. Where more trees or paths are tied than max_trees,
+    `capped` says so.
     """
     s = Search(g, seeds, liked, budget, w_query, w_default, edges, strategy)
+    try:
+        return _connected(s, seeds, strategy, max_trees)
+    finally:
+        s.close()
+
+
+def _connected(s: Search, seeds: DataFrame, strategy: str, max_trees: int) -> Connection:
     out = Connection(False)
     if len(s.groups) < 2:
         return out
@@ -196,7 +210,7 @@ def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 10
     joined: set[int] = set()
     paths: list[list[frozenset]] = []
     active = list(s.groups)
-    for _ in range(max_rounds):
+    while True:
         levels = s.open_levels(active if strategy == "both" else active[:1])
         best = _best(s, joined, part)
         if best is not None:
@@ -228,17 +242,21 @@ def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 10
         return out
     found: dict[frozenset, int] = {}
     own_seeds = {r.vertex for r in seeds.select("vertex").collect()}  # k for each literal
-    for combo in itertools.islice(itertools.product(*paths), max_trees * 5):
+    cut: list = []
+    for n, combo in enumerate(itertools.product(*paths)):
+        if n == max_trees * 5:
+            cut.append(n)
+            break
         edges_ = {e for c in combo for e in c}
         keep = {v for e in edges_ for v in (e[0], e[2])}
         induced = _induced(s, keep) | edges_
         terminals = keep & own_seeds
-        for t in trees.spanning_trees(sorted(induced), max_trees):
+        for t in trees.spanning_trees(sorted(induced), max_trees, cut):
             t = trees.prune(t, terminals)
             found[t] = trees.cost(t)
     least = min(found.values())
     best_trees = sorted((sorted(t) for t, c in found.items() if c == least))
-    out.capped = len(best_trees) > max_trees
+    out.capped = len(best_trees) > max_trees or bool(cut) or s.cut
     out.trees = [frozenset(t) for t in best_trees[:max_trees]]
     out.found, out.cost = True, least
     out.terminals = sorted({v for t in out.trees for e in t for v in (e[0], e[2])} & own_seeds)
@@ -268,11 +286,14 @@ def _bound(levels: dict[int, int], joined: set[int], groups: tuple, strategy: st
     return order[0] + order[1] if len(order) > 1 else 1 << 30
 
 
-def _walks(rows: dict, group: int, v: str, most: int) -> list[frozenset]:
-    """The edge sets of all lightest paths from a group's seeds to v."""
+def _walks(s: Search, rows: dict, group: int, v: str, most: int) -> list[frozenset]:
+    """The edge sets of all lightest paths from a group's seeds to v; of more than `most` the search is marked as cut."""
     out: list[frozenset] = []
     stack: list[tuple[str, frozenset]] = [(v, frozenset())]
-    while stack and len(out) < most:
+    while stack:
+        if len(out) == most:
+            s.cut = True
+            break
         at, edges = stack.pop()
         parents = rows.get((group, at), [])
         if not parents:
@@ -296,21 +317,22 @@ def _paths(s: Search, best, part: set[str], most: int) -> list[frozenset]:
     if kind == "meet":
         a = r.where(F.col("group_id") == groups[0]).select("vertex", F.col("dist").alias("da"), F.col("parents").alias("pa"))
         b = r.where(F.col("group_id") == groups[1]).select("vertex", F.col("dist").alias("db"), F.col("parents").alias("pb"))
-        spots = a.join(b, "vertex").where(F.col("da") + F.col("db") == cost).orderBy("vertex").limit(most).collect()
+        spots = a.join(b, "vertex").where(F.col("da") + F.col("db") == cost).orderBy("vertex").limit(most + 1).collect()
     else:
-        spots = r.where((F.col("group_id") == groups[0]) & F.col("vertex").isin(*sorted(part)) & (F.col("dist") == cost)).orderBy("vertex").limit(most).collect()
+        spots = r.where((F.col("group_id") == groups[0]) & F.col("vertex").isin(*sorted(part)) & (F.col("dist") == cost)).orderBy("vertex").limit(most + 1).collect()
     rows = {(x.group_id, x.vertex): x.parents for x in held}
     out: dict[frozenset, None] = {}
-    for x in spots:
+    for x in spots[:most]:
         if kind == "meet":
             rows |= {(groups[0], x.vertex): x.pa, (groups[1], x.vertex): x.pb}
-            for left in _walks(rows, groups[0], x.vertex, most):
-                for right in _walks(rows, groups[1], x.vertex, most):
+            for left in _walks(s, rows, groups[0], x.vertex, most):
+                for right in _walks(s, rows, groups[1], x.vertex, most):
                     out.setdefault(_weighted(s, left | right))
         else:
             rows |= {(groups[0], x.vertex): x.parents}
-            for left in _walks(rows, groups[0], x.vertex, most):
+            for left in _walks(s, rows, groups[0], x.vertex, most):
                 out.setdefault(_weighted(s, left))
+    s.cut |= len(spots) > most or len(out) > most
     return list(out)[:most]
 
 
@@ -330,6 +352,17 @@ def relax(g: Graph, q: SelectQuery, liked: list[str] | None = None, c: Cache | N
     return made, [trees.tree_to_query(t, {v for v in made.terminals if v.startswith('"')}, q) for t in made.trees]
 
 
+def suggest_shapes(g: Graph, q: SelectQuery, found: list[SelectQuery], cost: int | None = None) -> DataFrame:
+    """Relaxed queries as suggestions, in the columns of suggest_terms(): old and new are the queries' texts, similarity is the inverse of the
+    tree's cost. All are counted by one plan; those without answers are left out. found: at most max_trees queries."""
+    rows = g.spark.createDataFrame([(-1 - i, "structure", -1, "", text_of(q), text_of(x), 1.0 / (cost or 1)) for i, x in enumerate(found)], "alt_id int, kind string, pattern_no int, position string, old string, new string, similarity double")
+    counts = [plan.run(g, x).agg(F.count("*").alias("n_answers")).select(F.lit(-1 - i).alias("alt_id"), "n_answers") for i, x in enumerate(found)]
+    if not counts:
+        return rows.select("*", F.lit(0).cast("long").alias("n_answers"), F.lit(0).alias("rank"))
+    counted = rows.join(reduce(DataFrame.unionByName, counts).where("n_answers > 0"), "alt_id")
+    return counted.withColumn("rank", F.row_number().over(Window.orderBy(F.desc("n_answers"), "new")))  # at most max_trees rows
+
+
 def store_edges(g: Graph, table: str, buckets: int = 32) -> DataFrame:
     """The edge table bucketed and sorted by vertex, so that an expansion reads the buckets of its vertices alone."""
     e = g.edges().select(F.when(F.col("v_kind") == "literal", F.concat(F.lit('"'), F.col("v"))).otherwise(F.col("v")).alias("v"), "p", F.when(F.col("u_kind") == "literal", F.concat(F.lit('"'), F.col("u"))).otherwise(F.col("u")).alias("u"), "forward")

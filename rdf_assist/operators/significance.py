@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .harvest import cacheable
-from .mapping import Graph
+from .harvest import LOG, MAX_CLASSES, EndpointCost, accepted_classes, bounded, cacheable, class_tree, fetch, types, walk
+from .mapping import Graph, class_closure, class_hierarchy
 
 
 def _sides(g: Graph, schema_edges: bool, **kw) -> tuple[DataFrame, DataFrame]:
@@ -18,8 +18,8 @@ def _sides(g: Graph, schema_edges: bool, **kw) -> tuple[DataFrame, DataFrame]:
 def significance(g: Graph, mode: str = "exact", schema_edges: bool = True, lgk: int = 12, **kw) -> DataFrame:
     """(lit, score) of every cacheable literal; literals that nothing points at score 0.
 
-    exact: distinct (entity, subject) pairs meet the literals and distinct subjects are counted; a pair
-    is counted once before the join, and skewed entities are split by adaptive execution.
+    exact: distinct (entity, subject) pairs meet the literals and distinct subjects are counted. The join is an inner one with
+    the pairs on its left, so the rows of a popular entity can be split by adaptive execution; literals that met nothing are added afterwards.
     hll: each entity's subjects become one sketch before the join, so a popular entity joins as one row.
     indegree: sums of in-degrees, an upper bound that is exact where a literal belongs to one entity.
     """
@@ -31,17 +31,38 @@ def significance(g: Graph, mode: str = "exact", schema_edges: bool = True, lgk:
         sketches = links.groupBy("e").agg(F.hll_sketch_agg("s", lgk).alias("k"))
         merged = carried.join(sketches, "e", "left").groupBy("lit").agg(F.hll_union_agg("k").alias("k"))
         return merged.select("lit", F.coalesce(F.hll_sketch_estimate("k"), F.lit(0)).cast("long").alias("score"))
-    pairs = links.distinct()
-    return carried.join(pairs, "e", "left").groupBy("lit").agg(F.countDistinct("s").alias("score"))
+    return _exact(links.distinct(), carried)
+
+
+def _exact(pairs: DataFrame, carried: DataFrame) -> DataFrame:
+    met = pairs.join(carried, "e").groupBy("lit").agg(F.countDistinct("s").alias("score"))
+    return carried.select("lit").distinct().join(met, "lit", "left").select("lit", F.coalesce("score", F.lit(0)).cast("long").alias("score"))
 
 
 def restricted(g: Graph, log: DataFrame) -> DataFrame:
     """Scores of the literals that a harvest log's accepted queries return, as issued class by class."""
-    from .harvest import fetch
-
     return significance(g).join(fetch(g, log).select("lit").distinct(), "lit", "left_semi")
 
 
+def plan_significance(g: Graph, cost: EndpointCost, max_queries: int | None = None, schema_edges: bool = False) -> DataFrame:
+    """The log (harvest.LOG) of asking for scores class by class from the roots: a query over a class returns a row for each distinct
+    (entity, subject) pair whose entity is of the class or a subclass, and a class whose query fails is asked for child by child."""
+    links, _ = _sides(g, schema_edges)
+    closure = class_closure(class_hierarchy(g.spark)).select("c", "anc")
+    own = links.distinct().join(types(g).withColumnRenamed("s", "e"), "e").groupBy("c").count()
+    up = own.join(F.broadcast(closure), "c").groupBy(F.col("anc").alias("c")).agg(F.sum("count").alias("n_all"), F.sum(F.when(F.col("c") == F.col("anc"), F.col("count")).otherwise(0)).alias("n_direct"))
+    sizes = {("significance", r.c): (r.n_all, r.n_direct) for r in bounded(up, MAX_CLASSES)}
+    roots, children = class_tree(g)
+    return g.spark.createDataFrame(walk(sizes, ["significance"], children, roots, cost, max_queries), LOG)
+
+
+def walked(g: Graph, log: DataFrame, schema_edges: bool = False, **kw) -> DataFrame:
+    """(lit, score) over the entities of the classes that a log of plan_significance() accepted: what the endpoint's limits leave of the scores."""
+    links, carried = _sides(g, schema_edges, **kw)
+    kinds = types(g).select(F.col("s").alias("e"), "c").join(F.broadcast(accepted_classes(g, log).select("c").distinct()), "c", "left_semi")  # classes
+    return _exact(links.distinct(), carried.join(kinds, "e", "left_semi"))
+
+
 def select_significant(scores: DataFrame, m: int = 40_000) -> DataFrame:
     """(lit, score) of the m most significant literals; ties by text."""
     return scores.orderBy(F.desc("score"), "lit").limit(m)

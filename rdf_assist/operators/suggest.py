@@ -76,10 +76,37 @@ ALTERNATIVES = "alt_id int, pattern_no int, position string, old string, new str
 
 def alternatives(g: Graph, c: Cache, q: SelectQuery, most: int = 50, **kw) -> DataFrame:
     """ALTERNATIVES of every place, the most similar first; at most `most` for each term."""
-    terms = query_terms(g, q)
+    return _numbered(g, _similar(g, c, q, most, **kw)[0])
+
+
+def _similar(g: Graph, c: Cache, q: SelectQuery, most: int, **kw) -> tuple[list[tuple], list[tuple]]:
+    """(alternatives as rows, and of each term that has more than `most` the last that is among them)."""
+    lost = hopeless(g, q)
+    open_ = [(i, pos) for i in range(len(q.patterns)) for pos in "spo" if lost <= {i} and (pos == "p" or i not in lost)]
+    if not open_:
+        return [], []
+    wanted = g.spark.createDataFrame(open_, "pattern_no int, position string")
+    terms = query_terms(g, q).join(F.broadcast(wanted), ["pattern_no", "position"], "left_semi")  # a query's constants
     kinds = {"predicate": predicate_alternatives(g, terms, theta=kw.get("theta", 0.7)), "literal": literal_alternatives(terms, c, **kw)}
-    found = [top_k(df, most).join(terms.where(F.col("kind") == kind), "term") for kind, df in kinds.items()]
-    rows = sorted((r.pattern_no, r.position, -r.similarity, r.alternative, r.term) for df in found for r in df.collect())  # most x constants
+    found = [top_k(df, most + 1).join(terms.where(F.col("kind") == kind), "term") for kind, df in kinds.items()]
+    rows = [r for df in found for r in df.collect()]  # most x constants
+    key = lambda r: (r.pattern_no, r.position, -r.similarity, r.alternative, r.term)
+    last = [key(r) for r in rows if r["rank"] == most and any(x["rank"] > most and (x.pattern_no, x.position) == (r.pattern_no, r.position) for x in rows)]
+    return sorted(key(r) for r in rows if r["rank"] <= most), last
+
+
+def hopeless(g: Graph, q: SelectQuery) -> set[int]:
+    """Patterns that no data can match whatever their constant: a literal where the predicate has entities alone, or the other way round."""
+    out = set()
+    for i, p in enumerate(q.patterns):
+        if p.p.kind == "iri" and p.o.kind != "var":
+            kinds = {e.facts[p.p.value].kind for e in g.entities if p.p.value in e.facts}
+            if kinds and p.o.kind not in kinds:
+                out.add(i)
+    return out
+
+
+def _numbered(g: Graph, rows: list[tuple]) -> DataFrame:
     return g.spark.createDataFrame([(n, i, pos, old, new, -s) for n, (i, pos, s, new, old) in enumerate(rows)], ALTERNATIVES)
 
 
@@ -119,11 +146,29 @@ def batch_counts(g: Graph, q: SelectQuery, alts: DataFrame) -> DataFrame:
 def suggest_terms(g: Graph, c: Cache, q: SelectQuery, k: int = 10, refill: bool = False, **kw) -> DataFrame:
     """Suggestions with answers: the k / 2 most similar on the side of predicates and on that of literals.
 
+    Alternatives are counted from the most similar on. If a side has too few with answers, or one that was not yet counted could be
+    among the best, more of them are counted, so no alternative with answers is passed over.
+    Places where no other constant can help, since another pattern can have no match, are left out.
     alt_id, kind, pattern_no, position, old, new, similarity, n_answers, rank. With refill a side that has
     fewer leaves its places to the other.
     """
-    alts = alternatives(g, c, q, **kw)
-    found = alts.join(batch_counts(g, q, alts), "alt_id").withColumn("kind", F.when(F.col("position") == "p", "predicate").otherwise("literal"))
+    most = kw.pop("most", 50)
+    while True:
+        rows, last = _similar(g, c, q, most, **kw)
+        alts = _numbered(g, rows)
+        counts = batch_counts(g, q, alts)
+        if not last:
+            break
+        counts = g.spark.createDataFrame(counts.collect(), "alt_id int, n_answers long")  # at most most x constants
+        have = {r.alt_id for r in counts.collect()}
+        enough = True
+        for side in (True, False):
+            best = sorted(((r[2], r[3]) for n, r in enumerate(rows) if n in have and (r[1] == "p") == side))[: k if refill else k // 2]
+            enough &= all(len(best) == (k if refill else k // 2) and best[-1] <= (x[2], x[3]) for x in last if (x[1] == "p") == side)
+        if enough:
+            break
+        most *= 8
+    found = alts.join(counts, "alt_id").withColumn("kind", F.when(F.col("position") == "p", "predicate").otherwise("literal"))
     order = Window.partitionBy("kind").orderBy(F.desc("similarity"), "new", "alt_id")
     ranked = found.withColumn("rank", F.row_number().over(order))
     if refill:
@@ -137,6 +182,8 @@ def suggest_terms(g: Graph, c: Cache, q: SelectQuery, k: int = 10, refill: bool
 def prefetch(g: Graph, q: SelectQuery, suggestions: DataFrame) -> DataFrame:
     """The answers of suggested queries by alt_id, for display on acceptance."""
     places = sorted({(r.pattern_no, r.position) for r in suggestions.select("pattern_no", "position").distinct().collect()})
+    if not places:
+        return g.spark.createDataFrame([], "alt_id int")
     parts = [with_alternatives(g, q, i, pos, suggestions.where((F.col("pattern_no") == i) & (F.col("position") == pos)).select("alt_id", "new")) for i, pos in places]
     names = [v for v in (q.variables or q.all_variables())]
     return reduce(lambda a, b: a.unionByName(b, allowMissingColumns=True), [p.select("alt_id", *[v for v in names if v in p.columns]) for p in parts])
@@ -144,4 +191,6 @@ def prefetch(g: Graph, q: SelectQuery, suggestions: DataFrame) -> DataFrame:
 
 def describe(suggestions: DataFrame) -> DataFrame:
     """A sentence for each suggestion."""
-    return suggestions.withColumn("text", F.format_string("Use the %s \"%s\" in place of \"%s\": %d answers", "kind", "new", "old", "n_answers"))
+    term = F.format_string("Use the %s \"%s\" in place of \"%s\": %d answers", "kind", "new", "old", "n_answers")
+    shape = F.format_string("Ask %s instead: %d answers", "new", "n_answers")
+    return suggestions.withColumn("text", F.when(F.col("kind") == "structure", shape).otherwise(term))

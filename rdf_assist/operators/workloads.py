@@ -52,19 +52,34 @@ def w3(spark: SparkSession, sf_dir: str, word: str = "99") -> DataFrame:
     return answers.sort(answers.search(plan.run(g, q), word), "n")
 
 
+def study_deal(spark: SparkSession) -> DataFrame:
+    """(participant, category, slot, qid, warm_up, first_system): 16 participants with 4 easy, 3 medium and 3 difficult of 27 questions, 9 of each kind.
+
+    A participant's questions of a kind are every second one, in a round, from a place that differs by participant. The first easy one is the
+    warm-up, whose data is dropped; the system used first alternates from question to question.
+    """
+    p, c, j = F.col("participant"), F.col("category"), F.col("slot")
+    people = spark.range(16).withColumnRenamed("id", "participant")
+    kinds = people.withColumn("category", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(2).cast("long"))))
+    slots = kinds.withColumn("slot", F.explode(F.sequence(F.lit(0).cast("long"), F.when(c == 0, 3).otherwise(2).cast("long"))))
+    return slots.select("participant", "category", "slot", (9 * c + F.pmod(7 * p + 2 * j + c, F.lit(9))).alias("qid"), ((c == 0) & (j == 0)).alias("warm_up"), F.pmod(j + c, F.lit(2)).alias("first_system"))
+
+
 def participant_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A study log read from events: it exercises the measures and is no evidence about people.
 
-    Participant, question, system and outcome follow fixed rules of user, props, event id and type.
+    Participant, question, system and outcome follow fixed rules of user, props, event id and type; what is kept is a participant's work on
+    the questions dealt to them, without the warm-up.
     """
     e = load(spark, sf_dir, "events")
     k = F.get_json_object("props", "$.k").cast("long")
+    dealt = study_deal(spark).where("NOT warm_up").select("participant", "qid")
     return e.select(
-        F.pmod("event_id", F.lit(2)).alias("system"), F.pmod("user_id", F.lit(16)).alias("participant"), F.pmod(k, F.lit(27)).alias("qid"), F.pmod(k, F.lit(27)).alias("_q"),
+        F.pmod("event_id", F.lit(2)).alias("system"), F.pmod("user_id", F.lit(16)).alias("participant"), F.pmod(k, F.lit(27)).alias("qid"),
         "event_id", "ts", (F.col("event_type") == "click").alias("click"),
         F.when(F.col("event_type") == "purchase", "success").when(F.col("event_type") == "error", "gave_up").alias("outcome"), F.col("value").alias("seconds"),
         F.when(F.col("event_type") == "view", "structure").when(F.col("event_type") == "signup", "literal").when((F.col("event_type") == "click") & (F.pmod("event_id", F.lit(5)) == 0), "predicate").alias("accepted"),
-    ).withColumn("category", F.pmod("_q", F.lit(3))).drop("_q")
+    ).withColumn("category", F.floor(F.col("qid") / 9)).join(F.broadcast(dealt), ["participant", "qid"], "left_semi")
 
 
 @dataclass(frozen=True)
@@ -114,18 +129,15 @@ def questions(n: int = 50) -> list[Question]:
     return out[:n]
 
 
-def gold(g: Graph, qs: list[Question]) -> DataFrame:
-    """(qid, gold): the sorted answers of the right queries."""
-    parts = None
-    for q in qs:
-        df = plan.run(g, parse(q.gold))
-        one = df.select(F.lit(q.qid).alias("qid"), F.col(df.columns[0]).alias("answer"))
-        parts = one if parts is None else parts.unionByName(one)
-    return answers_of(parts).withColumnRenamed("answers", "gold")
+def paraphrases(q: Question) -> list[str]:
+    """Up to three ways to put a question, all with its own terms: as it is, the other way round, and as a sentence."""
+    words = q.phrase.split(" ")
+    return [q.phrase, " ".join(reversed(words)), f"which {q.phrase} are there"]
 
 
-def answers_of(df: DataFrame) -> DataFrame:
-    return df.groupBy("qid").agg(F.sort_array(F.collect_set("answer")).alias("answers"))
+def gold(g: Graph, qs: list[Question]) -> DataFrame:
+    """(qid, answer): the answers of the right queries, a plan for each shape of query."""
+    return plan.run_many(g, [(q.qid, parse(q.gold)) for q in qs])
 
 
 def typed_prefixes(spark: SparkSession, sf_dir: str, least: int = 3, most: int = 8) -> DataFrame:

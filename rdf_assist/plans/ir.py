@@ -122,6 +122,19 @@ class SelectQuery:
         return list(dict.fromkeys(t.value for _, _, t in self.constants() if t.kind == "literal"))
 
 
+def text_of(q: SelectQuery) -> str:
+    """A query of plain patterns as text that parse() reads."""
+
+    def term(t: Term) -> str:
+        if t.kind == "literal":
+            plain = t.value.replace("\\", "\\\\").replace('"', '\\"')
+            return t.value if t.dtype in ("integer", "double") else f'"{plain}"'
+        return f"?{t.value}" if t.kind == "var" else f"<{t.value}>"
+
+    names = " ".join(f"?{v}" for v in q.variables) or "*"
+    return f"SELECT {'DISTINCT ' if q.distinct else ''}{names} WHERE {{ {' . '.join(' '.join(map(term, (p.s, p.p, p.o))) for p in q.patterns)} }}"
+
+
 def validate(q: SelectQuery) -> list[str]:
     """What keeps a query from running; empty if nothing does."""
     out = []

@@ -67,9 +67,22 @@ def within(left: DataFrame, right: DataFrame, by: str, seconds: int) -> DataFram
     return a.join(b, [by, "slot"]).where(near).select(by, "left_id", "right_id")
 
 
-def sink(df: DataFrame, name: str, mode: str, checkpoint: str) -> None:
-    """Runs a stream over what there is, into an in-memory table of that name."""
-    df.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+def sink(df: DataFrame, out: str, mode: str, checkpoint: str) -> DataFrame:
+    """Runs a stream over what there is, into the Parquet folder out: append adds each batch, complete replaces what was there. Gives the folder's rows.
+
+    A batch that is run again after a failure writes its own folder again and adds nothing twice.
+    """
+
+    def run(batch: DataFrame, n: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/all" if mode == "complete" else f"{out}/batch={n}")
+
+    df.writeStream.foreachBatch(run).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    spark = df.sparkSession
+    return spark.read.schema(df.schema).parquet(f"{out}/all") if mode == "complete" else spark.read.schema(f"{ddl(df)}, batch long").option("basePath", out).parquet(out).select(df.columns)
+
+
+def ddl(df: DataFrame) -> str:
+    return ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.schema)
 
 
 def each_batch(df: DataFrame, f: Callable[[DataFrame, int], None], checkpoint: str) -> None:

@@ -165,3 +165,34 @@ def test_short_texts_in_a_batch(spark):
     for t in texts:
         assert sorted(got.get(t, [])) == sorted((r.rank, r.term, r.origin) for r in complete.complete(c, t).collect()), t
     assert complete.hit_ratio(c, spark.createDataFrame([("a",), ("q",)], "t string")).first()[:2] == (2, 1)
+
+
+def test_batch_is_many_singles(spark, star):
+    """Texts of one to eight characters, in one batch and one by one."""
+    c = index.build_cache(star, 60)
+    texts = ["b", "bl", "blu", "blue", "c", "cu", "custo", "customer", "r#000000", "zzz", "0", "NA", "?x", ""]
+    typed = spark.createDataFrame([(t,) for t in texts], "t string")
+    got = {}
+    for r in complete.complete_batch(c, typed).collect():
+        got.setdefault(r.t, []).append((r["rank"], r.term, r.origin))
+    for t in texts:
+        assert sorted(got.get(t, [])) == sorted((r["rank"], r.term, r.origin) for r in complete.complete_lazy(c, t).collect()), t
+
+
+def test_long_bins_are_dealt_out(spark):
+    rows = [(f"{'x' * (n - 6)}{i:06d}", 0, n) for n, many in ((10, 50), (20, 4000), (30, 300)) for i in range(many)]
+    residual = spark.createDataFrame(rows, "lit string, score long, lit_len int")
+    tasks, placed = index.place(residual, 500)
+    sizes = {(r.lit_len, r.slice): r["count"] for r in placed.groupBy("lit_len", "slice").count().collect()}
+    assert tasks == 9 and sum(sizes.values()) == len(rows)
+    assert sum(n == 20 for n, _ in sizes) >= 8 and max(sizes.values()) < 700
+
+
+def test_suggestions_do_not_depend_on_how_many_are_counted_first(spark, star):
+    from rdf_assist.operators import suggest
+    from rdf_assist.plans.parse import parse
+
+    c = index.build_cache(star, 60)
+    q = parse('SELECT ?c WHERE { ?c name "Customer#000000099x" ; marketSegment "BUILDING" }')
+    want = [tuple(r) for r in suggest.suggest_terms(star, c, q).select("kind", "new", "n_answers", "rank").orderBy("kind", "rank").collect()]
+    assert want and want == [tuple(r) for r in suggest.suggest_terms(star, c, q, most=2).select("kind", "new", "n_answers", "rank").orderBy("kind", "rank").collect()]

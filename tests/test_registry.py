@@ -11,8 +11,6 @@ from rdf_assist.queries import ALL
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 KINDS = {"bigint": "BIGINT", "string": "VARCHAR", "double": "DOUBLE", "boolean": "BOOLEAN", "int": "INTEGER"}
-#: With so few literals all are indexed: no residual rows to deal out or skip, and no share of them.
-EMPTY_BINS = {"slice_balance", "bins_elimination"}
 SQL = oracles.oracle_sql()
 
 
@@ -24,7 +22,7 @@ def duck(tiny):
     return con
 
 
-@pytest.mark.parametrize("name", sorted(set(SQL) - EMPTY_BINS))
+@pytest.mark.parametrize("name", sorted(SQL))
 def test_sql(spark, tiny, duck, name):
     df = ALL[name](spark, tiny)
     columns = sorted(df.columns)
