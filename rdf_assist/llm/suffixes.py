@@ -163,7 +163,7 @@ def _units(batches):
 
 
 def dictionary_blobs(batches, parts: int, span: int, gram: int):
-    """Each unit's distinct phrases as blobs by trigger, with a place and the least and the greatest document that has them."""
+    """Each unit's distinct phrases as blobs by trigger, with a place, the least document that has them and how far the greatest is beyond it."""
     found: list[list[np.ndarray]] = []
     size = 0
     for unit, doc, tag, raws in _units(batches):
@@ -176,7 +176,9 @@ def dictionary_blobs(batches, parts: int, span: int, gram: int):
             continue
         at = order[first]
         last = order[np.r_[first[1:], len(order)] - 1]
-        found.append([*[k[first] for k in key], np.full(len(at), unit), own[at], tag[p["row"][at]].astype(np.uint32), p["lo"][at].astype(np.uint32), p["more"][at], p["off"][at], own[last]])
+        read = np.argsort(at)  # as the texts have them: documents and places then rise, and take little room
+        at, last, first = at[read], last[read], first[read]
+        found.append([*[k[first] for k in key], np.full(len(at), unit), own[at], tag[p["row"][at]].astype(np.uint32), p["lo"][at].astype(np.uint32), p["more"][at], p["off"][at], own[last] - own[at]])
         size += len(at)
         if size > 400_000:
             yield from _dealt(found, parts)
@@ -200,7 +202,8 @@ def _rows_of(kind: int, part: np.ndarray, columns) -> list[tuple]:
 
 def ordered_phrases(frame, dparts: int, span: int, hot: int):
     """(kind, part, n, blob). Kind 0: phrases of a unit that a smaller document has too, which goes with them. Kind 1: phrases to fetch."""
-    trigger, whole, second, unit, doc, tag, lo, more, off, most = unblob(frame["blob"])
+    trigger, whole, second, unit, doc, tag, lo, more, off, beyond = unblob(frame["blob"])
+    most = doc + beyond
     order = np.lexsort((doc, second, whole, trigger))
     trigger, whole, second, unit, doc, tag, lo, more, off, most = (x[order] for x in (trigger, whole, second, unit, doc, tag, lo, more, off, most))
     new_trigger = starts(trigger)
@@ -443,14 +446,17 @@ def without_repeats(docs: DataFrame) -> DataFrame:
     Rows that lose nothing keep their text as it is, null or not. Rows of one doc_id each keep their row: which of them a
     text belongs to is told by their order of text. Rows without an id pass as they are, as do all other columns, whatever their names.
     """
-    cut = remove_repeats(docs).where("n_removed > 0").select(F.col("doc_id").alias("d"), F.col("tag").alias("t"), "kept")
+    cut = durable(remove_repeats(docs).where("n_removed > 0").select(F.col("doc_id").alias("d"), F.col("tag").alias("t"), "kept"))
     row = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r")
-    held = docs.where("doc_id is not null").select(row)
-    d = F.col("r.doc_id").cast("long")
-    alone = held.join(cut.groupBy("d").agg(F.count("*").alias("n")), d == F.col("d"), "left_semi")
-    again = alone.select("r", d.alias("d0"), (F.row_number().over(Window.partitionBy(d).orderBy(F.col("r.text").cast("string"))) - 1).alias("t0"))
-    changed = again.join(cut, (F.col("d0") == F.col("d")) & (F.col("t0") == F.col("t")), "left").select("r", "kept")
-    whole = held.join(cut.select("d").distinct(), d == F.col("d"), "left_anti").select("r", F.lit(None).cast("string").alias("kept"))
+    held = docs.where("doc_id is not null").select(row, F.col("doc_id").cast("long").alias("d"))
+    twice = docs.select(F.col("doc_id").cast("long").alias("d")).where("d is not null").groupBy("d").count().where("count > 1").select("d")
+    if twice.isEmpty():
+        changed = held.join(cut.drop("t"), "d", "left").select("r", "kept")
+    else:
+        number = F.row_number().over(Window.partitionBy("d").orderBy(F.col("r.text").cast("string"))) - 1
+        again = held.join(twice, "d", "left_semi").select("r", "d", number.alias("t"))
+        single = held.join(twice, "d", "left_anti").select("r", "d", F.lit(0).alias("t"))
+        changed = single.unionByName(again).join(cut, ["d", "t"], "left").select("r", "kept")
     out = []
     for c in docs.columns:
         own = F.col("r").getField(c)
@@ -459,4 +465,4 @@ def without_repeats(docs: DataFrame) -> DataFrame:
         if c == "n_chars":
             own = F.when(F.col("kept").isNotNull(), F.length("kept").cast(docs.schema["n_chars"].dataType)).otherwise(own)
         out.append(own.alias(c))
-    return changed.unionByName(whole).select(out).unionByName(docs.where("doc_id is null"))
+    return changed.select(out).unionByName(docs.where("doc_id is null"))
