@@ -260,19 +260,44 @@ def forest(a: np.ndarray, b: np.ndarray) -> list[tuple[int, int]]:
 
 
 def grouped_sets(batches, shingle: int):
-    """(part, root, id, hashes) of the texts whose shingle set is the one asked for."""
+    """(part, root, block, id, hashes) of the texts whose shingle set is the one asked for."""
     for b in batches:
         rows = []
-        for text, name, root, part in zip(*(b.column(c).to_pylist() for c in ("text", "id", "root", "part")), strict=True):
+        for text, name, root, block, part in zip(*(b.column(c).to_pylist() for c in ("text", "id", "root", "block", "part")), strict=True):
             found = shingle_set(text, shingle)
             if set_name(found) == name:
-                rows.append((part, root, name, found.tobytes()))
-        cols = list(zip(*rows, strict=True)) or [[]] * 4
-        yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(cols, (pa.int32(), pa.binary(), pa.binary(), pa.binary()), strict=True)], ["part", "root", "id", "hashes"])
+                rows.append((part, root, block, name, found.tobytes()))
+        cols = list(zip(*rows, strict=True)) or [[]] * 5
+        yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(cols, (pa.int32(), pa.binary(), pa.int64(), pa.binary(), pa.binary()), strict=True)], ["part", "root", "block", "id", "hashes"])
+
+
+class Sets:
+    """Shingle sets side by side, each of which can be compared with all that are still in."""
+
+    def __init__(self, hashes, similarity: float):
+        self.sets = [np.frombuffer(x, np.uint64) for x in hashes]
+        self.size = np.array([len(x) for x in self.sets], np.int64)
+        self.flat = np.concatenate(self.sets) if self.sets else np.zeros(0, np.uint64)
+        self.owner = np.repeat(np.arange(len(self.sets)), self.size)
+        self.inside = np.ones(len(self.sets), bool)
+        self.similarity = similarity
+
+    def leave(self, out) -> None:
+        self.inside[out] = False
+        keep = self.inside[self.owner]
+        self.flat, self.owner = self.flat[keep], self.owner[keep]
+
+    def near(self, own: np.ndarray) -> np.ndarray:
+        """The sets still in that have the similarity or more to one; a set without hashes is near none."""
+        if not len(own) or not len(self.flat):
+            return np.zeros(0, np.int64)
+        place = np.minimum(np.searchsorted(own, self.flat), len(own) - 1)
+        common = np.bincount(self.owner[own[place] == self.flat], minlength=len(self.sets))
+        return np.flatnonzero(self.inside & (common >= self.similarity * (self.size + len(own) - common) - 1e-9))
 
 
 def exact_groups(frame, similarity: float):
-    """(id, root): within each loose group, what pairs at an exact Jaccard of `similarity` or more connect.
+    """(id, seed): within each block of a loose group, what pairs at an exact Jaccard of `similarity` or more connect.
 
     Breadth first: what is connected already is only compared with what is not, so no pair that could
     join two groups is left out.
@@ -280,36 +305,64 @@ def exact_groups(frame, similarity: float):
     import pandas as pd
 
     out = []
-    for _, part in frame.groupby("root", sort=False):
+    for _, part in frame.groupby(["root", "block"], sort=False):
         part = part.drop_duplicates("id").sort_values("id")
         ids = part["id"].tolist()
-        sets = [np.frombuffer(x, np.uint64) for x in part["hashes"]]
-        size = np.array([len(x) for x in sets], np.int64)
-        flat, owner = np.concatenate(sets), np.repeat(np.arange(len(sets)), size)
-        rest = np.ones(len(sets), bool)
-        for seed in range(len(sets)):
-            if not rest[seed]:
+        sets = Sets(part["hashes"], similarity)
+        for seed in range(len(ids)):
+            if not sets.inside[seed]:
                 continue
-            rest[seed] = False
+            sets.leave([seed])
             queue = [seed]
             out.append((ids[seed], ids[seed]))
-            keep = rest[owner]
-            flat, owner = flat[keep], owner[keep]
-            while queue and rest.any():
-                at = queue.pop()
-                if not size[at]:
-                    continue
-                own = sets[at]
-                place = np.minimum(np.searchsorted(own, flat), len(own) - 1)
-                common = np.bincount(owner[own[place] == flat], minlength=len(sets))
-                hit = np.flatnonzero(rest & (common >= similarity * (size + size[at] - common) - 1e-9))
+            while queue and sets.inside.any():
+                hit = sets.near(sets.sets[queue.pop()])
                 if len(hit):
-                    rest[hit] = False
                     out += [(ids[i], ids[seed]) for i in hit.tolist()]
                     queue += hit.tolist()
-                    keep = rest[owner]
-                    flat, owner = flat[keep], owner[keep]
-    return pd.DataFrame(out, columns=["id", "root"])
+                    sets.leave(hit)
+    return pd.DataFrame(out, columns=["id", "seed"])
+
+
+def near_pivot(batches, similarity: float):
+    """(a, b): seeds that are near the pivot of their loose group."""
+    for b in batches:
+        rows = [(i, p) for i, h, p, ph in zip(*(b.column(c).to_pylist() for c in ("id", "hashes", "pivot", "pivot_hashes")), strict=True) if i == p or len(Sets([h], similarity).near(np.frombuffer(ph, np.uint64)))]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.binary()) for i in (0, 1)], ["a", "b"])
+
+
+def cross_links(frame, similarity: float):
+    """(a, b): seeds of members outside the core, and of members of one block that are near them."""
+    import pandas as pd
+
+    out = set()
+    asked, held = frame[frame["asked"]], frame[~frame["asked"]]
+    sets, seeds = Sets(held["hashes"], similarity), held["seed"].tolist()
+    for seed, own in zip(asked["seed"], asked["hashes"], strict=True):
+        out |= {(seed, seeds[i]) for i in sets.near(np.frombuffer(own, np.uint64)).tolist()}
+    return pd.DataFrame(sorted(x for x in out if x[0] != x[1]), columns=["a", "b"])
+
+
+def joined_blocks(sets: DataFrame, local: DataFrame, similarity: float, chunk: int) -> DataFrame:
+    """(a, b): edges between the seeds of the blocks of loose groups that no single task holds; sets and local are those groups' alone.
+
+    The seeds near a group's pivot, its least seed, are its core. A pair of members in two blocks is either in the core, and connected so, or has a
+    member outside it: these are compared with every block of their group, some at a time. So no link is lost, and
+    a group of copies, whose seeds are nearly all in the core, costs one comparison a member.
+    """
+    members = sets.select("root", "block", "id", "hashes").join(local, "id")
+    seeds = members.where("id = seed").select("root", "id", "hashes")
+    pivot = seeds.groupBy("root").agg(F.min("id").alias("pivot"), F.min_by("hashes", "id").alias("pivot_hashes")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    met = seeds.withColumn("salt", F.pmod(F.xxhash64("id"), F.lit(SALTS))).join(pivot, ["root", "salt"])
+    star = durable(met.select("id", "hashes", "pivot", "pivot_hashes").mapInArrow(remote(HERE, "near_pivot", similarity=similarity), "a binary, b binary"))
+    outside = durable(members.join(star.select(F.col("a").alias("seed")), "seed", "left_anti"))
+    chunks = outside.groupBy("root").agg(F.ceil(F.count("*") / chunk).alias("chunks"))
+    blocks = sets.select("root", "block").distinct()
+    asked = outside.join(chunks, "root").withColumn("chunk", F.pmod(F.xxhash64("id"), F.col("chunks"))).drop("block").join(blocks, "root")
+    held = members.join(chunks, "root").withColumn("chunk", F.explode(F.sequence(F.lit(0).cast("long"), F.col("chunks") - 1)))
+    columns = ["root", "block", "chunk", "seed", "hashes"]
+    both = asked.select(*columns, F.lit(True).alias("asked")).unionByName(held.select(*columns, F.lit(False).alias("asked")))
+    return star.unionByName(both.groupBy("root", "block", "chunk").applyInPandas(remote_group(HERE, "cross_links", similarity=similarity), "a binary, b binary"))
 
 
 def text_print():
@@ -317,7 +370,7 @@ def text_print():
     return F.md5(F.coalesce("text", F.lit("")).cast("binary"))
 
 
-def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 18, orders: int = 10, per_bucket: int = 1_000_000) -> DataFrame:
+def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes: int = 4, width: int = 18, orders: int = 10, per_bucket: int = 1_000_000, block_sets: int = 20_000) -> DataFrame:
     """(doc_id, print, first_id, first_print) of every row: the row's component is named by its least doc_id, and by the least print under that id."""
     bits = 64 * lanes
     printed = texts(docs).withColumn("print", text_print())
@@ -331,11 +384,20 @@ def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes
     edges = blob.groupBy("part").applyInPandas(remote_group(HERE, "joined_buckets", most=most), "a binary, b binary")
     loose = durable(components(edges))
     shares = max(1, math.ceil(loose.count() / 5000))
+    large = durable(loose.groupBy("root").agg(F.ceil(F.count("*") / block_sets).alias("blocks")).where("blocks > 1"))
     # one doc_id may have several rows, so the set itself is checked again
-    asked = firsts.where("first is not null").join(loose.withColumnRenamed("node", "id"), "id").select(F.col("first.doc_id").alias("doc_id"), "id", "root", F.pmod(F.xxhash64("root"), F.lit(shares)).cast("int").alias("part"))
-    sets = texts(docs).join(asked, "doc_id").select("text", "id", "root", "part").mapInArrow(remote(HERE, "grouped_sets", shingle=shingle), "part int, root binary, id binary, hashes binary")
-    group = durable(sets.groupBy("part").applyInPandas(remote_group(HERE, "exact_groups", similarity=similarity), "id binary, root binary"))
-    members = group.join(firsts.select("id", "first"), "id")
+    asked = firsts.where("first is not null").join(loose.withColumnRenamed("node", "id"), "id").join(large, "root", "left").select(F.col("first.doc_id").alias("doc_id"), "id", "root", F.pmod(F.xxhash64("id"), F.coalesce("blocks", F.lit(1))).alias("block"))
+    asked = asked.withColumn("part", F.pmod(F.xxhash64("root", "block"), F.lit(shares)).cast("int"))
+    sets = texts(docs).join(asked, "doc_id").select("text", "id", "root", "block", "part").mapInArrow(remote(HERE, "grouped_sets", shingle=shingle), "part int, root binary, block long, id binary, hashes binary")
+    some = not large.isEmpty()
+    if some:
+        sets = durable(sets)
+    group = durable(sets.groupBy("part").applyInPandas(remote_group(HERE, "exact_groups", similarity=similarity), "id binary, seed binary"))
+    if some:
+        wide = sets.join(large, "root", "left_semi").dropDuplicates(["id"])
+        linked = components(joined_blocks(wide, group.join(wide.select("id"), "id", "left_semi"), similarity, block_sets)).withColumnRenamed("node", "seed")
+        group = group.join(linked, "seed", "left").select("id", F.coalesce("root", "seed").alias("seed"))
+    members = group.withColumnRenamed("seed", "root").join(firsts.select("id", "first"), "id")
     salt = F.pmod(F.xxhash64("id"), F.lit(SALTS))
     best = members.groupBy("root").agg(F.min("first").alias("best")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
     named = members.withColumn("salt", salt).join(best, ["root", "salt"]).select("id", "best")
@@ -349,7 +411,8 @@ def similar_groups(docs: DataFrame, **kw) -> DataFrame:
     Candidates come from fingerprints of the distinct shingles, 256 bits, cut into segments of 18 bits in ten orders
     of the bits. Fingerprints that share a segment and differ by no more than the similarity's expected
     distance and three standard deviations make loose groups. Within a loose group every text's shingle
-    set is at hand and exact Jaccard decides; only how candidates are found is an estimate.
+    set is at hand and exact Jaccard decides; only how candidates are found is an estimate. Loose groups of more than block_sets
+    sets are dealt out to blocks (joined_blocks()), so none has to fit a task.
     Rows without words never group here with others than rows without words. Rows without an id do not link others.
     """
     return named_rows(docs, **kw).select("doc_id", F.col("first_id").alias("component_id"))
