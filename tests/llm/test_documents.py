@@ -4,6 +4,7 @@ import collections
 import functools
 import hashlib
 import math
+import os
 import random
 import re
 import zlib
@@ -79,11 +80,13 @@ def test_votes_decide():
     assert quality.fit([])["odds"] == []
 
 
-def test_labels_agree(spark, tiny):
-    labels = spark.read.parquet(f"{tiny}/labels.parquet")
-    found = quality.quality(spark.read.parquet(f"{tiny}/documents.parquet")).join(labels, "doc_id").where("NOT base_failed").collect()
-    assert sum((r["quality"] > 0.5) == r.kept for r in found) == len(found)
-    assert sum(r.kept for r in found) > 0.8 * len(found)
+def test_labels_agree(spark):
+    """The verdict against the quality labels, where the base limits leave it to the posterior: at most 2 in 100 differ."""
+    folder = os.environ.get("TEST_LABEL_DIR", "/root/testdata/sf0.01")
+    labels = spark.read.parquet(f"{folder}/labels.parquet").selectExpr("doc_id", "quality AS label")
+    found = quality.quality(spark.read.parquet(f"{folder}/documents.parquet")).join(labels, "doc_id").where("NOT base_failed").select("kept", "quality", "label").collect()
+    assert len(found) > 100 and all((r["quality"] > 0.5) == r.kept for r in found)
+    assert sum(r.kept != (r.label == 1) for r in found) <= 0.02 * len(found)
 
 
 def _fingerprint(text):
@@ -216,6 +219,28 @@ def test_exact_similarity_decides(spark):
     assert len(near) > 150 and sum(got[2 * i + 1] == 2 * i for i in near) >= 0.97 * len(near)
 
 
+def test_large_loose_groups_in_blocks(spark):
+    """Chains and stars of near copies: dealt to blocks of a few sets they give the groups that one task gives."""
+    random.seed(11)
+    rows = []
+    for base in range(3):
+        text = [f"b{base}w{i}" for i in range(120)]
+        for i in range(30):  # a chain: each differs a little from the one before, its ends by much
+            text = list(text)
+            text[(7 * i) % 120] = f"c{base}x{i}"
+            rows.append((1000 * base + i, " ".join(text)))
+    hub = [f"h{i}" for i in range(150)]
+    for i in range(40):  # a star around one text that is there too
+        own = list(hub)
+        if i:
+            own[(3 * i) % 150] = f"s{i}"
+        rows.append((9000 + i, " ".join(own)))
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = sorted(map(tuple, simhash.similar_groups(frame).collect()))
+    assert len({c for _, c in want}) < 10
+    assert sorted(map(tuple, simhash.similar_groups(frame, block_sets=4).collect())) == want
+
+
 def _cut(rows, span=50):
     least = {}
     for d, t in rows:
