@@ -779,7 +779,7 @@ def _tokens(argb: np.ndarray, image: np.ndarray, cache_bits: np.ndarray, search:
         keep = np.cumsum(step[:total]) == 0
     if cache_bits.any():
         slot = _slots(argb, cache_bits[image])
-        order = _by_image(slot, image)
+        order = _by_image(slot.astype(np.uint16), image)
         order = order[cache_bits[image[order]] > 0]
         last, now = order[:-1], order[1:]
         hit = now[(slot[now] == slot[last]) & (argb[now] == argb[last]) & (image[now] == image[last])]
@@ -789,11 +789,15 @@ def _tokens(argb: np.ndarray, image: np.ndarray, cache_bits: np.ndarray, search:
 
 
 def joint(counts: list[np.ndarray]) -> np.ndarray:
-    """Of each image (a row of counts for each channel), whether its channels are alike enough for one code: then only one has to be made, here and by the reader."""
+    """Of each image (a row of counts for each channel), whether its channels are alike enough for one code: then only one has to be made, here and by the reader.
+
+    A code of their own is worth it if it saves a thirtieth of the bits, with about five for each symbol's place in a code.
+    """
     every = np.stack([*counts, sum(counts)])
-    total = every.sum(axis=2)
+    total, used = every.sum(axis=2), np.count_nonzero(every, axis=2)
     bits = total * np.log2(np.maximum(total, 1)) - (every * np.log2(np.maximum(every, 1))).sum(axis=2)
-    return (np.count_nonzero(every[-1], axis=1) > 2) & (bits[:-1].sum(axis=0) > 0.97 * bits[-1])
+    own, one = (bits[:-1] + 5 * used[:-1]).sum(axis=0), bits[-1] + 5 * len(counts) * used[-1]
+    return (used[-1] > 2) & (own > 0.97 * one)
 
 
 def _coded(images: list[np.ndarray], width: int, cache_bits: list[int], search: bool) -> list[tuple[list[tuple[int, int]], np.ndarray]]:
@@ -934,15 +938,15 @@ def cross_steps(planes: np.ndarray, begin: np.ndarray | None = None) -> np.ndarr
 
 def costs(planes: np.ndarray, image: np.ndarray, many: int) -> np.ndarray:
     """For each of `many` images, whose rows lie one after the other: bits of its channels as literals, with about five for each symbol's place in a code."""
-    lane = (1024 * image)[:, None, None] + 256 * np.arange(4)
-    counts = np.bincount((planes + lane).ravel(), minlength=1024 * many).reshape(many, 4, 256)
+    lane = (1024 * image)[:, None] + np.tile(256 * np.arange(4), planes.shape[1])
+    counts = np.bincount((planes.reshape(len(planes), -1) + lane).ravel(), minlength=1024 * many).reshape(many, 4, 256)
     own = (counts * np.log2(np.maximum(counts, 1))).sum(axis=2)
     n = counts[:, 0].sum(axis=1)[:, None]
     return (n * np.log2(np.maximum(n, 1)) - own + 5 * np.count_nonzero(counts, axis=2)).sum(axis=1)
 
 
 #: What encode_many() chooses from: the name of a transform, and the predictor's mode.
-OPTIONS = [("", 0), ("green", 0), ("cross", 0), ("predictor", 1), ("predictor", 2)]
+OPTIONS = [("", 0), ("cross", 0), ("predictor", 1), ("predictor", 2)]
 
 
 def chosen(planes: np.ndarray, image: np.ndarray, begin: np.ndarray) -> np.ndarray:
@@ -957,8 +961,8 @@ def chosen(planes: np.ndarray, image: np.ndarray, begin: np.ndarray) -> np.ndarr
     above[begin] = left[begin]
     for made in (left, above):
         made[begin, 0] = planes[begin, 0] - np.array([255, 0, 0, 0], np.uint8)
-    made = [planes, green_shift(planes, False), cross_colour(planes, steps, 0, False), left, above]
-    cost = np.stack([costs(x, image, many) for x in made]) + np.array([0, 3, 64, 64, 64])[:, None]  # of the transform's own image
+    made = [planes, cross_colour(planes, steps, 0, False), left, above]
+    cost = np.stack([costs(x, image, many) for x in made]) + np.array([0, 64, 64, 64])[:, None]  # of the transform's own image
     return cost.argmin(axis=0)
 
 
