@@ -2,8 +2,9 @@
 
 Each literal with its alternatives is a group of seeds. Groups grow in turns by shortest distance; a logical
 expansion of a vertex is one query to an endpoint and is charged to the ledger once. Execution is by level: all
-vertices admitted at a distance are expanded by one join, whose broadcast side holds at most `budget` rows.
-What is reached stays a distributed table; only expanded vertices and aggregates come to the driver.
+vertices admitted at a distance are expanded by one scan, for at most `budget` vertices. What is reached is held on the driver as
+long as it is no more than LOCAL_ROWS rows, and a round is one job; beyond that it is a distributed table, of which only
+expanded vertices and aggregates come to the driver. Both ways take the same steps.
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ import itertools
 import re
 from dataclasses import dataclass, field
 from functools import reduce
+from typing import NamedTuple
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -29,6 +31,8 @@ SUBJECTS = {"region": "region", "nation": "nation", "customer": "customer", "ord
 TARGETS = {"region": "region", "nation": "nation", "customer": "customer", "order": "order", "part": "part", "supplier": "supplier", "origin": "origin", "host": "host", "linksTo": "path", "conversation": "conversation", "user": "user", "type": "class", "subClassOf": "class"}
 
 W_QUERY, W_DEFAULT = 1, 2
+#: Rows of what is reached that the driver may hold.
+LOCAL_ROWS = 100_000
 # What a literal that stands for a number or a point in time looks like.
 NUMBER, TIME = re.compile(r"-?\d+(\.\d+)?([eE]-?\d+)?"), re.compile(r"\d{4}-\d\d-\d\d([ T]\d\d:\d\d(:\d\d(\.\d+)?)?)?")
 
@@ -129,6 +133,29 @@ class Search:
         df.write.parquet(path)
         return self.g.spark.read.schema(REACHED).parquet(path)
 
+    def part_levels(self, joined: set[int], part: set[str]) -> dict[int, int]:
+        """How near each group that is not joined yet has come to the connected part."""
+        rows = self.reached.where(F.col("vertex").isin(*sorted(part)) & ~F.col("group_id").isin(*sorted(joined))).groupBy("group_id").agg(F.min("dist").alias("d")).collect()
+        return {r.group_id: r.d for r in rows}
+
+    def parents(self, groups: tuple) -> dict[tuple[int, str], list]:
+        """The parents of expanded vertices."""
+        rows = self.reached.where(F.col("vertex").isin(*sorted(self.expanded)) & F.col("group_id").isin(*groups)).collect()
+        return {(x.group_id, x.vertex): x.parents for x in rows}
+
+    def spots(self, groups: tuple, cost: int, most: int) -> list[tuple]:
+        """(vertex, parents in the one group, parents in the other) where two groups meet at a cost."""
+        a = self.reached.where(F.col("group_id") == groups[0]).select("vertex", F.col("dist").alias("da"), F.col("parents").alias("pa"))
+        b = self.reached.where(F.col("group_id") == groups[1]).select("vertex", F.col("dist").alias("db"), F.col("parents").alias("pb"))
+        return [(x.vertex, x.pa, x.pb) for x in a.join(b, "vertex").where(F.col("da") + F.col("db") == cost).orderBy("vertex").limit(most).collect()]
+
+    def part_spots(self, group: int, part: set[str], cost: int, most: int) -> list[tuple]:
+        rows = self.reached.where((F.col("group_id") == group) & F.col("vertex").isin(*sorted(part)) & (F.col("dist") == cost)).orderBy("vertex").limit(most).collect()
+        return [(x.vertex, x.parents) for x in rows]
+
+    def refusals(self) -> int:
+        return self.reached.where("refused").select("vertex").distinct().count()
+
     def close(self) -> None:
         """Removes the rounds' tables."""
         remove_folder(self.g.spark, self.folder)
@@ -187,7 +214,122 @@ class Search:
         self.reached = self.save(base.select("group_id", "vertex", "dist", "parents", "refused"))
 
 
-def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 100, w_query: int = W_QUERY, w_default: int = W_DEFAULT, strategy: str = "both", max_trees: int = 20, edges: DataFrame | None = None) -> Connection:
+class Parent(NamedTuple):
+    v: str
+    p: str
+    forward: bool
+
+
+class LocalSearch:
+    """The state of a search as long as few rows are reached: (group, vertex) → [distance, parents, refused], by the same steps as Search."""
+
+    def __init__(self, g: Graph, seeds: DataFrame, liked: list[str], budget: int, w_query: int, w_default: int, edges: DataFrame | None, strategy: str, most: int):
+        self.g, self.seeds, self.liked, self.budget, self.edges, self.strategy, self.most = g, seeds, liked, budget, edges, strategy, most
+        self.w_query, self.w_default = w_query, w_default
+        self.round, self.cut = 0, False
+        self.expanded: dict[str, int] = {}
+        self.done: set[tuple[int, str]] = set()
+        self.reached: dict[tuple[int, str], list] = {(r.group_id, r.vertex): [0, [], False] for r in seeds.select("group_id", "vertex").collect()}  # k for each literal
+        self.groups = sorted({x for x, _ in self.reached})
+
+    def _open(self):
+        return ((k, r) for k, r in self.reached.items() if not r[2] and k not in self.done)
+
+    def open_levels(self, groups) -> dict[int, int]:
+        out: dict[int, int] = {}
+        for (x, _), r in self._open():
+            if x in groups:
+                out[x] = min(r[0], out.get(x, r[0]))
+        return out
+
+    def meetings(self) -> dict[tuple[int, int], int]:
+        at: dict[str, list] = {}
+        for (x, v), r in self.reached.items():
+            at.setdefault(v, []).append((x, r[0]))
+        out: dict[tuple[int, int], int] = {}
+        for rows in at.values():
+            for (a, da), (b, db) in itertools.combinations(sorted(rows), 2):
+                out[a, b] = min(da + db, out.get((a, b), da + db))
+        return out
+
+    def part_levels(self, joined: set[int], part: set[str]) -> dict[int, int]:
+        out: dict[int, int] = {}
+        for (x, v), r in self.reached.items():
+            if v in part and x not in joined:
+                out[x] = min(r[0], out.get(x, r[0]))
+        return out
+
+    def parents(self, groups: tuple) -> dict[tuple[int, str], list]:
+        return {k: r[1] for k, r in self.reached.items() if k[0] in groups and k[1] in self.expanded}
+
+    def spots(self, groups: tuple, cost: int, most: int) -> list[tuple]:
+        a, b = groups
+        met = sorted(v for x, v in self.reached if x == a and (b, v) in self.reached and self.reached[a, v][0] + self.reached[b, v][0] == cost)
+        return [(v, self.reached[a, v][1], self.reached[b, v][1]) for v in met[:most]]
+
+    def part_spots(self, group: int, part: set[str], cost: int, most: int) -> list[tuple]:
+        met = sorted(v for x, v in self.reached if x == group and v in part and self.reached[x, v][0] == cost)
+        return [(v, self.reached[group, v][1]) for v in met[:most]]
+
+    def refusals(self) -> int:
+        return len({v for (_, v), r in self.reached.items() if r[2]})
+
+    def admit(self, group: int, dist: int) -> tuple[list[str], list[str]]:
+        level = [(v, _first(r[1])) for (x, v), r in self._open() if x == group and r[0] == dist]
+        price: dict[str, int] = {}
+        for v, parent in level:
+            price[parent] = price.get(parent, 0) + (v not in self.expanded)
+        left, start, stop = self.budget - len(self.expanded), set(), []
+        for parent, cost in sorted(price.items(), key=lambda x: (x[1], x[0])):
+            if cost <= left:
+                start.add(parent)
+                left -= cost
+            else:
+                stop.append(parent)
+        return sorted(v for v, parent in level if parent in start), stop
+
+    def grow(self, group: int, dist: int, vertices: list[str], stopped: list[str]) -> Search | None:
+        """Expands a level. None, or where too much would be reached the search as a distributed one."""
+        rows = []
+        if vertices:
+            self.round += 1
+            room = self.most - len(self.reached)
+            rows = expand(self.g, vertices, self.edges).limit(max(1, room + 1)).collect()
+            if len(rows) > room:
+                other = self.distributed()
+                other.grow(group, dist, vertices, stopped)
+                return other
+        self.done |= {(group, v) for v in vertices}
+        for v in vertices:
+            self.expanded.setdefault(v, dist)
+        for k, r in self.reached.items():
+            if k[0] == group and r[0] == dist and k not in self.done and _first(r[1]) in stopped:
+                r[2] = True
+        for e in rows:
+            far = dist + (self.w_query if e.p in self.liked else self.w_default)
+            r = self.reached.setdefault((group, e.u), [far, [], False])
+            if far < r[0]:
+                r[0], r[1] = far, []
+            if far == r[0] and (parent := Parent(e.v, e.p, e.forward)) not in r[1]:
+                r[1] = sorted([*r[1], parent])
+        return None
+
+    def distributed(self) -> Search:
+        s = Search(self.g, self.seeds, self.liked, self.budget, self.w_query, self.w_default, self.edges, self.strategy)
+        rows = [(x, v, d, [tuple(p) for p in parents], refused) for (x, v), (d, parents, refused) in self.reached.items()]
+        s.reached = s.save(self.g.spark.createDataFrame(rows, REACHED))
+        s.expanded, s.done, s.cut = dict(self.expanded), set(self.done), self.cut
+        return s
+
+    def close(self) -> None:
+        pass
+
+
+def _first(parents: list) -> str:
+    return min((p.v for p in parents), default="")
+
+
+def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 100, w_query: int = W_QUERY, w_default: int = W_DEFAULT, strategy: str = "both", max_trees: int = 20, edges: DataFrame | None = None, local_rows: int = LOCAL_ROWS) -> Connection:
     """Joins all groups by light paths. strategy 'single' grows one group alone, for comparison.
 
     The first two groups to meet form the connected part; each further group joins where its distance to a
@@ -195,14 +337,19 @@ def connect_seeds(g: Graph, seeds: DataFrame, liked: list[str], budget: int = 10
     Each round expands vertices of the budget or refuses children of one, so rounds end. Where more trees or paths are tied than max_trees,
     `capped` says so.
     """
-    s = Search(g, seeds, liked, budget, w_query, w_default, edges, strategy)
+    s = LocalSearch(g, seeds, liked, budget, w_query, w_default, edges, strategy, local_rows)
+    if len(s.reached) > local_rows:
+        s = s.distributed()
+    made = [s]
     try:
-        return _connected(s, seeds, strategy, max_trees)
+        return _connected(made, seeds, strategy, max_trees)
     finally:
-        s.close()
+        made[-1].close()
 
 
-def _connected(s: Search, seeds: DataFrame, strategy: str, max_trees: int) -> Connection:
+def _connected(made: list, seeds: DataFrame, strategy: str, max_trees: int) -> Connection:
+    """made: the search; where it becomes a distributed one, that is added."""
+    s = made[-1]
     out = Connection(False)
     if len(s.groups) < 2:
         return out
@@ -235,9 +382,12 @@ def _connected(s: Search, seeds: DataFrame, strategy: str, max_trees: int) -> Co
             continue
         turn = min(levels, key=lambda x: (levels[x], s.groups.index(x) if strategy == "both" else 0))
         start, stop = s.admit(turn, levels[turn])
-        s.grow(turn, levels[turn], start, stop)
+        other = s.grow(turn, levels[turn], start, stop)
+        if other is not None:
+            made.append(other)
+            s = other
     out.expanded, out.rounds = sorted(s.expanded), s.round
-    out.refused = s.reached.where("refused").select("vertex").distinct().count()
+    out.refused = s.refusals()
     if joined != set(s.groups):
         return out
     found: dict[frozenset, int] = {}
@@ -263,15 +413,14 @@ def _connected(s: Search, seeds: DataFrame, strategy: str, max_trees: int) -> Co
     return out
 
 
-def _best(s: Search, joined: set[int], part: set[str]):
+def _best(s, joined: set[int], part: set[str]):
     """(cost, groups that it joins, kind) of the lightest path that adds a group; None if nothing meets."""
     options = []
     for (a, b), c in s.meetings().items():
         if not joined or (a in joined) != (b in joined):
             options.append((c, (a, b), "meet"))
     if joined and part:
-        rows = s.reached.where(F.col("vertex").isin(*sorted(part)) & ~F.col("group_id").isin(*sorted(joined))).groupBy("group_id").agg(F.min("dist").alias("d")).collect()
-        options += [(r.d, (r.group_id,), "part") for r in rows]
+        options += [(d, (x,), "part") for x, d in s.part_levels(joined, part).items()]
     return min(options, key=lambda o: (o[0], o[2] == "meet", o[1])) if options else None
 
 
@@ -286,7 +435,7 @@ def _bound(levels: dict[int, int], joined: set[int], groups: tuple, strategy: st
     return order[0] + order[1] if len(order) > 1 else 1 << 30
 
 
-def _walks(s: Search, rows: dict, group: int, v: str, most: int) -> list[frozenset]:
+def _walks(s, rows: dict, group: int, v: str, most: int) -> list[frozenset]:
     """The edge sets of all lightest paths from a group's seeds to v; of more than `most` the search is marked as cut."""
     out: list[frozenset] = []
     stack: list[tuple[str, frozenset]] = [(v, frozenset())]
@@ -304,39 +453,31 @@ def _walks(s: Search, rows: dict, group: int, v: str, most: int) -> list[frozens
     return out
 
 
-def _weighted(s: Search, edges: frozenset) -> frozenset:
+def _weighted(s, edges: frozenset) -> frozenset:
     return frozenset((a, p, b, s.w_query if p in s.liked else s.w_default) for a, p, b in edges)
 
 
-def _paths(s: Search, best, part: set[str], most: int) -> list[frozenset]:
+def _paths(s, best, part: set[str], most: int) -> list[frozenset]:
     """All tied lightest paths (at most `most`) that a meeting stands for. Parents are expanded vertices, so few rows come here."""
     cost, groups, kind = best
-    r = s.reached
-    names = sorted(s.expanded)
-    held = r.where(F.col("vertex").isin(*names) & F.col("group_id").isin(*groups)).collect()
-    if kind == "meet":
-        a = r.where(F.col("group_id") == groups[0]).select("vertex", F.col("dist").alias("da"), F.col("parents").alias("pa"))
-        b = r.where(F.col("group_id") == groups[1]).select("vertex", F.col("dist").alias("db"), F.col("parents").alias("pb"))
-        spots = a.join(b, "vertex").where(F.col("da") + F.col("db") == cost).orderBy("vertex").limit(most + 1).collect()
-    else:
-        spots = r.where((F.col("group_id") == groups[0]) & F.col("vertex").isin(*sorted(part)) & (F.col("dist") == cost)).orderBy("vertex").limit(most + 1).collect()
-    rows = {(x.group_id, x.vertex): x.parents for x in held}
+    rows = s.parents(groups)
+    spots = s.spots(groups, cost, most + 1) if kind == "meet" else s.part_spots(groups[0], part, cost, most + 1)
     out: dict[frozenset, None] = {}
     for x in spots[:most]:
         if kind == "meet":
-            rows |= {(groups[0], x.vertex): x.pa, (groups[1], x.vertex): x.pb}
-            for left in _walks(s, rows, groups[0], x.vertex, most):
-                for right in _walks(s, rows, groups[1], x.vertex, most):
+            rows |= {(groups[0], x[0]): x[1], (groups[1], x[0]): x[2]}
+            for left in _walks(s, rows, groups[0], x[0], most):
+                for right in _walks(s, rows, groups[1], x[0], most):
                     out.setdefault(_weighted(s, left | right))
         else:
-            rows |= {(groups[0], x.vertex): x.parents}
-            for left in _walks(s, rows, groups[0], x.vertex, most):
+            rows |= {(groups[0], x[0]): x[1]}
+            for left in _walks(s, rows, groups[0], x[0], most):
                 out.setdefault(_weighted(s, left))
     s.cut |= len(spots) > most or len(out) > most
     return list(out)[:most]
 
 
-def _induced(s: Search, keep: set[str]) -> set:
+def _induced(s, keep: set[str]) -> set:
     """Triples with both ends among a few vertices, from those vertices' expansions that were paid for."""
     paid = sorted(v for v in keep if v in s.expanded)
     if not paid:
@@ -346,10 +487,11 @@ def _induced(s: Search, keep: set[str]) -> set:
 
 
 def relax(g: Graph, q: SelectQuery, liked: list[str] | None = None, c: Cache | None = None, k: int = 10, **kw) -> tuple[Connection, list[SelectQuery]]:
-    """(connection, suggested queries): each minimum tree as a query. One literal, or literals that do not connect, give none."""
+    """(connection, suggested queries): each minimum tree as a query; trees that differ in their vertices alone are one. One literal, or literals that do not connect, give none."""
     liked = liked if liked is not None else sorted({p.p.value for p in q.patterns if p.p.kind == "iri"})
     made = connect_seeds(g, seed_groups(g, c, q, k), liked, **kw)
-    return made, [trees.tree_to_query(t, {v for v in made.terminals if v.startswith('"')}, q) for t in made.trees]
+    shapes = [trees.tree_to_query(t, {v for v in made.terminals if v.startswith('"')}, q) for t in made.trees]
+    return made, list(dict.fromkeys(shapes))
 
 
 def suggest_shapes(g: Graph, q: SelectQuery, found: list[SelectQuery], cost: int | None = None) -> DataFrame:

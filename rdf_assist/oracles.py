@@ -223,8 +223,8 @@ def oracle_sql() -> dict[str, str]:
         "suggest_terms_plural": suggested("blue widgets", "name", "literal", "part", f"SELECT v, count(*) AS n_answers FROM ({NAMES}) GROUP BY v"),
         "relax_two_answers": f"SELECT {ITEM} AS item FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003'",
         "relax_expand": f"WITH {BASE} SELECT * FROM (SELECT s AS v, p, o AS u, true AS forward FROM links WHERE s = 'customer/8' UNION ALL SELECT s, p, '\"' || o, true FROM texts WHERE s = 'customer/8' UNION ALL SELECT 'customer/8', 'accountBalance', '\"' || CAST(c_acctbal AS VARCHAR), true FROM customer WHERE c_custkey = 8 UNION ALL SELECT o, p, s, false FROM links WHERE o = 'customer/8' UNION ALL SELECT '\"' || o, p, s, false FROM texts WHERE o = 'ASIA')",
-        "relax_tied": f"SELECT 8 AS cost, count(*) AS n_trees FROM (SELECT 1 {TIED} AND c_nationkey = s_nationkey UNION ALL {BETWEEN}) HAVING count(*) > 0",
-        "relax_unweighted": f"SELECT 4 AS cost, count(*) AS n_trees {TIED} AND c_nationkey = s_nationkey HAVING count(*) > 0",
+        "relax_tied": f"WITH trees AS (SELECT 8 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 8 FROM ({BETWEEN})) SELECT cost, count(*) AS n_trees FROM trees GROUP BY cost",
+        "relax_unweighted": f"WITH trees AS (SELECT 4 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 5 FROM ({BETWEEN})) SELECT cost, count(*) AS n_trees FROM trees WHERE cost = (SELECT min(cost) FROM trees) GROUP BY cost",
         "relax_number": f"SELECT '\"7' AS v, 'size' AS p, 'part/' || p_partkey AS u FROM part WHERE p_size = 7 UNION ALL SELECT '\"7', 'quantity', {ITEM} FROM lineitem WHERE l_quantity = 7",
         "relax_suggestions": "SELECT 'structure' AS kind, count(*) AS n_answers FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003' HAVING count(*) > 0",
         "federated_relaxed": "SELECT count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003'",

@@ -55,6 +55,10 @@ def test_ratio_on_random_graphs(spark, seed, n_seeds):
     g = Bare()
     g.spark = spark
     got = relax.connect_seeds(g, seeds, ["p"], budget=1000, edges=table)
+    for rows in (0, 12) if seed == 1 else ():  # as a table from the start, and from some round on
+        assert relax.connect_seeds(g, seeds, ["p"], budget=1000, edges=table, local_rows=rows).trees == got.trees
+    tight = [relax.connect_seeds(g, seeds, ["p"], budget=3, edges=table, local_rows=rows) for rows in ((0, 1000) if seed == 2 else (1000, 1000))]
+    assert (tight[0].found, tight[0].trees, tight[0].expanded, tight[0].refused) == (tight[1].found, tight[1].trees, tight[1].expanded, tight[1].refused)
     best = exhaustive(edges, terminals, {"p": 1, "q": 2})
     assert got.found and best <= got.cost <= steiner_bound(len(terminals)) * best + 1e-9
     if n_seeds in (2, 7):
