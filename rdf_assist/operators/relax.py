@@ -56,42 +56,64 @@ def vertex_key(kind: str, text: Column) -> Column:
     return F.concat(F.lit('"'), text) if kind == "literal" else text
 
 
+# The whole-number columns that name a table's entity, the first one of several, and the target of a predicate.
+OWN_KEYS = {"region": "r_regionkey", "nation": "n_nationkey", "customer": "c_custkey", "orders": "o_orderkey", "lineitem": "l_orderkey", "supplier": "s_suppkey", "part": "p_partkey"}
+TARGET_KEYS = {("nation", "region"): "n_regionkey", ("customer", "nation"): "c_nationkey", ("orders", "customer"): "o_custkey", ("lineitem", "order"): "l_orderkey", ("lineitem", "part"): "l_partkey", ("lineitem", "supplier"): "l_suppkey", ("supplier", "nation"): "s_nationkey"}
+
+
+def _among(value: Column, names: list[str], key: str | None) -> Column:
+    """Whether an IRI is among some; by its number too where the column is known, as that reaches the file scan."""
+    found = value.isin(*names)
+    return F.col(key).isin(sorted({int(v.split("/", 1)[1].split("-")[0]) for v in names})) & found if key else found
+
+
 def expand(g: Graph, vertices: list[str], edges: DataFrame | None = None, skip: tuple[str, ...] = ("label",)) -> DataFrame:
     """(v, p, u, forward) of all triples at the vertices: as object for a literal, on either side for an IRI.
 
-    Virtual triples: only tables whose entities or targets match the vertices' kinds are read, by the vertices'
-    values. With a stored edge table (v, p, u, forward) its files are pruned by the same list instead.
+    Virtual triples: only tables whose entities or targets match the vertices' kinds are read, once each, by the vertices'
+    values. A literal that spells a number or a time stands for its value. With a stored edge table (v, p, u, forward) its files are pruned by the same list instead.
     """
     if edges is not None:
         return edges.where(F.col("v").isin(*vertices))
     lits = [v[1:] for v in vertices if v.startswith('"')]
     numbers = {x: float(x) for x in lits if NUMBER.fullmatch(x)}
     times = [x for x in lits if TIME.fullmatch(x)]
-    iris = [v for v in vertices if not v.startswith('"')]
-    kinds = {v.split("/", 1)[0] for v in iris}
+    iris: dict[str, list[str]] = {}
+    for v in vertices:
+        if not v.startswith('"'):
+            iris.setdefault(v.split("/", 1)[0], []).append(v)
     parts = []
     for e in g.entities:
         subject = "origin" if e.table == "documents" and "name" in e.facts else "document" if e.table == "documents" else SUBJECTS[e.table]
+        wanted: list[Column] = []
+        made: list[Column] = []
+
+        def edge(when: Column, v: Column, p: str, u: Column, forward: bool, wanted=wanted, made=made) -> None:
+            wanted.append(when)
+            made.append(F.when(when, F.struct(v.alias("v"), F.lit(p).alias("p"), u.alias("u"), F.lit(forward).alias("forward"))))
+
         for p, f in e.facts.items():
             if p in skip:
                 continue
-            df = g._facts(e, p)
-            if subject in kinds:
-                parts.append(df.where(F.col("s").isin(*iris)).select(F.col("s").alias("v"), "p", vertex_key(f.kind, F.col("o")).alias("u"), F.lit(True).alias("forward")))
-            if f.kind == "literal" and lits and f.dtype == "string":
-                parts.append(df.where(F.col("o").isin(*lits)).select(vertex_key("literal", F.col("o")).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")))
+            value = f.value.cast("string")
+            if subject in iris:
+                edge(_among(e.subject, iris[subject], OWN_KEYS.get(e.table)) & value.isNotNull(), e.subject, p, vertex_key(f.kind, value), True)
+            if f.kind == "iri" and TARGETS.get(p) in iris:
+                edge(_among(value, iris[TARGETS[p]], TARGET_KEYS.get((e.table, p))), value, p, e.subject, False)
+            if f.kind == "literal" and f.dtype == "string" and lits:
+                edge(value.isin(*lits), vertex_key("literal", value), p, e.subject, False)
             if f.kind == "literal" and f.dtype in ("double", "integer"):
-                parts += [df.where(F.col("o_num") == n).select(F.lit('"' + x).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")) for x, n in numbers.items()]
+                for x, n in numbers.items():
+                    edge(f.value.cast("double") == n, F.lit('"' + x), p, e.subject, False)
             if f.kind == "literal" and f.dtype == "timestamp":
-                parts += [df.where(F.col("o_ts") == F.lit(x).cast("timestamp")).select(F.lit('"' + x).alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")) for x in times]
-            if f.kind == "iri" and TARGETS.get(p) in kinds:
-                parts.append(df.where(F.col("o").isin(*iris)).select(F.col("o").alias("v"), "p", F.col("s").alias("u"), F.lit(False).alias("forward")))
+                for x in times:
+                    edge(f.value.cast("timestamp") == F.lit(x).cast("timestamp"), F.lit('"' + x), p, e.subject, False)
+        if made:
+            rows = e.shape(g.table(e.table)).where(reduce(lambda a, b: a | b, wanted))
+            parts.append(rows.select(F.explode(F.array_compact(F.array(*made))).alias("x")).select("x.*"))
     if not parts:
         return g.spark.createDataFrame([], "v string, p string, u string, forward boolean")
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    return reduce(DataFrame.unionByName, parts)
 
 
 @dataclass
