@@ -102,6 +102,15 @@ def links_within_two(found: DataFrame) -> DataFrame:
     return pairs.unionByName(chained).select(F.col("f").alias("a"), F.col("g").alias("b")).distinct()
 
 
+def carried(found: DataFrame, named: DataFrame, key: str) -> DataFrame:
+    """found with the columns that named(key, n, ...) has for its key. Keys of more than a thousandth of all rows (n), of which there are fewer than a
+    thousand, go to every task; the rows of the others meet theirs by a shuffle."""
+    often = F.col("n") * 1000 > found.count()
+    hot = named.where(often).drop("n")
+    rest = found.join(F.broadcast(hot.select(key)), key, "left_anti").join(named.where(~often).drop("n"), key, "left")
+    return found.join(F.broadcast(hot), key).unionByName(rest)
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 3) -> DataFrame:
     """(doc_id, fingerprint hex, component_id) of every row; links at 2 or fewer differing bits.
 
@@ -110,13 +119,13 @@ def near_duplicates(docs: DataFrame, shingle: int = 3) -> DataFrame:
     Repeated rows each keep their row. No rows give no rows.
     """
     found = durable(fingerprints(docs, shingle).select("doc_id", F.conv(F.hex("fp"), 16, -10).cast("long").alias("f")))
-    firsts = found.groupBy("f").agg(F.min("doc_id").alias("first"))
+    firsts = found.groupBy("f").agg(F.min("doc_id").alias("first"), F.count("*").alias("n"))
     group = components(links_within_two(firsts.select("f")))
     members = firsts.join(group.withColumnRenamed("node", "f"), "f")
     least = members.groupBy("root").agg(F.min("first").alias("least")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
     linked = members.withColumn("salt", F.pmod(F.xxhash64("f"), F.lit(SALTS))).join(least, ["root", "salt"]).select("f", "least")
-    named = firsts.join(linked, "f", "left").select("f", F.coalesce("least", "first").alias("component_id"))
-    return found.join(named, "f", "left").select("doc_id", F.lower(F.lpad(F.hex("f"), 16, "0")).alias("fingerprint"), "component_id")
+    named = firsts.join(linked, "f", "left").select("f", "n", F.coalesce("least", "first").alias("component_id"))
+    return carried(found, durable(named), "f").select("doc_id", F.lower(F.lpad(F.hex("f"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def bits_apart(similarity: float, bits: int) -> int:
@@ -376,7 +385,7 @@ def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes
     printed = texts(docs).withColumn("print", text_print())
     found = durable(printed.mapInArrow(remote(HERE, "set_batches", shingle=shingle, lanes=lanes), "doc_id long, print string, id binary, fp binary"))
     least = F.min(F.when(F.col("doc_id").isNotNull(), F.struct("doc_id", "print")))
-    firsts = durable(found.groupBy("id", "fp").agg(least.alias("first")))
+    firsts = durable(found.groupBy("id", "fp").agg(least.alias("first"), F.count("*").alias("n")))
     parts = max(1, math.ceil(firsts.count() * orders * (bits // width) / per_bucket))
     blob = firsts.select("id", "fp").mapInArrow(remote(HERE, "segment_blobs", lanes=lanes, width=width, orders=orders, parts=parts), "part int, blob binary")
     most = bits_apart(similarity, bits)
@@ -401,8 +410,8 @@ def named_rows(docs: DataFrame, shingle: int = 5, similarity: float = 0.8, lanes
     salt = F.pmod(F.xxhash64("id"), F.lit(SALTS))
     best = members.groupBy("root").agg(F.min("first").alias("best")).withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
     named = members.withColumn("salt", salt).join(best, ["root", "salt"]).select("id", "best")
-    every = firsts.join(named, "id", "left").select("id", F.coalesce("best", "first").alias("best"))
-    return found.join(every, "id", "left").select("doc_id", "print", F.col("best.doc_id").alias("first_id"), F.col("best.print").alias("first_print"))
+    every = durable(firsts.join(named, "id", "left").select("id", "n", F.coalesce("best", "first").alias("best")))
+    return carried(found, every, "id").select("doc_id", "print", F.col("best.doc_id").alias("first_id"), F.col("best.print").alias("first_print"))
 
 
 def similar_groups(docs: DataFrame, **kw) -> DataFrame:
