@@ -961,8 +961,15 @@ def chosen(planes: np.ndarray, image: np.ndarray, begin: np.ndarray) -> np.ndarr
     above[begin] = left[begin]
     for made in (left, above):
         made[begin, 0] = planes[begin, 0] - np.array([255, 0, 0, 0], np.uint8)
-    made = [planes, cross_colour(planes, steps, 0, False), left, above]
-    cost = np.stack([costs(x, image, many) for x in made]) + np.array([0, 64, 64, 64])[:, None]  # of the transform's own image
+    cost = [costs(planes, image, many), costs(cross_colour(planes, steps, 0, False), image, many)]
+    for made in (left, above):  # a predictor that seldom hits is not worth its cost's counting
+        hits = np.add.reduceat(np.count_nonzero(made.reshape(len(made), -1) == 0, axis=1), begin)
+        own = np.flatnonzero(4 * hits > np.bincount(image, minlength=many) * made[0].size)
+        rows = np.isin(image, own)
+        cost.append(np.full(many, np.inf))
+        if len(own):
+            cost[-1][own] = costs(made[rows], np.searchsorted(own, image[rows]), len(own))
+    cost = np.stack(cost) + np.array([0, 64, 64, 64])[:, None]  # of the transform's own image
     return cost.argmin(axis=0)
 
 
