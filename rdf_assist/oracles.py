@@ -223,8 +223,8 @@ def oracle_sql() -> dict[str, str]:
         "suggest_terms_plural": suggested("blue widgets", "name", "literal", "part", f"SELECT v, count(*) AS n_answers FROM ({NAMES}) GROUP BY v"),
         "relax_two_answers": f"SELECT {ITEM} AS item FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003'",
         "relax_expand": f"WITH {BASE} SELECT * FROM (SELECT s AS v, p, o AS u, true AS forward FROM links WHERE s = 'customer/8' UNION ALL SELECT s, p, '\"' || o, true FROM texts WHERE s = 'customer/8' UNION ALL SELECT 'customer/8', 'accountBalance', '\"' || CAST(c_acctbal AS VARCHAR), true FROM customer WHERE c_custkey = 8 UNION ALL SELECT o, p, s, false FROM links WHERE o = 'customer/8' UNION ALL SELECT '\"' || o, p, s, false FROM texts WHERE o = 'ASIA')",
-        "relax_tied": f"WITH trees AS (SELECT 8 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 8 FROM ({BETWEEN})) SELECT cost, count(*) AS n_trees FROM trees GROUP BY cost",
-        "relax_unweighted": f"WITH trees AS (SELECT 4 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 5 FROM ({BETWEEN})) SELECT cost, count(*) AS n_trees FROM trees WHERE cost = (SELECT min(cost) FROM trees) GROUP BY cost",
+        "relax_tied": f"WITH trees AS (SELECT 8 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 8 FROM ({BETWEEN})) SELECT CAST(cost AS BIGINT) AS cost, count(*) AS n_trees FROM trees GROUP BY cost",
+        "relax_unweighted": f"WITH trees AS (SELECT 4 AS cost {TIED} AND c_nationkey = s_nationkey UNION ALL SELECT 5 FROM ({BETWEEN})) SELECT CAST(cost AS BIGINT) AS cost, count(*) AS n_trees FROM trees WHERE cost = (SELECT min(cost) FROM trees) GROUP BY cost",
         "relax_number": f"SELECT '\"7' AS v, 'size' AS p, 'part/' || p_partkey AS u FROM part WHERE p_size = 7 UNION ALL SELECT '\"7', 'quantity', {ITEM} FROM lineitem WHERE l_quantity = 7",
         "relax_suggestions": "SELECT 'structure' AS kind, count(*) AS n_answers FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003' HAVING count(*) > 0",
         "federated_relaxed": "SELECT count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003'",
@@ -252,7 +252,7 @@ def oracle_sql() -> dict[str, str]:
             SELECT system, CAST(processed AS BIGINT) AS processed, CAST(n_right AS BIGINT) AS n_right, CAST(n_partial AS BIGINT) AS n_partial, round(processed / 50, 6) AS share, round(r0, 6) AS r, round(rs0, 6) AS r_star, round(p0, 6) AS p, round(ps0, 6) AS p_star, round(2 * r0 * p0 / (r0 + p0), 6) AS f1, round(2 * rs0 * ps0 / (rs0 + ps0), 6) AS f1_star FROM m""",
         "comparison_gold": f"WITH {GOLD} SELECT qid, answer FROM gold",
         "comparison_unaided": f"""WITH {ALONE}, t AS (SELECT system, count(*) AS processed, count(*) AS n_right, CAST(0 AS BIGINT) AS n_partial FROM runs GROUP BY system)
-            SELECT *, round(processed / 50, 6) AS share, round(n_right / 50, 6) AS r, round(n_right / 50, 6) AS r_star, 1.0 AS p, 1.0 AS p_star, round(2 * (n_right / 50) / (1 + n_right / 50), 6) AS f1, round(2 * (n_right / 50) / (1 + n_right / 50), 6) AS f1_star FROM t""",
+            SELECT *, round(processed / 50, 6) AS share, round(n_right / 50, 6) AS r, round(n_right / 50, 6) AS r_star, CAST(1 AS DOUBLE) AS p, CAST(1 AS DOUBLE) AS p_star, round(2 * (n_right / 50) / (1 + n_right / 50), 6) AS f1, round(2 * (n_right / 50) / (1 + n_right / 50), 6) AS f1_star FROM t""",
         "comparison_factoid_recall": f"WITH {ALONE} SELECT system, count(*) AS n_right, CAST(10 AS BIGINT) AS total, round(count(*) / 10, 6) AS r FROM runs WHERE qid < 10 GROUP BY system",
         "baseline_summary_graph": f"WITH {BASE}, kinds AS (SELECT s, c FROM links WHERE p = 'type'), allits AS (" + " UNION ALL ".join(f"SELECT {c} AS c, '{p}' AS p FROM {t}" for t, _, _, c, _, texts, rest in STAR for p in (*texts, *rest)) + ") SELECT links.c AS class_s, links.p, kinds.c AS class_o, count(*) AS n FROM links JOIN kinds ON links.o = kinds.s WHERE links.p <> 'type' GROUP BY ALL UNION ALL SELECT c, p, 'literal', count(*) FROM allits GROUP BY ALL",
         "baseline_rewrite": f"SELECT DISTINCT {ITEM} AS x FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey WHERE c_name = 'Customer#000000008' AND s_name = 'Supplier#000000003'",
