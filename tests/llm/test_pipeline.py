@@ -2,6 +2,10 @@
 
 import collections
 import random
+import string
+import zlib
+
+import numpy as np
 
 import corpus_pipeline
 from rdf_assist.llm import packing, quality, simhash, suffixes
@@ -60,6 +64,50 @@ def test_run_is_its_stages(spark, tiny):
     assert sorted(map(tuple, corpus_pipeline.run(spark, tiny).select(key).collect())) == want
 
 
+def _plain(rows, similarity=0.8, span=50):
+    """doc_id → text after near-duplicates and repeated passages, by comparing everything with everything."""
+    shingles = {}
+    for d, t in rows:
+        words = t.translate(str.maketrans(string.ascii_uppercase, string.ascii_lowercase)).split()
+        shingles[d] = {tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))}
+    group = {d: d for d in shingles}
+    for a in sorted(shingles):
+        for b in sorted(shingles):
+            if a < b and len(shingles[a] & shingles[b]) >= similarity * len(shingles[a] | shingles[b]):
+                old, new = max(group[a], group[b]), min(group[a], group[b])
+                group = {d: new if g == old else g for d, g in group.items()}
+    left = sorted((d, t.encode()) for d, t in rows if group[d] == d)
+    least = {}
+    for d, b in left:
+        for i in range(len(b) - span + 1):
+            least.setdefault(b[i : i + span], d)
+    out = {}
+    for d, b in left:
+        gone = bytearray(len(b))
+        for i in range(len(b) - span + 1):
+            if least[b[i : i + span]] < d:
+                gone[i : i + span] = b"\1" * span
+        out[d] = bytes(x for x, g in zip(b, gone, strict=True) if not g).decode("utf-8", "ignore")
+    return out
+
+
+def test_run_against_brute_force(spark, tmp_path):
+    from tokenizers import Tokenizer
+
+    docs, _ = planted(spark)
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    rows = [(r.doc_id, r.text) for r in docs.collect() if r.doc_id < 400]  # what test_stages() knows the quality rules to keep
+    want = _plain(rows)
+    t = Tokenizer.from_file(corpus_pipeline.public_path("byte_bpe_50k.json"))
+    ids = {d: np.array([*t.encode(x, add_special_tokens=False).ids, 1], "<u4") for d, x in want.items()}
+    total = collections.Counter()
+    for r in corpus_pipeline.run(spark, str(tmp_path)).collect():
+        part = ids[r.doc_id][r.start : r.start + r.length]
+        assert (len(part), zlib.crc32(part.tobytes()), len(ids[r.doc_id])) == (r.length, r.ids_crc32, r.doc_tokens)
+        total[r.doc_id] += r.length
+    assert total == {d: len(x) for d, x in ids.items()}
+
+
 def test_stages_take_odd_rows(spark):
     rows = [(None, None, None, None, None, 1), (1, None, "en", "s", 0, 2), (1, "", "en", "s", 0, 3), (2, "the of and " * 30, "en", "s", 330, 4)]
     frame = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string, n_chars long, n_words int")
