@@ -102,22 +102,25 @@ ATTEMPTS = "user_id long, attempts long, outcome string"
 
 
 def attempts(events: DataFrame) -> DataFrame:
-    """(user_id, attempts, outcome): clicks until a purchase or an error, for each such end; state is one count a user."""
+    """(user_id, attempts, outcome): clicks until a purchase or an error, for each such end; state is one count a user.
+
+    A user's rows of a batch may come in several frames in any order, so what counts of them is put together before it is sorted.
+    """
 
     def step(key: tuple, frames: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         count = state.get[0] if state.exists else 0
         rows = []
-        for f in frames:
-            for kind in f.sort_values(["ts", "event_id"])["event_type"]:
-                if kind == "click":
-                    count += 1
-                elif kind in ("purchase", "error"):
-                    rows.append((key[0], count, "success" if kind == "purchase" else "gave_up"))
-                    count = 0
+        for kind in pd.concat(list(frames)).sort_values(["ts", "event_id"])["event_type"]:
+            if kind == "click":
+                count += 1
+            else:
+                rows.append((key[0], count, "success" if kind == "purchase" else "gave_up"))
+                count = 0
         state.update((count,))
         yield pd.DataFrame(rows, columns=["user_id", "attempts", "outcome"])
 
-    return with_time(events).groupBy("user_id").applyInPandasWithState(step, ATTEMPTS, "count long", "append", "NoTimeout")
+    told = with_time(events).where(F.col("event_type").isin("click", "purchase", "error")).select("user_id", "ts", "event_id", "event_type")
+    return told.groupBy("user_id").applyInPandasWithState(step, ATTEMPTS, "count long", "append", "NoTimeout")
 
 
 def attempts_batch(events: DataFrame) -> DataFrame:
