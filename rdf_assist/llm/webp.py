@@ -72,32 +72,29 @@ class BitReader:
 
 class BitWriter:
     def __init__(self):
-        self.value, self.size, self.bits = 0, 0, []
+        self.value, self.size = 0, 0
 
     def put(self, value: int, n: int) -> None:
         self.value |= value << self.size
         self.size += n
 
-    def put_bits(self, bits: np.ndarray) -> None:
-        self.bits += [self._held(), bits]
-
-    def _held(self) -> np.ndarray:
-        raw = np.frombuffer(self.value.to_bytes((self.size + 7) // 8, "little"), np.uint8)
-        out = np.unpackbits(raw, bitorder="little")[: self.size]
-        self.value = self.size = 0
-        return out
-
-    def array(self) -> np.ndarray:
-        return np.concatenate([*self.bits, self._held()])
-
-
-def packed_bits(values: np.ndarray, sizes: np.ndarray, at_once: int = 1 << 16):
-    """The bits of values, each in its number of places, lowest first; in arrays of some thousand values."""
-    for lo in range(0, len(values), at_once):
-        v, n = values[lo : lo + at_once], sizes[lo : lo + at_once].astype(np.int64)
-        begin = np.cumsum(n) - n
-        place = np.arange(int(n.sum())) - np.repeat(begin, n)
-        yield ((np.repeat(v, n) >> place.astype(np.uint32)) & 1).astype(np.uint8)
+    def bytes(self) -> bytes:
+        return self.value.to_bytes((self.size + 7) // 8, "little")
+
+
+def packed_words(values: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The bits of values, each in its number of places (at most 63), lowest first, as 64-bit words from bit 0 on."""
+    stop = np.cumsum(sizes)
+    begin = stop - sizes
+    out = np.zeros((int(stop[-1]) >> 6) + 2 if len(stop) else 1, np.uint64)
+    word, shift = begin >> 6, (begin & 63).astype(np.uint64)
+    if len(word):
+        starts = np.flatnonzero(np.r_[True, word[1:] != word[:-1]])
+        out[word[starts]] = np.bitwise_or.reduceat(values << shift, starts)
+        last = np.r_[starts[1:], len(word)] - 1  # of the values that begin in a word only the last can reach into the next
+        last = last[stop[last] > (word[last] + 1) << 6]
+        out[word[last] + 1] |= values[last] >> (np.uint64(64) - shift[last])
+    return out
 
 
 # ---------------------------------------------------------------- prefix codes
@@ -231,27 +228,40 @@ def starts_of(values: np.ndarray) -> np.ndarray:
     return np.flatnonzero(new)
 
 
-def _runs(lengths: np.ndarray):
-    """(symbol, extra value, extra bits) of the tokens that spell code lengths."""
-    cut = starts_of(lengths)
-    for value, run in zip(lengths[cut[:-1]].tolist(), np.diff(cut).tolist(), strict=True):
-        if value:
+def _tokens_of(value: int, run: int):
+    """(symbol, extra value, extra bits) of the tokens that spell so many equal code lengths."""
+    if value:
+        yield value, 0, 0
+        run -= 1
+    while run:
+        if value == 0 and run >= 11:
+            n = min(run, 138)
+            yield 18, n - 11, 7
+        elif value == 0 and run >= 3:
+            n = min(run, 10)
+            yield 17, n - 3, 3
+        elif value and run >= 3:
+            n = min(run, 6)
+            yield 16, n - 3, 2
+        else:
+            n = 1
             yield value, 0, 0
-            run -= 1
-        while run:
-            if value == 0 and run >= 11:
-                n = min(run, 138)
-                yield 18, n - 11, 7
-            elif value == 0 and run >= 3:
-                n = min(run, 10)
-                yield 17, n - 3, 3
-            elif value and run >= 3:
-                n = min(run, 6)
-                yield 16, n - 3, 2
-            else:
-                n = 1
-                yield value, 0, 0
-            run -= n
+        run -= n
+
+
+class _Runs(dict):
+    """(code length, run) → the bits of its tokens as a number, and how many: made when first met, at most once for each length and run of an alphabet."""
+
+    def __missing__(self, key: tuple[int, int]) -> tuple[int, int]:
+        codes, sizes = code_of(LENGTH_CODE).listed()
+        out = BitWriter()
+        for s, extra, n in _tokens_of(*key):
+            out.put(codes[s] | extra << sizes[s], sizes[s] + n)
+        self[key] = out.value, out.size
+        return self[key]
+
+
+RUNS = _Runs()
 
 
 #: Lengths of the code in which this encoder writes code lengths: what a Huffman code of those of text images gives.
@@ -271,16 +281,18 @@ def code_bits(lengths: bytes) -> tuple[int, int]:
         for s in used:
             out.put(s, 8)
         return out.value, out.size
-    codes, sizes = code_of(LENGTH_CODE).listed()
     out.put(0, 1)
     out.put(15, 4)
     for s in CODE_ORDER:
         out.put(LENGTH_CODE[s], 3)
     out.put(0, 1)
     value = size = 0
-    for s, extra, n in _runs(np.frombuffer(lengths, np.uint8)):
-        value |= (codes[s] | extra << sizes[s]) << size
-        size += sizes[s] + n
+    of = np.frombuffer(lengths, np.uint8)
+    cut = starts_of(of)
+    for key in zip(of[cut[:-1]].tolist(), np.diff(cut).tolist(), strict=True):
+        v, n = RUNS[key]
+        value |= v << size
+        size += n
         if size > 400:
             out.put(value, size)
             value = size = 0
@@ -305,18 +317,26 @@ def huffman(counts: np.ndarray, limit: int = 15) -> np.ndarray:
         joined = [1 << 62] * (n + 1)
         above = [0] * (2 * n - 1)
         i = j = 0
-        for k in range(n - 1):
-            total = 0
-            for _ in range(2):
-                if single[i] <= joined[j]:
-                    total += single[i]
-                    above[i] = n + k
-                    i += 1
-                else:
-                    total += joined[j]
-                    above[n + j] = n + k
-                    j += 1
-            joined[k] = total
+        for k in range(n, 2 * n - 1):
+            x, y = single[i], joined[j]
+            if x <= y:
+                total = x
+                above[i] = k
+                i += 1
+                x = single[i]
+            else:
+                total = y
+                above[n + j] = k
+                j += 1
+                y = joined[j]
+            if x <= y:
+                joined[k - n] = total + x
+                above[i] = k
+                i += 1
+            else:
+                joined[k - n] = total + y
+                above[n + j] = k
+                j += 1
         depth = [0] * (2 * n - 1)
         for node in range(2 * n - 3, -1, -1):
             depth[node] = depth[above[node]] + 1
@@ -512,16 +532,17 @@ def _resolved(kind: np.ndarray, value: np.ndarray, count: np.ndarray, far: np.nd
     if (far > 0).any():
         source = _followed(source)
     if cache_bits and (kind >= 280).any():
-        kinds = kind[here][source]
-        value_of = value[here][source]
+        kind_here, value_here = (kind, value) if plain else (kind.take(here), value.take(here))
+        kinds, value_of = (kind_here.take(source), value_here.take(source)) if (far > 0).any() else (kind_here, value_here)
         slot = np.where(kinds >= 280, kinds - 280, _slots(value_of, cache_bits))
-        order = np.argsort(slot, kind="stable")
+        order = np.argsort(slot.astype(np.uint16), kind="stable")  # a cache has at most 2,048 places
         before = np.full(total + 1, total)
-        same = np.flatnonzero(slot[order][1:] == slot[order][:-1])
+        sorted_slot = slot.take(order)
+        same = np.flatnonzero(sorted_slot[1:] == sorted_slot[:-1])
         before[order[same + 1]] = order[same]
-        hit = kind[here] >= 280
-        source = np.r_[np.where(hit, before[:-1], source), total]  # the place after the last is the empty cache
-        return np.r_[value[here], np.uint32(0)][_followed(source)][:-1]
+        hit = kind_here >= 280
+        before[:-1][~hit] = source[~hit]  # the place after the last is the empty cache
+        return np.append(value_here, np.uint32(0)).take(_followed(before))[:-1]
     return value[here][source]
 
 
@@ -740,9 +761,12 @@ def decode(data: bytes) -> np.ndarray:
 
 
 def _by_image(values: np.ndarray, image: np.ndarray) -> np.ndarray:
-    """The order of pixels by image, then by value, then by place."""
-    order = np.argsort(values, kind="stable")
-    return order[np.argsort(image[order], kind="stable")]
+    """The order of pixels by image, then by value, then by place: sorted by 16 bits at a time, for which counting does."""
+    parts = np.ascontiguousarray(values).astype(values.dtype.newbyteorder("<"), copy=False).view("<u2").reshape(len(values), -1)
+    order = np.argsort(parts[:, 0], kind="stable")
+    for i in range(1, parts.shape[1]):
+        order = order.take(np.argsort(parts[:, i].take(order), kind="stable"))
+    return order.take(np.argsort(image.take(order), kind="stable"))
 
 
 def _tokens(argb: np.ndarray, image: np.ndarray, cache_bits: np.ndarray, search: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -800,8 +824,26 @@ def joint(counts: list[np.ndarray]) -> np.ndarray:
     return (used[-1] > 2) & (own > 0.97 * one)
 
 
-def _coded(images: list[np.ndarray], width: int, cache_bits: list[int], search: bool) -> list[tuple[list[tuple[int, int]], np.ndarray]]:
-    """For each of some images of one width: its codes, as written, and the bits of its tokens. All images go through each step together."""
+def _written(sizes: np.ndarray, begins: tuple[int, ...]) -> np.ndarray:
+    """The codes of code lengths, as PrefixCode.written() has them, of all images (rows) and channels (which begin at these columns) together. A lone
+    symbol's length becomes 0."""
+    row, column = np.nonzero(sizes)
+    own = row * len(begins) + np.searchsorted(begins, column, side="right") - 1
+    size = sizes[row, column]
+    lone = np.bincount(own, minlength=len(sizes) * len(begins))[own] == 1
+    sizes[row[lone], column[lone]] = 0
+    row, column, own, size = row[~lone], column[~lone], own[~lone], size[~lone].astype(np.int64)
+    order = np.argsort(size.astype(np.uint16), kind="stable")
+    order = order[np.argsort(own[order], kind="stable")]
+    room = (1 << (15 - size)).take(order)
+    left = np.cumsum(room) - room  # a complete code takes 2 ** 15 places, so each begins anew
+    codes = np.zeros(sizes.shape, np.uint64)
+    codes[row.take(order), column.take(order)] = mirrored(15)[left & 32767]
+    return codes
+
+
+def _coded(images: list[np.ndarray], width: int, cache_bits: list[int], search: bool) -> list[tuple[list[tuple[int, int]], int, int]]:
+    """For each of some images of one width: its codes, as written, the bits of its tokens as a number, and how many. All images go through each step together."""
     many = len(images)
     argb = np.concatenate(images)
     image = np.repeat(np.arange(many, dtype=np.uint16), [len(x) for x in images])
@@ -825,30 +867,42 @@ def _coded(images: list[np.ndarray], width: int, cache_bits: list[int], search:
     channels = [counted(own[plain], x.astype(np.int64), 256) for x in (red, blue, alpha)]
     back = counted(own[copy], d, 40)
     alike = joint(channels)
-    heads, codes, sizes = [], np.zeros((many, room + 768 + 40), np.uint64), np.zeros((many, room + 768 + 40), np.uint8)
+    heads, sizes = [], np.zeros((many, room + 768 + 40), np.uint8)
+    begins = (0, room, room + 256, room + 512, room + 768)
     for i in range(many):
         top = 280 + (1 << cache_bits[i] if cache_bits[i] else 0)
         if alike[i]:
             others = [huffman(sum(c[i] for c in channels))] * 3
         else:
             others = [huffman(c[i]) for c in channels]
-        lengths = [x.tobytes() for x in (huffman(first[i, :top]), *others, huffman(back[i]))]
-        heads.append([code_bits(x) for x in lengths])
-        for at, x in zip((0, room, room + 256, room + 512, room + 768), lengths, strict=True):
-            codes[i, at : at + len(x)], sizes[i, at : at + len(x)] = code_of(x).written()
-    values, places = np.zeros((len(place), 4), np.uint64), np.zeros((len(place), 4), np.int64)
-    codes, sizes = codes.ravel(), sizes.ravel()
+        lengths = [huffman(first[i, :top]), *others, huffman(back[i])]
+        heads.append([code_bits(x.tobytes()) for x in lengths])
+        for at, x in zip(begins, lengths, strict=True):
+            sizes[i, at : at + len(x)] = x
+    codes = _written(sizes, begins)
+    values, places = np.zeros(len(place), np.uint64), np.zeros(len(place), np.int64)  # a token's fields make one number: four codes of at most 15 bits, or two with their extra bits
+    codes, sizes = codes.ravel(), sizes.ravel().astype(np.int64)
     base = own * (room + 768 + 40)
-    for i, x in enumerate((green, red, blue, alpha)):
-        at = base[plain] + x + (room + 256 * (i - 1) if i else 0)
-        values[plain, i], places[plain, i] = codes[at], sizes[at]
-    for i, (at, extra, bits) in enumerate(((base[copy] + 256 + n, n_extra, n_bits), (base[copy] + room + 768 + d, d_extra, d_bits))):
-        values[copy, i], places[copy, i] = codes[at] | extra.astype(np.uint64) << sizes[at].astype(np.uint64), sizes[at] + bits
+    at = base[plain] + green
+    v, n_v = codes.take(at), sizes.take(at)
+    for i, x in enumerate((red, blue, alpha)):
+        at = base[plain] + x + (room + 256 * i)
+        v |= codes.take(at) << n_v.astype(np.uint64)
+        n_v += sizes.take(at)
+    values[plain], places[plain] = v, n_v
+    v, n_v = np.zeros(len(copy), np.uint64), np.zeros(len(copy), np.int64)
+    for at, extra, bits in ((base[copy] + 256 + n, n_extra, n_bits), (base[copy] + room + 768 + d, d_extra, d_bits)):
+        v |= (codes[at] | extra.astype(np.uint64) << sizes[at].astype(np.uint64)) << n_v.astype(np.uint64)
+        n_v += sizes[at] + bits
+    values[copy], places[copy] = v, n_v
     at = base[hit] + 280 + slot
-    values[hit, 0], places[hit, 0] = codes[at], sizes[at]
-    stream = np.concatenate([np.zeros(0, np.uint8), *packed_bits(values.ravel(), places.ravel())])
-    ends = np.cumsum(np.bincount(own, places.sum(axis=1), minlength=many).astype(np.int64))
-    return list(zip(heads, np.split(stream, ends[:-1]), strict=True))
+    values[hit], places[hit] = codes[at], sizes[at]
+    ends = np.searchsorted(own, np.arange(many + 1))
+    out = []
+    for i, head in enumerate(heads):
+        n_v = places[ends[i] : ends[i + 1]]
+        out.append((head, int.from_bytes(packed_words(values[ends[i] : ends[i + 1]], n_v).tobytes(), "little"), int(n_v.sum())))
+    return out
 
 
 def _put_image(out: BitWriter, coded, main: bool, cache_bits: int) -> None:
@@ -857,10 +911,10 @@ def _put_image(out: BitWriter, coded, main: bool, cache_bits: int) -> None:
         out.put(cache_bits, 4)
     if main:
         out.put(0, 1)
-    heads, stream = coded
+    heads, stream, n = coded
     for head in heads:
         out.put(*head)
-    out.put_bits(stream)
+    out.put(stream, n)
 
 
 def _write_image(out: BitWriter, argb: np.ndarray, width: int, main: bool, cache_bits: int = 0, search: bool = False) -> None:
@@ -874,7 +928,7 @@ def _begun(height: int, width: int) -> BitWriter:
 
 
 def _file(out: BitWriter) -> bytes:
-    return frame(np.packbits(out.array(), bitorder="little").tobytes())
+    return frame(out.bytes())
 
 
 def encode(planes: np.ndarray, transforms: tuple[str, ...] = (), cache_bits: int = 0, search: bool = False, shift: int = 3, modes: np.ndarray | None = None) -> bytes:
