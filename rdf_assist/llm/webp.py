@@ -250,14 +250,11 @@ def _tokens_of(value: int, run: int):
 
 
 class _Runs(dict):
-    """(code length, run) → the bits of its tokens as a number, and how many: made when first met, at most once for each length and run of an alphabet."""
+    """(code length, run) → the bits of its tokens, first bit first, as text: made when first met, at most once for each length and run of an alphabet."""
 
-    def __missing__(self, key: tuple[int, int]) -> tuple[int, int]:
+    def __missing__(self, key: tuple[int, int]) -> str:
         codes, sizes = code_of(LENGTH_CODE).listed()
-        out = BitWriter()
-        for s, extra, n in _tokens_of(*key):
-            out.put(codes[s] | extra << sizes[s], sizes[s] + n)
-        self[key] = out.value, out.size
+        self[key] = "".join(format(codes[s] | extra << sizes[s], f"0{sizes[s] + n}b")[::-1] for s, extra, n in _tokens_of(*key))
         return self[key]
 
 
@@ -281,22 +278,22 @@ def code_bits(lengths: bytes) -> tuple[int, int]:
         for s in used:
             out.put(s, 8)
         return out.value, out.size
+    of = np.frombuffer(lengths, np.uint8)
+    cut = starts_of(of)
+    bits = "".join(map(RUNS.__getitem__, zip(of[cut[:-1]].tolist(), (cut[1:] - cut[:-1]).tolist(), strict=True)))
+    head, n = _length_code_bits()
+    return head | int(bits[::-1], 2) << n, n + len(bits)
+
+
+@functools.cache
+def _length_code_bits() -> tuple[int, int]:
+    """How LENGTH_CODE is written before code lengths."""
+    out = BitWriter()
     out.put(0, 1)
     out.put(15, 4)
     for s in CODE_ORDER:
         out.put(LENGTH_CODE[s], 3)
     out.put(0, 1)
-    value = size = 0
-    of = np.frombuffer(lengths, np.uint8)
-    cut = starts_of(of)
-    for key in zip(of[cut[:-1]].tolist(), np.diff(cut).tolist(), strict=True):
-        v, n = RUNS[key]
-        value |= v << size
-        size += n
-        if size > 400:
-            out.put(value, size)
-            value = size = 0
-    out.put(value, size)
     return out.value, out.size
 
 
